@@ -126,17 +126,18 @@ class UnionFind:
 
 
 def split_hot(df: DataFrame, keys: list[str], payload: str, cap: int) -> DataFrame:
-    """Give every bucket of more than ``cap`` rows several tasks: its rows are hashed to blocks and each pair of blocks
-    becomes a group of its own (column blk), so each pair of rows still meets. Other buckets keep blk = 0."""
+    """Give every bucket of more than ``cap`` rows several tasks: its rows are hashed to blocks (column own) and each pair of
+    blocks becomes a group of its own (column blk), so each pair of rows still meets. blk is 0 in other buckets, negative where a
+    block meets itself, positive where two blocks meet (their rows differ in own)."""
     hot = (
         df.groupBy(*keys).count().where(F.col("count") > cap)
         .select(*keys, F.ceil(F.col("count") / F.lit(cap)).cast("int").alias("__nb"))
     )
-    d = df.join(hot, keys, "left")
-    nb, b = F.col("__nb"), F.expr(f"cast(pmod(xxhash64({payload}, 7), coalesce(__nb, 1)) as int)")
+    d = df.join(hot, keys, "left").withColumn("own", F.expr(f"cast(pmod(xxhash64({payload}, 7), coalesce(__nb, 1)) as int)"))
+    nb, b = F.col("__nb"), F.col("own")
     many = F.transform(
         F.sequence(F.lit(0), nb - 1),
-        lambda j: (F.least(j, b) * nb + F.greatest(j, b) + 1).cast("int"),
+        lambda j: F.when(j == b, -b - 1).otherwise(F.least(j, b) * nb + F.greatest(j, b) + 1).cast("int"),
     )
     return d.withColumn("blk", F.explode(F.when(nb.isNull(), F.array(F.lit(0))).otherwise(many))).drop("__nb")
 
