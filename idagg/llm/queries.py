@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, embeddings, quality, simhash, toxicity, warc
+from . import bpe, decontaminate, embeddings, line_dedup, quality, simhash, toxicity, warc
 from ._common import table
 
 
@@ -21,6 +21,17 @@ def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
         "doc_id", F.coalesce(_fold("doc_id", 5) == 0, F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
+def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.search(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    got = line_dedup.dedup(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return got.select(
+        "doc_id", F.col("__n_lines").alias("n_lines"), F.col("__cut_lines").alias("n_removed_lines"), F.col("__cut_chunks").alias("n_removed_chunks"),
+        F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
+
+
 def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     got = simhash.clusters(table(spark, sf_dir, "documents"))
     return got.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
@@ -48,7 +59,7 @@ def op9_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {"op1_toxicity": op1_toxicity, "op4_simhash": op4_simhash, "op5_embeddings": op5_embeddings, "op7_quality": op7_quality, "op8_warc": op8_warc, "op9_bpe": op9_bpe}
+    return {"op1_toxicity": op1_toxicity, "op2_decontaminate": op2_decontaminate, "op3_line_dedup": op3_line_dedup, "op4_simhash": op4_simhash, "op5_embeddings": op5_embeddings, "op7_quality": op7_quality, "op8_warc": op8_warc, "op9_bpe": op9_bpe}
 
 
 def oracle_sql() -> dict[str, str]:
