@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, decontaminate, embeddings, line_dedup, quality, simhash, toxicity, warc
+from . import bpe, decontaminate, embeddings, licenses, line_dedup, quality, simhash, toxicity, warc
 from ._common import table
 
 
@@ -58,9 +58,13 @@ def op9_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_digests(table(spark, sf_dir, "documents"))
 
 
+def op10_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict:
-    return {"op1_toxicity": op1_toxicity, "op2_decontaminate": op2_decontaminate, "op3_line_dedup": op3_line_dedup, "op4_simhash": op4_simhash, "op5_embeddings": op5_embeddings, "op7_quality": op7_quality, "op8_warc": op8_warc, "op9_bpe": op9_bpe}
+    return {"op1_toxicity": op1_toxicity, "op2_decontaminate": op2_decontaminate, "op3_line_dedup": op3_line_dedup, "op4_simhash": op4_simhash, "op5_embeddings": op5_embeddings, "op7_quality": op7_quality, "op8_warc": op8_warc, "op9_bpe": op9_bpe, "op10_licenses": op10_licenses}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op10_licenses": licenses.oracle()}
