@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, decontaminate, embeddings, licenses, line_dedup, quality, simhash, toxicity, warc
+from . import bpe, decontaminate, embeddings, licenses, line_dedup, quality, repeats, simhash, toxicity, warc
 from ._common import table
 
 
@@ -41,6 +41,11 @@ def op5_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return embeddings.clusters(table(spark, sf_dir, "embeddings"))
 
 
+def op6_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
+    got = repeats.dedup(table(spark, sf_dir, "documents"))
+    return got.select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
+
+
 def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     net = quality.fit(docs, table(spark, sf_dir, "labels"), may_learn=_fold("id", 3) != 1)
@@ -63,7 +68,7 @@ def op10_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {"op1_toxicity": op1_toxicity, "op2_decontaminate": op2_decontaminate, "op3_line_dedup": op3_line_dedup, "op4_simhash": op4_simhash, "op5_embeddings": op5_embeddings, "op7_quality": op7_quality, "op8_warc": op8_warc, "op9_bpe": op9_bpe, "op10_licenses": op10_licenses}
+    return {"op1_toxicity": op1_toxicity, "op2_decontaminate": op2_decontaminate, "op3_line_dedup": op3_line_dedup, "op4_simhash": op4_simhash, "op5_embeddings": op5_embeddings, "op6_suffix_array": op6_suffix_array, "op7_quality": op7_quality, "op8_warc": op8_warc, "op9_bpe": op9_bpe, "op10_licenses": op10_licenses}
 
 
 def oracle_sql() -> dict[str, str]:
