@@ -130,11 +130,11 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
 
     keyed = docs.withColumn("__key", text_key(F.col(text_col)))
     cond = F.col(id_col).eqNullSafe(F.col("__id")) & (F.col("__key") == F.col("__tk"))
-    listed = keyed.join(lists, cond, "inner").select(F.col(text_col).alias("text"), F.col("__hs").alias("hs"))
+    listed = keyed.hint("merge").join(lists, cond, "inner").select(F.col(text_col).alias("text"), F.col("__hs").alias("hs"))
     texts = listed.mapInArrow(_flagged, "h binary, chunk binary")
     differ = texts.groupBy("h").agg(F.min("chunk").alias("lo"), F.max("chunk").alias("hi")).where("lo <> hi").select("h")
     bad = frozenset(bytes(r.h) for r in differ.limit(10_000).collect())  # digest collisions: their chunks all stay
-    joined = keyed.join(lists, cond, "left").drop("__key", "__id", "__tk")
+    joined = keyed.hint("merge").join(lists, cond, "left").drop("__key", "__id", "__tk")
     names = joined.columns
     schema = docs
     for n in ("__n_lines", "__cut_lines", "__cut_chunks"):
