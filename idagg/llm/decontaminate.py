@@ -169,22 +169,13 @@ class ItemIndex:
         return out
 
 
-def _search(docs: DataFrame, items: list[tuple], threshold: float, kinds: tuple[str, str]) -> DataFrame:
-    shared = docs.sparkSession.sparkContext.broadcast(items)
-    made: list[ItemIndex] = []
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        index = made[0] if made else ItemIndex(shared.value, threshold)
-        for b in batches:
-            ids, items, shares = [], [], []
-            for d, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                for item, share in index.find(t.as_py()):
-                    ids.append(d)
-                    items.append(item)
-                    shares.append(share)
-            yield pa.RecordBatch.from_arrays([pa.array(ids, b.schema.field(0).type), pa.array(items, pa.int64()), pa.array(shares, pa.float64())], ["id", "item", "containment"])
-
-    return docs.mapInArrow(run, f"id {kinds[0]}, item long, containment double")
+def _blocks(benchmark: DataFrame, item_col: str, item_text: str, block_items: int) -> Iterator[list[tuple]]:
+    """The items, a bounded block at a time."""
+    items = benchmark.select(F.col(item_col).cast("long").alias("item"), F.col(item_text).alias("text")).where("text is not null")
+    n = max(1, -(-items.count() // block_items))
+    for k in range(n):
+        part = items if n == 1 else items.where(F.pmod(F.xxhash64("item", "text"), F.lit(n)) == k)
+        yield [tuple(r) for r in part.collect()]
 
 
 def search(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text",
@@ -192,17 +183,40 @@ def search(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8, id_col
     """(id, item, containment): a row for each item found in a document."""
     d = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     kind = docs.schema[id_col].dataType.simpleString()
-    items = benchmark.select(F.col(item_col).cast("long").alias("item"), F.col(item_text).alias("text")).where("text is not null")
-    blocks = max(1, -(-items.count() // block_items))
+
+    def searched(shared):
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            index = ItemIndex(shared.value, threshold)
+            for b in batches:
+                ids, items, shares = [], [], []
+                for d, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
+                    for item, share in index.find(t.as_py()):
+                        ids.append(d)
+                        items.append(item)
+                        shares.append(share)
+                yield pa.RecordBatch.from_arrays([pa.array(ids, b.schema.field(0).type), pa.array(items, pa.int64()), pa.array(shares, pa.float64())], ["id", "item", "containment"])
+
+        return d.mapInArrow(run, f"id {kind}, item long, containment double")
+
     out = None
-    for k in range(blocks):
-        part = items if blocks == 1 else items.where(F.pmod(F.xxhash64("item", "text"), F.lit(blocks)) == k)
-        got = _search(d, [tuple(r) for r in part.collect()], threshold, (kind, "long"))
+    for block in _blocks(benchmark, item_col, item_text, block_items):
+        got = searched(docs.sparkSession.sparkContext.broadcast(block))
         out = got if out is None else out.union(got)
     return out.select(F.col("id").alias(id_col), F.col("item").alias(item_col), "containment")
 
 
-def drop_contaminated(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of docs that hold no item."""
-    bad = search(docs, benchmark, threshold, id_col, text_col).select(F.col(id_col).alias("__bad")).distinct()
-    return docs.join(bad, docs[id_col].eqNullSafe(bad["__bad"]), "left_anti")
+def drop_contaminated(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8, text_col: str = "text",
+                      item_col: str = "item_id", item_text: str = "text", block_items: int = BLOCK_ITEMS) -> DataFrame:
+    """The rows of docs that hold no item, with all columns; no shuffle."""
+
+    def kept(df: DataFrame, shared):
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            index = ItemIndex(shared.value, threshold)
+            for b in batches:
+                yield b.filter(pa.array([not index.find(t.as_py()) for t in b.column(text_col)], pa.bool_()))
+
+        return df.mapInArrow(run, df.schema)
+
+    for block in _blocks(benchmark, item_col, item_text, block_items):
+        docs = kept(docs, docs.sparkSession.sparkContext.broadcast(block))
+    return docs

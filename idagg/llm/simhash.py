@@ -220,7 +220,12 @@ def clusters(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ra
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = 3) -> DataFrame:
-    """The rows of docs that stand for their component: its smallest id (of rows that repeat it, one)."""
+    """The rows of docs that stand for their component: its smallest id, and of rows that repeat it one. Rows with a null id stay."""
     c = clusters(docs, id_col, text_col, radius)
-    kept = c.where(F.col(id_col) == F.col("component_id")).select(F.col(id_col).alias("__kept")).distinct()
-    return docs.join(kept, docs[id_col] == kept["__kept"], "left_semi").dropDuplicates([id_col])
+    kept = c.where(F.col(id_col).isNull() | (F.col(id_col) == F.col("component_id"))).groupBy(F.col(id_col).alias("__kept")).agg(F.count("*").alias("__n"))
+    kept = materialize(kept, "simhash-kept")
+    out = docs.hint("merge").join(kept, docs[id_col].eqNullSafe(kept["__kept"]))
+    if kept.where("__n > 1 and __kept is not null").limit(1).count():
+        one = out.where("__n > 1 and __kept is not null").dropDuplicates([id_col])
+        out = out.where("__n = 1 or __kept is null").unionByName(one)
+    return out.drop("__kept", "__n")
