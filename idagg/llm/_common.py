@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import atexit
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -13,6 +13,25 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
 _ROOTS: dict[str, str] = {}
+_MEMOS: dict[str, Callable[[], None]] = {}
+
+
+def owns_memo(name: str, clear: Callable[[], None]) -> None:
+    """Say how to empty the memo that a module keeps in each Python worker."""
+    _MEMOS[name] = clear
+
+
+def keep_memo_of(name: str | None) -> None:
+    """Workers outlive stages: when a task begins, the memos of all operators but this one are emptied and their memory given back."""
+    for k, clear in _MEMOS.items():
+        if k != name:
+            clear()
+    try:
+        import ctypes
+
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library: it keeps what it keeps
+        pass
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

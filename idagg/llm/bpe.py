@@ -24,8 +24,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ._common import keep_memo_of, owns_memo
+
 END = "\x00"  # stands for the end-of-word mark; byte symbols are printable, so it can't clash
-MEMO = 400_000  # chunks a worker remembers
+MEMO = 300_000  # chunks a worker remembers
 _ODD_SPACE = re.compile("[\x1c-\x1f]")
 
 
@@ -91,7 +93,7 @@ class WordBpe:
 
     def may_follow(self, a: str, ia: int, b: str, ib: int) -> bool:
         """Whether b may stand after a: the encoding of their joint text is the pair."""
-        if len(self.pairs) > 500_000:
+        if len(self.pairs) > 400_000:
             self.pairs.clear()
         ok = self.pairs[ia, ib] = self.merged(a + b) == [a, b]
         return ok
@@ -162,7 +164,7 @@ class WordBpe:
             ids = self.encode_word(self._symbols_of(word))
             got = (" ".join(map(str, ids)), self.decode(ids))
             if len(word) <= 64:
-                if len(self.word_memo) >= MEMO:
+                if len(self.word_memo) >= MEMO // 2:
                     self.word_memo.clear()
                 self.word_memo[word] = got
         return got
@@ -194,6 +196,7 @@ _LOADED: dict[int, WordBpe] = {}
 
 def _codec(vocab) -> WordBpe:
     """One codec a worker process and vocabulary."""
+    keep_memo_of("bpe")
     text = vocab.value
     key = hash(text)
     if key not in _LOADED:
@@ -202,6 +205,9 @@ def _codec(vocab) -> WordBpe:
     return _LOADED[key]
 
 
+owns_memo("bpe", lambda: _LOADED.clear())
+
+
 def default_vocabulary() -> str:
     import public_tokenizers
 

@@ -25,6 +25,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ._common import keep_memo_of, owns_memo
+
 SHINGLE, HASHES, BASE, BLOCK_ITEMS = 5, 48, 8, 50_000
 _WORDS = re.compile(r"\w+").findall
 _A = np.uint64(0x9E3779B97F4A7C15)
@@ -35,13 +37,14 @@ _ADD = np.random.default_rng(6).integers(0, 1 << 32, HASHES, dtype=np.uint64).as
 
 class _Words(dict):
     def __missing__(self, w: str) -> int:
-        if len(self) > 400_000:
+        if len(self) > 250_000:
             self.clear()
         h = self[w] = xxhash.xxh3_64_intdigest(w)
         return h
 
 
 _HASH = _Words()
+owns_memo("decontaminate", lambda: _HASH.clear())
 
 
 def words_of(text: str | None) -> list[str]:
@@ -186,6 +189,7 @@ def search(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8, id_col
 
     def searched(shared):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            keep_memo_of("decontaminate")
             index = ItemIndex(shared.value, threshold)
             for b in batches:
                 ids, items, shares = [], [], []
@@ -211,6 +215,7 @@ def drop_contaminated(docs: DataFrame, benchmark: DataFrame, threshold: float =
 
     def kept(df: DataFrame, shared):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            keep_memo_of("decontaminate")
             index = ItemIndex(shared.value, threshold)
             for b in batches:
                 yield b.filter(pa.array([not index.find(t.as_py()) for t in b.column(text_col)], pa.bool_()))

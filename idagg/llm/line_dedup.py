@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._common import materialize
+from ._common import keep_memo_of, materialize
 
 WINDOW, MASK = 2, 3  # a chunk ends after one line in four on average
 _MULT = 0x9E3779B97F4A7C15
@@ -56,6 +56,7 @@ def _text_key(text: str | None) -> int:
 
 def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Chunks of two lines or more, by digest."""
+    keep_memo_of(None)
     for b in batches:
         ids, keys, places, digests = [], [], [], []
         for d, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ._common import with_field
+from ._common import keep_memo_of, with_field
 
 MAX_POSITIVE, MAX_UNLABELLED = 6_000, 10_000
 _SIGNS = b"!?.,;:'\"()[]{}<>/\\|*%&$#@=+-_~^`"
@@ -164,10 +164,12 @@ def score(docs: DataFrame, net: Network | None, text_col: str = "text", out: str
     shared = docs.sparkSession.sparkContext.broadcast(net)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keep_memo_of(None)
         net = shared.value
         for b in batches:
-            texts = [t or "" for t in b.column(text_col).to_pylist()]
-            p = np.full(len(texts), 0.5) if net is None else net.score(features(texts)) if texts else np.zeros(0)
+            p = np.full(b.num_rows, 0.5)
+            for lo in range(0, b.num_rows if net else 0, 512):
+                p[lo : lo + 512] = net.score(features([t or "" for t in b.column(text_col).slice(lo, 512).to_pylist()]))
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(p)], [*b.schema.names, out])
 
     return docs.mapInArrow(run, with_field(docs, out, "double"))

@@ -30,7 +30,7 @@ import zstandard as zstd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._common import key_change, materialize, n_parts, whole_groups
+from ._common import keep_memo_of, key_change, materialize, n_parts, whole_groups
 from .suffix_array import suffix_array
 
 LENGTH, ANCHOR, CAP, PHRASE = 400, 64, 512, 64
@@ -90,6 +90,7 @@ def _two(d: bytes) -> tuple[int, int]:
 
 def _scan(length: int, k: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keep_memo_of(None)
         for b in batches:
             rows: list[tuple] = []
             ids: list = []

@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._common import components, key_change, materialize, n_parts, split_hot, whole_groups, with_field
+from ._common import components, keep_memo_of, key_change, materialize, n_parts, split_hot, whole_groups, with_field
 
 SAMPLE, BUCKET = 4_096, 1_024
 _LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
@@ -56,6 +56,7 @@ def fingerprints(docs: DataFrame, text_col: str = "text", out: str = "fp") -> Da
     """docs without text_col and with the fingerprint as a long."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keep_memo_of(None)
         for b in batches:
             at = b.schema.get_field_index(text_col)
             fps = np.array([fingerprint(t.as_py()) for t in b.column(at)], np.uint64).view(np.int64)

@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ._common import with_field
+from ._common import keep_memo_of, owns_memo, with_field
 
 SLOT_BITS = 20
 STEMS = (3, 4, 5, 7)
@@ -55,6 +55,14 @@ class _WordRows(dict):
 _ROWS = _WordRows()
 
 
+def _forget() -> None:
+    global _ROWS
+    _ROWS = _WordRows()
+
+
+owns_memo("toxicity", _forget)
+
+
 def slots(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
     """Hashed features of the texts, all in one array, and the text that each belongs to (repeats included)."""
     global _ROWS
@@ -150,15 +158,15 @@ def score(docs: DataFrame, model: tuple[np.ndarray, np.ndarray], text_col: str =
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keep_memo_of("toxicity")
         table = np.zeros(1 << SLOT_BITS)
         at, w = shared.value
         bias = float(w[at < 0].sum())
         table[at[at >= 0]] = w[at >= 0]
         for b in batches:
-            texts = [t or "" for t in b.column(text_col).to_pylist()]
-            logit = np.full(len(texts), bias)
-            for lo in range(0, len(texts), 512):
-                s, d = slots(texts[lo : lo + 512])
+            logit = np.full(b.num_rows, bias)
+            for lo in range(0, b.num_rows, 512):
+                s, d = slots([t or "" for t in b.column(text_col).slice(lo, 512).to_pylist()])
                 hit = np.flatnonzero(table[s])
                 pairs = np.unique((d[hit].astype(np.int64) << SLOT_BITS) | s[hit])
                 np.add.at(logit, lo + (pairs >> SLOT_BITS), table[pairs & ((1 << SLOT_BITS) - 1)])
