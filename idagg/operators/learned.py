@@ -5,8 +5,6 @@ decoder); its errors are its own and no published figure. Carried state: SLOTS x
 2,048 bytes, the size of a default register state.
 """
 
-from __future__ import annotations
-
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -34,6 +32,16 @@ def trunk_features(identity: np.ndarray, dim: int = WIDTH, seed: int = 0) -> np.
     return out
 
 
+def trunk_column(identity):
+    """The trunk as a column expression."""
+
+    @F.pandas_udf("array<double>")
+    def features(x: pd.Series) -> pd.Series:
+        return pd.Series(list(trunk_features(x.to_numpy())))
+
+    return features(identity)
+
+
 @dataclass
 class SetEncoder:
     """Parameters: slot keys (HEADS x SLOTS x WIDTH), value map (WIDTH x WIDTH) and the decoder's two layers."""
@@ -49,7 +57,7 @@ class SetEncoder:
     seed: int = 0
 
     @classmethod
-    def create(cls, seed: int = 0, hidden: int = 16) -> SetEncoder:
+    def create(cls, seed: int = 0, hidden: int = 16) -> "SetEncoder":
         r = np.random.default_rng(seed)
         return cls(r.normal(0, 1.5, (HEADS, SLOTS, WIDTH)), r.normal(0, WIDTH**-0.5, (WIDTH, WIDTH)), r.normal(0, STATE**-0.5, (STATE, hidden)),
                    np.zeros(hidden), r.normal(0, hidden**-0.5, hidden), 0.0, np.zeros(STATE), np.ones(STATE), seed)
@@ -74,7 +82,7 @@ class SetEncoder:
         z = np.tanh(self._inputs(np.atleast_2d(states)) @ self.w1 + self.b1)
         return np.exp(np.clip(z @ self.w2 + self.b2, 0, 25))
 
-    def fit(self, states: np.ndarray, counts: np.ndarray, steps: int = 4_000, rate: float = 3e-3, decay: float = 1e-2) -> SetEncoder:
+    def fit(self, states: np.ndarray, counts: np.ndarray, steps: int = 4_000, rate: float = 3e-3, decay: float = 1e-2) -> "SetEncoder":
         """Train the decoder on log counts by AdamW; slots and trunk stay as drawn."""
         self.mean, self.scale = np.zeros(STATE), np.ones(STATE)
         x = self._inputs(states)
@@ -114,8 +122,8 @@ def encode_states(records: DataFrame, key: str, encoder: SetEncoder, identity: s
             yield pd.DataFrame(rows, columns=[key, "state"])
 
     parts = records.select(key, identity).where(F.col(identity).isNotNull()).mapInPandas(partial, f"{key} {kind}, state array<double>")
-    summed = parts.select(key, F.posexplode("state").alias("k", "x")).groupBy(key, "k").agg(F.sum("x").alias("x"))
-    return summed.groupBy(key).agg(F.transform(F.array_sort(F.collect_list(F.struct("k", "x"))), lambda s: s["x"]).alias("state"))
+    summed = parts.select(key, F.posexplode("state").alias("__k", "x")).groupBy(key, "__k").agg(F.sum("x").alias("x"))
+    return summed.groupBy(key).agg(F.transform(F.array_sort(F.collect_list(F.struct("__k", "x"))), lambda s: s["x"]).alias("state"))
 
 
 def decode_states(states: DataFrame, key: str, encoder: SetEncoder) -> DataFrame:
