@@ -71,7 +71,7 @@ def needles(threshold: float = THRESHOLD) -> list[str]:
     chosen words, a match holds one of them. Greedy choice, the longer words first among equals."""
     share = threshold / 2 * (1 + threshold / (2 - threshold))
     open_ = {k: set(b) for k, _, b in _templates()}
-    room = {k: share * len(b) for k, _, b in _templates()}  # free bigrams must be fewer
+    room = {k: share * len(b) - 1e-9 for k, _, b in _templates()}  # free bigrams must be fewer
     chosen: list[str] = []
     while open_ := {k: b for k, b in open_.items() if len(b) >= room[k]}:
         gain: dict[str, float] = {}
@@ -87,7 +87,7 @@ def needles(threshold: float = THRESHOLD) -> list[str]:
 
 def scan(docs: DataFrame, threshold: float = THRESHOLD, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, line_no, license_id, template_no, dice): a row for each template that a unit matches."""
-    low, high = threshold / (2 - threshold), (2 - threshold) / threshold
+    low, high = threshold / (2 - threshold) - 1e-9, (2 - threshold) / threshold + 1e-9
     listed = [{"k": k, "name": name, "m": len(b), "b": b} for k, name, b in _templates()]
     known = F.from_json(F.lit(json.dumps(listed)), "array<struct<k int, name string, m int, b array<string>>>")  # folded to a constant
     least = min(len(b) for *_, b in _templates()) * low
