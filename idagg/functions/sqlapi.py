@@ -6,29 +6,35 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from idagg.functions.estimate import estimate_registers
 
 
-@F.pandas_udf("double")
+def _ints(*names: str) -> T.StructType:
+    """Types are objects, not text: text can be parsed only where a session runs already."""
+    return T.StructType([T.StructField(n, T.IntegerType()) for n in names])
+
+
+@F.pandas_udf(T.DoubleType())
 def idagg_estimate(state: pd.Series) -> pd.Series:
     """Distinct count of a dense state."""
     return state.map(lambda s: None if s is None else estimate_registers(np.frombuffer(s, np.uint8), len(s)))
 
 
-@F.pandas_udf("binary")
+@F.pandas_udf(T.BinaryType())
 def idagg_merge2(a: pd.Series, b: pd.Series) -> pd.Series:
     """The merge of two dense states."""
     return pd.Series([np.maximum(np.frombuffer(x, np.uint8), np.frombuffer(y, np.uint8)).tobytes() for x, y in zip(a, b, strict=True)])
 
 
-@F.pandas_udf("binary")
+@F.pandas_udf(T.BinaryType())
 def idagg_hll_merge(state: pd.Series) -> bytes:
     """The merge of a group's dense states. A group's states come to one task: for many, merge_dense takes partials first."""
     return np.maximum.reduce([np.frombuffer(s, np.uint8) for s in state]).tobytes() if len(state) else b""
 
 
-@F.udtf(returnType="j int, r int")
+@F.udtf(returnType=_ints("j", "r"))
 class IdaggRegisters:
     """A dense state's registers that aren't empty."""
 
@@ -37,7 +43,7 @@ class IdaggRegisters:
             yield int(j), int(state[j])
 
 
-@F.udtf(returnType="row int, col int")
+@F.udtf(returnType=_ints("row", "col"))
 class IdaggCmCells:
     """The Count-Min cells of an identity, by row."""
 

@@ -83,8 +83,14 @@ def budgeted_evidence(records: DataFrame, p: int = DEFAULT_P, relations: bool =
     regs = build_registers(T.streams(records), ["window_id", "stream_id"], p)
     allof = build_registers(records.select("window_id", "group_key", "identity"), ["window_id", "group_key"], p)
     ok = F.lit(True).alias("valid")
-    out = read_distinct(regs.where("stream_id = 'a'"), ["window_id"], p).select("window_id", F.lit("distinct").alias("operator"), "estimate", ok)
-    out = out.unionByName(read_distinct(merge_registers(regs, ["window_id"]), ["window_id"], p).select("window_id", F.lit("union").alias("operator"), "estimate", ok))
+    every = records.select("window_id").distinct()
+
+    def of(op, got):
+        """An operand without records has an empty state, which reads 0."""
+        return every.join(got, "window_id", "left").select("window_id", F.lit(op).alias("operator"), F.coalesce("estimate", F.lit(0.0)).alias("estimate"), ok)
+
+    out = of("distinct", read_distinct(regs.where("stream_id = 'a'"), ["window_id"], p))
+    out = out.unionByName(of("union", read_distinct(merge_registers(regs, ["window_id"]), ["window_id"], p)))
     first = records.groupBy("window_id").agg(F.min("group_key").alias("group_key"), F.max("identity").alias("identity"))
     grouped = read_distinct(allof, ["window_id", "group_key"], p).join(F.broadcast(first.select("window_id", "group_key")), ["window_id", "group_key"])
     out = out.unionByName(grouped.select("window_id", F.lit("grouped_distinct").alias("operator"), "estimate", ok))

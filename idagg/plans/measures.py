@@ -25,7 +25,7 @@ def summary(df: DataFrame, keys: list[str], est: str = "estimate", exact: str =
 def paired_median_diff(a: DataFrame, b: DataFrame, key: str, err: str = "err") -> DataFrame:
     """Median over streams of the difference of their errors (not the difference of medians)."""
     return a.select(key, F.col(err).alias("__a")).join(b.select(key, F.col(err).alias("__b")), key).agg(
-        F.median(F.col("__a") - F.col("__b")).alias("median_paired_diff"), (F.median("__a") / F.median("__b")).alias("ratio_of_medians"))
+        F.median(F.col("__a") - F.col("__b")).alias("median_paired_diff"), F.try_divide(F.median("__a"), F.median("__b")).alias("ratio_of_medians"))
 
 
 def total_state_bytes(regs: DataFrame, keys: list[str], m: int) -> DataFrame:

@@ -298,7 +298,7 @@ EVID = (
     + ") UNION ALL SELECT window_id, 'grouped_distinct', estimate FROM (" + sql.estimate("rg", "window_id", digits=9) + ") UNION ALL SELECT window_id, 'frequency', estimate FROM zf)")
 
 
-@query("arm_budgeted", EVID + f", a AS (SELECT task_id, gold, CASE WHEN estimate > threshold THEN 'act' ELSE 'watch' END AS answer FROM tasks JOIN ev USING (window_id, operator)) SELECT task_id, answer, 'ok' AS status, {SCORE} FROM a")
+@query("arm_budgeted", EVID + f", a AS (SELECT task_id, gold, CASE WHEN coalesce(estimate, 0.0) > threshold THEN 'act' ELSE 'watch' END AS answer FROM tasks LEFT JOIN ev USING (window_id, operator) WHERE operator NOT IN ('jaccard', 'containment')) SELECT task_id, answer, 'ok' AS status, {SCORE} FROM a")
 def arm_budgeted(s, d):
     r = rec(s, d)
     t = tasks.generate(tasks.targets(r)).where("operator not in ('jaccard', 'containment')")
@@ -372,7 +372,7 @@ def stat_paired(s, d):
     return stats.paired(arm_rows(s, d), "ctx_cot", "ctx_direct").agg(F.round(100 * F.avg("diff"), 6).alias("diff_pp"))
 
 
-@query("stat_flips", EVID + ", a AS (SELECT operator, (exact > threshold) <> (estimate > threshold) AS flip FROM tasks JOIN ev USING (window_id, operator)) SELECT operator, count(*) AS n, count(*) FILTER (flip) AS flips FROM a GROUP BY operator")
+@query("stat_flips", EVID + ", a AS (SELECT operator, (exact > threshold) <> (coalesce(estimate, 0.0) > threshold) AS flip FROM tasks LEFT JOIN ev USING (window_id, operator) WHERE operator NOT IN ('jaccard', 'containment')) SELECT operator, count(*) AS n, count(*) FILTER (flip) AS flips FROM a GROUP BY operator")
 def stat_flips(s, d):
     """Decisions that the sketch's error turns: exact and budgeted evidence fall on different sides of the threshold."""
     r = rec(s, d)
