@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ._common import keep_memo_of, with_field
+from ._common import bounded_sample, keep_memo_of, with_field
 
 MAX_POSITIVE, MAX_UNLABELLED = 6_000, 10_000
 _SIGNS = b"!?.,;:'\"()[]{}<>/\\|*%&$#@=+-_~^`"
@@ -146,8 +146,8 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", may_learn: C
     if not share.n or not share.p:
         return None
     prior = min(0.98, max(0.02, (share.p + 1) / (share.n + 2)))
-    good = rows.where("y = 1").select("id").distinct().withColumn("o", F.xxhash64("id")).orderBy("o", "id").limit(max_positive)
-    web = docs.select(F.col(id_col).alias("id")).where("id is not null").distinct().withColumn("o", F.xxhash64("id", F.lit(1))).orderBy("o", "id").limit(max_unlabelled)
+    good = bounded_sample(rows.where("y = 1").select("id").distinct(), ["id"], max_positive)
+    web = bounded_sample(docs.select(F.col(id_col).alias("id")).where("id is not null"), ["id"], max_unlabelled, 1)
     picked = (
         good.select("id", F.lit(1).alias("pos"), F.lit(0).alias("unl")).union(web.select("id", F.lit(0), F.lit(1)))
         .groupBy("id").agg(F.max("pos").alias("pos"), F.max("unl").alias("unl"))

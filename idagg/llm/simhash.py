@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._common import components, keep_memo_of, key_change, materialize, n_parts, split_hot, whole_groups, with_field
+from ._common import bounded_sample, components, keep_memo_of, key_change, materialize, n_parts, split_hot, whole_groups, with_field
 
 SAMPLE, BUCKET = 4_096, 1_024
 _LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
@@ -203,7 +203,7 @@ def links(fps: DataFrame, radius: int = 3, bucket: int = BUCKET) -> DataFrame:
     """Edges (a, b) between distinct fingerprints fp whose components are those of all pairs within the radius."""
     spark = fps.sparkSession
     n = fps.count()
-    sample = np.array([r.fp for r in fps.orderBy(F.xxhash64("fp", F.lit(9)), "fp").limit(SAMPLE).collect()], np.int64).view(np.uint64)
+    sample = np.array([r.fp for r in bounded_sample(fps.select("fp"), ["fp"], SAMPLE, 9).collect()], np.int64).view(np.uint64)
     rows = split_hot(probes(fps, plan(sample, n, radius)).distinct() if radius > 3 else probes(fps, plan(sample, n, radius)), ["part", "key"], "fp", bucket)
     return rows.repartition(n_parts(spark), "part", "key", "blk").sortWithinPartitions("part", "key", "blk", "fp").mapInArrow(_links(radius), "a long, b long")
 

@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ._common import keep_memo_of, owns_memo, with_field
+from ._common import bounded_sample, keep_memo_of, owns_memo, with_field
 
 SLOT_BITS = 20
 STEMS = (3, 4, 5, 7)
@@ -142,10 +142,10 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", may_learn: Col
     rows = labels.select(F.col(id_col).alias("id"), F.col(label).cast("double").alias("y")).where("id is not null and y in (0, 1)")
     if may_learn is not None:
         rows = rows.where(may_learn)
-    rows = rows.groupBy("id").agg(F.max("y").alias("y")).withColumn("o", F.xxhash64("id")).orderBy("o", "id").limit(max_rows)
+    rows = bounded_sample(rows.groupBy("id").agg(F.max("y").alias("y")), ["id"], max_rows)
     sample = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).join(F.broadcast(rows), "id")
     got = (
-        sample.repartition(1).sortWithinPartitions("o", "id", F.xxhash64("text")).select("text", "y")
+        sample.repartition(1).sortWithinPartitions("__o", "id", F.xxhash64("text")).select("text", "y")
         .mapInArrow(lambda it: _fit(it, epochs), "slot long, weight double").collect()
     )
     if not got:

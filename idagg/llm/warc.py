@@ -27,7 +27,7 @@ import zstandard as zstd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._common import materialize
+from ._common import bounded_sample, materialize
 
 SKIPPABLE = 0x184D2A5D  # fixed value of the format: magic number of the frame that holds the dictionary
 SAMPLE_ROWS, SAMPLE_BYTES, DICTIONARY_BYTES, LEVEL = 1_000, 8 << 20, 110 << 10, 3
@@ -36,10 +36,8 @@ ARCHIVE_BYTES = 16 << 20
 
 def train(pages: DataFrame, sample_rows: int = SAMPLE_ROWS) -> bytes:
     """A dictionary from at most sample_rows payloads (those of the lowest hash) and SAMPLE_BYTES in total."""
-    rows = (
-        pages.select(F.xxhash64("page_id").alias("o"), "page_id", F.coalesce("html", F.lit("")).alias("h"))
-        .where(F.length("h") < 1 << 20).orderBy("o", "page_id", "h").limit(sample_rows).toLocalIterator()
-    )
+    p = pages.select("page_id", F.coalesce("html", F.lit("")).alias("h"))
+    rows = bounded_sample(p, ["page_id"], sample_rows).where(F.length("h") < 1 << 20).orderBy("__o", "page_id", "h").toLocalIterator()
     samples, size = [], 0
     for r in rows:
         raw = r.h.encode()
