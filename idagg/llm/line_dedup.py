@@ -80,6 +80,7 @@ def repeated(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     found = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(_scan, f"id {kind}, tk long, place int, h binary")
     found = materialize(found, "line-chunks")
     first = found.groupBy("h").agg(F.count("*").alias("n"), F.min(F.struct("id", "tk", "place")).alias("first")).where("n > 1").select("h", "first")
+    first = materialize(first, "line-first")  # read back, so that the join below deals both sides anew and can split a hot digest
     occ = found.join(first, "h").select("id", "tk", "place", "h", F.struct("id", "tk", "place").eqNullSafe(F.col("first")).alias("is_first"))
     return materialize(occ.groupBy("id", "tk").agg(F.collect_set(F.struct("place", "h", "is_first")).alias("hs")), "line-repeats")
 
