@@ -274,6 +274,7 @@ def repeated_starts(docs: DataFrame, length: int = LENGTH, k: int = ANCHOR, cap:
     often = found.groupBy("h").agg(
         F.sum(n).alias("n"), F.min("s1").alias("a1"), F.max("s1").alias("z1"), F.min("s2").alias("a2"), F.max("s2").alias("z2")).where("n > 1")
     often = often.select("h", ((F.col("a1") != F.col("z1")) | (F.col("a2") != F.col("z2"))).alias("many"))
+    often = materialize(often, "repeats-often")  # read back, so that the join deals both sides anew and can split a hot anchor
     shared = materialize(found.join(often, "h"), "repeats-shared")
     kinds = shared.groupBy("h", "s1", "s2").agg(
         F.sum(n).alias("n"), F.max("many").alias("many"), F.min(F.struct("id", "tk", F.element_at("at", 1).alias("p"), "lo", "hi")).alias("rep"))
@@ -281,6 +282,7 @@ def repeated_starts(docs: DataFrame, length: int = LENGTH, k: int = ANCHOR, cap:
     whole = shared.join(kinds.where("n > 1").select("h", "s1", "s2"), ["h", "s1", "s2"], "left_semi").select(
         "id", "tk", F.explode("at").alias("p"), "lo", "hi").select("id", "tk", (F.col("p") - F.col("hi")).cast("int").alias("first"), (F.col("p") - F.col("lo")).cast("int").alias("last"))
     groups = kinds.where("many").groupBy("h").agg(F.count("*").alias("m"), F.min("n").alias("least")).where("least = 1").select("h", (F.col("m") > cap).alias("hot"))
+    groups = materialize(groups, "repeats-groups")
     want = kinds.where("many").join(groups, "h").select(
         "rep.id", "rep.tk", F.struct("h", F.col("rep.p").alias("p"), F.col("rep.lo").alias("lo"), F.col("rep.hi").alias("hi"), (F.col("n") == 1).alias("once"), "hot").alias("w"))
     want = want.groupBy("id", "tk").agg(F.collect_list("w").alias("want"))
