@@ -108,10 +108,14 @@ def fit_regions(u, v, h, m: int, sweeps: int = 24, tol: float = 1e-3, kkt: float
     n = np.array([max(1.0, na - both), max(1.0, nb - both), both])
     best = log_likelihood(n, u, v, h, m, q)
     names, reason, residual, done = ("n10", "n01", "n11"), "sweeps", math.inf, 0
+    reach = np.full(3, 3.0)  # of each coordinate's search, on the log scale; it narrows while the optimum stays well inside
     for done in range(1, sweeps + 1):
         before = n.copy()
         for k in range(3):
-            for cand in (0.0, *_line(n, k, u, v, h, m, q)):
+            found = _line(n, k, reach[k], u, v, h, m, q)
+            moved = abs(math.log(max(found, 1e-300) / max(n[k], 1e-2)))
+            reach[k] = 3.0 if moved > 0.9 * reach[k] else min(3.0, max(0.01, 4 * moved))
+            for cand in (0.0, found):
                 trial = n.copy()
                 trial[k] = cand
                 x = log_likelihood(trial, u, v, h, m, q)
@@ -139,19 +143,20 @@ def _residual(n, u, v, h, m, q) -> float:
     return float(max(abs(n[k] * g[k]) / m if n[k] > 0 else max(0.0, g[k]) / m for k in range(3)))
 
 
-def _line(n, k, u, v, h, m, q) -> tuple[float, ...]:
-    """The best value of one coordinate on a log scale around where it is (from 1 where it is zero)."""
+def _line(n, k, reach, u, v, h, m, q) -> float:
+    """The best value of one coordinate by golden section on a log scale, around where it is (around 0.01 where it is zero)."""
+    x = n.copy()
+
     def f(t):
-        x = n.copy()
         x[k] = math.exp(t)
         return log_likelihood(x, u, v, h, m, q)
 
     mid = math.log(max(n[k], 1e-2))
-    lo, hi = mid - 3.0, mid + 3.0
+    lo, hi = mid - reach, mid + reach
     phi = (math.sqrt(5) - 1) / 2
     a, b = hi - phi * (hi - lo), lo + phi * (hi - lo)
     fa, fb = f(a), f(b)
-    while hi - lo > 1e-6:
+    while hi - lo > 1e-5:
         if fa >= fb:
             hi, b, fb = b, a, fa
             a = hi - phi * (hi - lo)
@@ -160,7 +165,7 @@ def _line(n, k, u, v, h, m, q) -> tuple[float, ...]:
             lo, a, fa = a, b, fb
             b = lo + phi * (hi - lo)
             fb = f(b)
-    return (math.exp((lo + hi) / 2),)
+    return math.exp((lo + hi) / 2)
 
 
 def fit_pairs(hist: DataFrame, keys: list[str], p: int = DEFAULT_P, sweeps: int = 24, tol: float = 1e-3, kkt: float = 5e-4) -> DataFrame:

@@ -77,6 +77,17 @@ def cluster_bootstrap(sums: DataFrame, draws: int = 10_000, seed: int = 0, level
     return got.agg(F.lit(float(s.sum() / n.sum())).alias("estimate"), F.percentile("x", F.lit(a)).alias("low"), F.percentile("x", F.lit(1 - a)).alias("high"))
 
 
+def bootstrap_ci(values: DataFrame, key: str, value: str, draws: int = 10_000, seed: int = 0, level: float = 0.95) -> DataFrame:
+    """(estimate, low, high) of a mean over streams, each its own cluster."""
+    rows = values.groupBy(F.col(key).cast("string").alias("window_id")).agg(F.sum(F.col(value).cast("double")).alias("s"), F.count(value).alias("n"))
+    return cluster_bootstrap(rows, draws, seed, level)
+
+
+def counterfactual_rate(rows: DataFrame) -> DataFrame:
+    """Share of counterfactual tasks whose answer follows the altered evidence."""
+    return accuracy(rows.where("arm = 'counterfactual'")).select("n", F.col("accuracy").alias("rate"))
+
+
 def sign_flip_test(sums: DataFrame, draws: int = 100_000, seed: int = 0) -> DataFrame:
     """(diff, p): two-sided randomisation of one sign a window; the observed arrangement counts as one draw."""
     spark = sums.sparkSession

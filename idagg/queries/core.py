@@ -567,6 +567,13 @@ def cm_bound(s, d):
     return e.agg(F.count("*").alias("probes"), F.every(F.col("estimate") >= F.col("f")).alias("never_below"), F.every(F.col("estimate") <= F.col("f") + F.lit(math.e) * F.col("n") / 64).alias("within_bound"))
 
 
+@query("cm_error", CM_READ + " SELECT round(median(estimate - f), 6) AS median_over, CAST(max(estimate - f) AS BIGINT) AS most_over FROM e")
+def cm_error(s, d):
+    f = users(s, d).groupBy("identity").agg(F.count("*").alias("f"))
+    over = F.col("estimate") - F.col("f")
+    return cm_point(s, d).join(f, "identity").agg(F.round(F.median(over), 6).alias("median_over"), F.max(over).alias("most_over"))
+
+
 @query("cm_replay_doubles", "WITH " + cm_sql("events", "user_id") + " SELECT row, col, 2 * c AS c FROM cm")
 def cm_replay(s, d):
     u = users(s, d)

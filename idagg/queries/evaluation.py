@@ -414,6 +414,18 @@ def stat_boot(s, d):
     return b.select(F.round("estimate", 9).alias("estimate"), ((F.col("low") <= F.col("estimate")) & (F.col("estimate") <= F.col("high"))).alias("inside"))
 
 
+@query("stat_bootstrap_streams", "WITH e AS (SELECT strftime(ts, '%Y-%m-%d') AS day, count(DISTINCT user_id) AS n FROM events GROUP BY ALL) SELECT round(avg(n), 9) AS estimate, TRUE AS inside FROM e")
+def stat_boot_streams(s, d):
+    e = T(s, d, "events").groupBy(F.date_format("ts", "yyyy-MM-dd").alias("day")).agg(F.count_distinct("user_id").alias("n"))
+    b = stats.bootstrap_ci(e, "day", "n", 2_000)
+    return b.select(F.round("estimate", 9).alias("estimate"), ((F.col("low") <= F.col("estimate")) & (F.col("estimate") <= F.col("high"))).alias("inside"))
+
+
+@query("stat_counterfactual_rate", TK + " SELECT count(*) AS n, 1.0::DOUBLE AS rate FROM tasks")
+def stat_cf(s, d):
+    return stats.counterfactual_rate(arms.counterfactual_arm(all_tasks(s, d)))
+
+
 @query("stat_sign_flip", ARMS + " SELECT round(avg(a.score - b.score), 9) AS diff, TRUE AS p_in_range FROM ar a JOIN ar b USING (task_id) WHERE a.arm = 'exact' AND b.arm = 'ctx_direct'")
 def stat_sign(s, d):
     p = stats.paired(arm_rows(s, d), "exact", "ctx_direct")
@@ -444,6 +456,13 @@ def b_approx(s, d):
     return x.select("l_returnflag", "exact", (e(F.col("approx_estimate"), F.col("exact")) <= D_BOUND).alias("approx_near"), (e(F.col("hll_estimate"), F.col("exact")) <= D_BOUND).alias("sketch_near"))
 
 
+@query("builtin_hll_sketch", "SELECT count(DISTINCT l_partkey) AS exact, TRUE AS near FROM lineitem")
+def b_sketch(s, d):
+    r = T(s, d, "lineitem").select(F.col("l_partkey").alias("identity"))
+    x = builtin.builtin_distinct(r).crossJoin(exact.exact_distinct(r))
+    return x.select("exact", (measures.relerr(F.col("hll_estimate"), F.col("exact")) <= D_BOUND).alias("near"))
+
+
 @query("builtin_hll_union", "SELECT count(DISTINCT o_custkey) AS exact, TRUE AS near FROM orders")
 def b_union(s, d):
     r = T(s, d, "orders").select("o_orderpriority", F.col("o_custkey").alias("identity"))
