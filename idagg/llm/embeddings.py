@@ -113,12 +113,10 @@ def clusters(vectors: DataFrame, threshold: float = 0.95, id_col: str = "vec_id"
             yield pa.RecordBatch.from_arrays([b.column("id"), pa.array(raw, pa.binary())], ["id", "raw"])
 
     rows = materialize(vectors.select(F.col(id_col).cast("long").alias("id"), F.col(vec_col).alias("v")).mapInArrow(pack, "id long, raw binary"), "vectors")
-    # a node is a distinct vector; its name is 64 bits of its digest, which are checked to be distinct
+    # a node is a distinct vector; its number is fixed once the table is written
     own = rows.where("raw is not null").groupBy("raw").agg(F.count("*").alias("w"), F.min("id").alias("rep"))
-    own = materialize(own.withColumn("node", F.conv(F.substring(F.sha1("raw"), 1, 15), 16, 10).cast("long")), "vectors-distinct")
-    n, names = own.agg(F.count("*"), F.count_distinct("node")).first()
-    if n != names:
-        raise ValueError("two vectors share a 60-bit name")
+    own = materialize(own.withColumn("node", F.monotonically_increasing_id()), "vectors-distinct")
+    n = own.count()
     bits, tables = tables_for(n, threshold, miss)
     words = own.select("raw", "node", "w").mapInArrow(_hash(bits, tables, seed, kind), "raw binary, node long, w long, words array<int>")
     spread = words.select("raw", "node", "w", "words", F.length("raw").alias("dim"), F.posexplode("words").alias("tab", "word"))
