@@ -22,6 +22,8 @@ def extract(df: DataFrame, specs: list[OperandSpec]) -> DataFrame:
     if len(specs) == 1:
         rows = df.where(specs[0].where).select(part(OperandSpec(**{**specs[0].__dict__, "where": "true"})).alias("r"))
     else:
+        if all(s.where != "true" for s in specs):  # what no operand wants needn't leave the scan
+            df = df.where(" OR ".join(f"({s.where})" for s in specs))
         rows = df.select(F.explode(F.array_compact(F.array(*map(part, specs)))).alias("r"))
     return rows.select("r.*").where("identity is not null")
 

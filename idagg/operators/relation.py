@@ -19,12 +19,23 @@ from idagg.spec import DEFAULT_P
 FIT_SCHEMA = "n10 double, n01 double, n11 double, reason string, iterations int, boundary string, residual double, valid boolean"
 
 
-def pair_histogram(a: DataFrame, b: DataFrame, keys: list[str], p: int = DEFAULT_P) -> DataFrame:
+def pair_cells(regs: DataFrame, a: str, b: str, keys: list[str], stream: str = "stream_id") -> DataFrame:
+    """(keys, u, v, h) for streams a and b of one register relation, without the cell of registers empty in both: one pass over the
+    relation, however it was made."""
+    s, r = F.col(stream), F.col("r")
+    x = regs.where(s.isin(a, b)).groupBy(*keys, "j").agg(
+        F.coalesce(F.max(F.when(s == a, r)), F.lit(0)).alias("u"), F.coalesce(F.max(F.when(s == b, r)), F.lit(0)).alias("v"))
+    return x.groupBy(*keys, "u", "v").agg(F.count("*").alias("h"))
+
+
+def pair_histogram(a: DataFrame, b: DataFrame, keys: list[str], p: int = DEFAULT_P, complete: bool = True) -> DataFrame:
     """(keys, u, v, h): how many registers have value u in a and v in b; counts of a key sum to m.
 
-    One conditional maximum by (keys, j) aligns the arrays; registers empty in both are what is left of m."""
+    One conditional maximum by (keys, j) aligns the arrays; registers empty in both are what is left of m (added where complete)."""
     x = a.select(*keys, "j", F.col("r").alias("__u"), F.lit(0).alias("__v")).unionByName(b.select(*keys, "j", F.lit(0).alias("__u"), F.col("r").alias("__v")))
     cells = x.groupBy(*keys, "j").agg(F.max("__u").alias("u"), F.max("__v").alias("v")).groupBy(*keys, "u", "v").agg(F.count("*").alias("h"))
+    if not complete:
+        return cells
     rest = cells.groupBy(*keys).agg((F.lit(1 << p) - F.sum("h")).alias("h")).where("h > 0").select(*keys, F.lit(0).alias("u"), F.lit(0).alias("v"), "h")
     return cells.unionByName(rest)
 
@@ -169,11 +180,13 @@ def _line(n, k, reach, u, v, h, m, q) -> float:
 
 
 def fit_pairs(hist: DataFrame, keys: list[str], p: int = DEFAULT_P, sweeps: int = 24, tol: float = 1e-3, kkt: float = 5e-4) -> DataFrame:
-    """(keys, regions and diagnostics) of each pair's histogram."""
+    """(keys, regions and diagnostics) of each pair's histogram; registers that it leaves out are empty in both."""
     m = 1 << p
 
     def one(pdf: pd.DataFrame) -> pd.DataFrame:
-        got = fit_regions(pdf["u"].to_numpy(), pdf["v"].to_numpy(), pdf["h"].to_numpy(), m, sweeps, tol, kkt)
+        u, v, h = (np.append(pdf[c].to_numpy(), x) for c, x in (("u", 0), ("v", 0), ("h", m - int(pdf["h"].sum()))))
+        keep = h > 0
+        got = fit_regions(u[keep], v[keep], h[keep], m, sweeps, tol, kkt)
         return pd.DataFrame([{**{k: pdf[k].iloc[0] for k in keys}, **got}])
 
     names = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in hist.schema if f.name in keys)
@@ -196,9 +209,8 @@ def relate(regs: DataFrame, a: str, b: str, keys: list[str] | None = None, p: in
     """Readouts for streams a and b of a register relation, by keys if any."""
     keys = keys or []
     named = [*keys, "pair_id"]
-    pid = F.lit(f"{a}|{b}").alias("pair_id")
-    x, y = (regs.where(F.col(stream) == s).select(*keys, pid, "j", "r") for s in (a, b))
-    return readouts(fit_pairs(pair_histogram(x, y, named, p), named, p, **fit), named)
+    cells = pair_cells(regs, a, b, keys, stream).withColumn("pair_id", F.lit(f"{a}|{b}"))
+    return readouts(fit_pairs(cells, named, p, **fit), named)
 
 
 def relation_matrix(regs: DataFrame, stream: str = "stream_id", p: int = DEFAULT_P, **fit) -> DataFrame:
@@ -207,7 +219,7 @@ def relation_matrix(regs: DataFrame, stream: str = "stream_id", p: int = DEFAULT
     pairs = s.join(s.withColumnRenamed("a", "b"), F.col("a") < F.col("b"))
     x = pairs.join(regs.select(F.col(stream).alias("a"), "j", "r"), "a")
     y = pairs.join(regs.select(F.col(stream).alias("b"), "j", "r"), "b")
-    return readouts(fit_pairs(pair_histogram(x, y, ["a", "b"], p), ["a", "b"], p, **fit), ["a", "b"])
+    return readouts(fit_pairs(pair_histogram(x, y, ["a", "b"], p, complete=False), ["a", "b"], p, **fit), ["a", "b"])
 
 
 def inclusion_exclusion(na: float, nb: float, nu: float) -> float:

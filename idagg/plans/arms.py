@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from idagg.operators.frequency import build_countmin, read_frequency
 from idagg.operators.readouts import read_distinct
 from idagg.operators.registers import build_registers, merge_registers
-from idagg.operators.relation import fit_pairs, pair_histogram, readouts
+from idagg.operators.relation import fit_pairs, pair_cells, readouts
 from idagg.plans import tasks as T
 from idagg.plans.tasks import unit
 from idagg.spec import DEFAULT_P
@@ -98,8 +98,7 @@ def budgeted_evidence(records: DataFrame, p: int = DEFAULT_P, relations: bool =
     freq = read_frequency(cells, first.select("window_id", "identity"), ["window_id"], seed=1)
     out = out.unionByName(freq.select("window_id", F.lit("frequency").alias("operator"), F.col("estimate").cast("double").alias("estimate"), ok))
     if relations:
-        h = pair_histogram(regs.where("stream_id = 'a'"), regs.where("stream_id = 'b'"), ["window_id"], p)
-        r = readouts(fit_pairs(h, ["window_id"], p), ["window_id"])
+        r = readouts(fit_pairs(pair_cells(regs, "a", "b", ["window_id"]), ["window_id"], p), ["window_id"])
         for op, c in (("jaccard", "jaccard"), ("containment", "containment_ab")):
             out = out.unionByName(r.select("window_id", F.lit(op).alias("operator"), F.col(c).alias("estimate"), "valid"))
     return out

@@ -184,6 +184,15 @@ def hll_distinct(s, d):
     return readouts.read_distinct(registers.build_registers(order_keys(s, d), []), []).select(R4("estimate"))
 
 
+@query("hll_distinct_compiled_hash", "SELECT l_returnflag, count(DISTINCT l_orderkey) AS exact, TRUE AS near FROM lineitem GROUP BY l_returnflag")
+def hll_distinct_compiled(s, d):
+    """The fast hash family: no text digest, all in generated code."""
+    r = order_keys(s, d, ["l_returnflag"])
+    e = readouts.read_distinct(registers.build_registers(r, ["l_returnflag"], family="xx"), ["l_returnflag"])
+    x = e.join(exact.exact_distinct(r, ["l_returnflag"]), "l_returnflag")
+    return x.select("l_returnflag", "exact", (measures.relerr(F.col("estimate"), F.col("exact")) <= 4 * reference_error(2048)).alias("near"))
+
+
 @query("hll_grouped", "WITH " + sql.regs("g", "(SELECT event_type, strftime(ts, '%Y-%m-%d') AS day, user_id FROM events)", "day, event_type", "user_id") + " " + sql.estimate("g", "day, event_type"))
 def hll_grouped(s, d):
     r = T(s, d, "events").select(F.date_format("ts", "yyyy-MM-dd").alias("day"), "event_type", F.col("user_id").alias("identity"))

@@ -260,6 +260,8 @@ def test_histogram_counts_m(spark):
     g = states(spark, a=range(30), b=range(20, 50))
     h = relation.pair_histogram(*(g.where(F.col("stream_id") == k).select("j", "r") for k in "ab"), [])
     assert h.agg(F.sum("h")).first()[0] == 2048 and h.where("u = 0 and v = 0").count() == 1
+    assert as_set(relation.pair_cells(g, "a", "b", [])) == as_set(h.where("u > 0 or v > 0"))
+    assert planner.scans(relation.pair_cells(g, "a", "b", [])) <= 1
 
 
 # ---- frequencies
