@@ -18,6 +18,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -51,44 +52,67 @@ def words_of(text: str | None) -> list[str]:
     return _WORDS((text or "").lower())
 
 
-def shingle_hashes(words: list[str]) -> np.ndarray:
-    """A 32-bit hash of each shingle, in order."""
-    if not words:
-        return np.zeros(0, np.uint32)
-    h = np.fromiter(map(_HASH.__getitem__, words), np.uint64, len(words))
-    k = min(SHINGLE, len(words))
+def _mix(h: np.ndarray, k: int) -> np.ndarray:
+    """A 32-bit hash of each k adjacent words."""
+    n = len(h) - k + 1
     with np.errstate(over="ignore"):
-        s = np.full(len(words) - k + 1, np.uint64(k))
+        s = np.full(n, np.uint64(k))
         for j in range(k):
-            s = (s ^ (h[j : len(h) - k + 1 + j] * _STEP[j])) * _A
+            s = (s ^ (h[j : n + j] * _STEP[j])) * _A
             s ^= s >> np.uint64(29)
     return (s >> np.uint64(32)).astype(np.uint32)
 
 
+def shingle_hashes(words: list[list[str]]) -> list[np.ndarray]:
+    """Of each text of SHINGLE words or more, a hash of each shingle, in order; of shorter ones none."""
+    sizes = [len(w) for w in words]
+    h = np.fromiter(map(_HASH.__getitem__, chain.from_iterable(words)), np.uint64, sum(sizes))
+    s = _mix(h, SHINGLE) if len(h) >= SHINGLE else np.zeros(0, np.uint32)
+    out, at = [], 0
+    for n in sizes:
+        out.append(s[at : at + max(0, n - SHINGLE + 1)] if n >= SHINGLE else s[:0])
+        at += n
+    return out
+
+
 def shingle_text(words: list[str], at: int) -> str:
     return " ".join(words[at : at + SHINGLE])
 
 
-def minima(s: np.ndarray, size: int) -> np.ndarray:
-    """blocks x HASHES: minima of each block of so many shingles."""
-    cuts = np.arange(0, len(s), size)
-    out = np.empty((len(cuts), HASHES), np.uint32)
+def item_minima(s: np.ndarray) -> np.ndarray:
+    """The least value of each hash function over a shingle set."""
+    with np.errstate(over="ignore"):
+        return (s[:, None] * _MUL[None] + _ADD[None]).min(0)
+
+
+def block_minima(many: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """blocks x HASHES minima of blocks of BASE shingles, and the number of blocks of each text; the last block of a text is filled up
+    with its last shingle, which changes no minimum."""
+    counts = np.array([-(-len(s) // BASE) for s in many])
+    buf = np.empty(int(counts.sum()) * BASE, np.uint32)
+    at = 0
+    for s, n in zip(many, counts.tolist(), strict=True):
+        buf[at : at + len(s)] = s
+        buf[at + len(s) : at + n * BASE] = s[-1]
+        at += n * BASE
+    out = np.empty((len(buf) // BASE, HASHES), np.uint32)
     with np.errstate(over="ignore"):
         for k in range(HASHES):
-            out[:, k] = np.minimum.reduceat(s * _MUL[k] + _ADD[k], cuts)
-    return out
+            v = (buf * _MUL[k] + _ADD[k]).reshape(-1, BASE)
+            v = np.minimum(v[:, :4], v[:, 4:])
+            v = np.minimum(v[:, :2], v[:, 2:])
+            np.minimum(v[:, 0], v[:, 1], out=out[:, k])
+    return out, counts
 
 
-def merged_pairs(m: np.ndarray) -> np.ndarray:
-    """Minima of blocks of twice the size."""
-    out = m[::2].copy()
-    np.minimum(out[: len(m) // 2], m[1::2], out=out[: len(m) // 2])
-    return out
-
-
-def windows(m: np.ndarray) -> np.ndarray:
-    """Minima of each two adjacent blocks."""
-    return np.minimum(m[:-1], m[1:]) if len(m) > 1 else m
+def _pairs(m: np.ndarray, counts: np.ndarray, step: int, made: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Minima of blocks i * step and the next one within each text, for i below ``made`` of the text; and the text of each."""
+    text = np.repeat(np.arange(len(counts)), made)
+    i = np.arange(len(text)) - np.repeat(np.cumsum(made) - made, made)
+    start = np.repeat(np.cumsum(counts) - counts, made)
+    left = start + i * step
+    right = np.minimum(left + 1, start + np.repeat(counts, made) - 1)
+    return np.minimum(m[left], m[right]), text
 
 
 def miss_chance(q: int, c: int, threshold: float, hashes: int = HASHES) -> float:
@@ -119,10 +143,10 @@ class ItemIndex:
             c = BASE
             while c < len(own):
                 c *= 2
-            by_class.setdefault(c, []).append((k, shingle_hashes(w)))
+            by_class.setdefault(c, []).append((k, shingle_hashes([w])[0]))
         self.classes: dict[int, tuple] = {}
         for c, found in by_class.items():
-            keys = np.array([minima(s, len(s))[0] for _, s in found])  # items x HASHES
+            keys = np.array([item_minima(s) for _, s in found])  # items x HASHES
             which = np.array([k for k, _ in found])
             coded = (np.arange(HASHES, dtype=np.uint64) << np.uint64(32)) | keys.astype(np.uint64)
             order = np.argsort(coded.ravel(), kind="stable")
@@ -131,46 +155,53 @@ class ItemIndex:
             table[np.tile(np.arange(HASHES), len(found)), (keys >> np.uint32(16)).ravel()] = True
             self.classes[c] = (flat, np.repeat(which, HASHES)[order], table)
 
-    def candidates(self, s: np.ndarray) -> set[int]:
-        """Items that share a minimum with a window of the shingles s."""
-        out: set[int] = set()
-        if not len(s) or not self.classes:
+    def candidates(self, many: list[np.ndarray]) -> list[set[int]]:
+        """Of each text, the items that share a minimum with a window of its shingles (each text has some)."""
+        out: list[set[int]] = [set() for _ in many]
+        if not many or not self.classes:
             return out
-        m, size, top = minima(s, BASE), BASE, max(self.classes)
-        cols = np.arange(HASHES)
+        m, counts = block_minima(many)
+        size, top, cols = BASE, max(self.classes), np.arange(HASHES)
         while True:
             if size in self.classes:
                 flat, which, table = self.classes[size]
-                w = windows(m)
+                w, text = _pairs(m, counts, 1, np.maximum(1, counts - 1))
                 r, k = np.nonzero(table[cols, w >> np.uint32(16)])
                 if len(r):
                     code = (k.astype(np.uint64) << np.uint64(32)) | w[r, k].astype(np.uint64)
-                    code = np.unique(code)
                     lo, hi = np.searchsorted(flat, code, "left"), np.searchsorted(flat, code, "right")
-                    for a, z in zip(lo[hi > lo], hi[hi > lo], strict=True):
-                        out.update(which[a:z].tolist())
+                    for j in np.flatnonzero(hi > lo):
+                        out[text[r[j]]].update(which[lo[j] : hi[j]].tolist())
             if size >= top:
                 return out
-            m, size = merged_pairs(m), size * 2
-
-    def find(self, text: str | None) -> list[tuple]:
-        """(item, containment) of the items that the text holds."""
-        w = words_of(text)
-        if not w:
-            return []
-        if len(w) < SHINGLE:
-            return [(self.ids[k], 1.0) for k in self.short.get(" ".join(w), [])]
-        got = self.candidates(shingle_hashes(w))
-        if not got:
-            return []
-        have = {shingle_text(w, i) for i in range(len(w) - SHINGLE + 1)}
-        out = []
-        for k in sorted(got):
-            share = len(self.sets[k] & have) / len(self.sets[k])
-            if share >= self.threshold:
-                out.append((self.ids[k], share))
+            m, _ = _pairs(m, counts, 2, -(-counts // 2))
+            counts, size = -(-counts // 2), size * 2
+
+    def find_many(self, texts: list[str | None]) -> list[list[tuple]]:
+        """Of each text, (item, containment) of the items that it holds."""
+        words = [words_of(t) for t in texts]
+        hashes = shingle_hashes(words)
+        long = [k for k, s in enumerate(hashes) if len(s)]
+        got = dict(zip(long, self.candidates([hashes[k] for k in long]), strict=True))
+        out: list[list[tuple]] = []
+        for k, w in enumerate(words):
+            found = []
+            if got.get(k):
+                have = {shingle_text(w, i) for i in range(len(w) - SHINGLE + 1)}
+                for j in sorted(got[k]):
+                    share = len(self.sets[j] & have) / len(self.sets[j])
+                    if share >= self.threshold:
+                        found.append((self.ids[j], share))
+            elif w and len(w) < SHINGLE:
+                found = [(self.ids[j], 1.0) for j in self.short.get(" ".join(w), [])]
+            out.append(found)
         return out
 
+    def find_in(self, column: pa.Array, slice_rows: int = 64) -> Iterator[list[tuple]]:
+        """find_many over a column of texts, a bounded slice at a time."""
+        for lo in range(0, len(column), slice_rows):
+            yield from self.find_many(column.slice(lo, slice_rows).to_pylist())
+
 
 def _blocks(benchmark: DataFrame, item_col: str, item_text: str, block_items: int) -> Iterator[list[tuple]]:
     """The items, a bounded block at a time."""
@@ -193,8 +224,8 @@ def search(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8, id_col
             index = ItemIndex(shared.value, threshold)
             for b in batches:
                 ids, items, shares = [], [], []
-                for d, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                    for item, share in index.find(t.as_py()):
+                for d, found in zip(b.column(0).to_pylist(), index.find_in(b.column(1)), strict=True):
+                    for item, share in found:
                         ids.append(d)
                         items.append(item)
                         shares.append(share)
@@ -218,7 +249,7 @@ def drop_contaminated(docs: DataFrame, benchmark: DataFrame, threshold: float =
             keep_memo_of("decontaminate")
             index = ItemIndex(shared.value, threshold)
             for b in batches:
-                yield b.filter(pa.array([not index.find(t.as_py()) for t in b.column(text_col)], pa.bool_()))
+                yield b.filter(pa.array([not found for found in index.find_in(b.column(text_col))], pa.bool_()))
 
         return df.mapInArrow(run, df.schema)
 

@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -71,7 +72,7 @@ def slots(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
     words = [_WORDS(t.lower()) for t in texts]
     sizes = np.fromiter(map(len, words), np.int64, len(words))
     n = int(sizes.sum())
-    rows = np.fromiter((x for w in words for x in map(_ROWS.__getitem__, w)), np.int64, n)
+    rows = np.fromiter(map(_ROWS.__getitem__, chain.from_iterable(words)), np.int64, n)
     at = np.repeat(np.arange(len(words), dtype=np.int32), sizes)
     every = _ROWS.table[rows]
     h = every[:, 0]
