@@ -4,7 +4,7 @@ An item counts as found where at least ``threshold`` of its distinct 5-word shin
 size-partitioned MinHash search: items are partitioned by shingle count into classes of sizes (c/2, c]; for a class, a document is read
 as windows of two adjacent blocks of c shingles, so that a place which holds an item shares a large part of its window however long the
 document is. In a class the containment threshold gives a least Jaccard similarity of item and window, and with it the chance to miss
-with ``hashes`` minima; any equal minimum makes a candidate. Block minima are computed once for the smallest class and merged in pairs for
+with ``hashes`` minima (at most 4e-5); any equal minimum makes a candidate. Items of up to TINY shingles are looked up by their shingles. Block minima are computed once for the smallest class and merged in pairs for
 larger ones. Candidates are verified by exact containment, comparing shingle texts over the whole document.
 
 Items are a stated query set. They are broadcast in blocks of at most ``block_items``, each block one pass over the documents; documents
@@ -29,6 +29,7 @@ from pyspark.sql import functions as F
 from ._common import keep_memo_of, owns_memo
 
 SHINGLE, HASHES, BASE, BLOCK_ITEMS = 5, 48, 8, 50_000
+TINY = 4  # items of so few shingles are looked up by each of them: a window would dwarf them
 _WORDS = re.compile(r"\w+").findall
 _A = np.uint64(0x9E3779B97F4A7C15)
 _STEP = [np.uint64((0xC2B2AE3D27D4EB4F * (2 * k + 1)) % (1 << 64)) for k in range(5)]
@@ -128,6 +129,7 @@ class ItemIndex:
         self.threshold = threshold
         self.ids, self.sets = [], []
         self.short: dict[str, list[int]] = {}
+        tiny: list[tuple[int, int]] = []
         by_class: dict[int, list[tuple[int, np.ndarray]]] = {}
         for item, text in items:
             w = words_of(text)
@@ -140,10 +142,18 @@ class ItemIndex:
             if len(w) < SHINGLE:
                 self.short.setdefault(" ".join(w), []).append(k)
                 continue
+            if len(own) <= TINY:
+                tiny += [(int(x), k) for x in shingle_hashes([w])[0]]
+                continue
             c = BASE
             while c < len(own):
                 c *= 2
             by_class.setdefault(c, []).append((k, shingle_hashes([w])[0]))
+        tiny.sort()
+        self.tiny = np.array([x for x, _ in tiny], np.uint32)
+        self.tiny_items = np.array([k for _, k in tiny], np.int64)
+        self.tiny_table = np.zeros(1 << 16, bool)
+        self.tiny_table[self.tiny >> np.uint32(16)] = True
         self.classes: dict[int, tuple] = {}
         for c, found in by_class.items():
             keys = np.array([item_minima(s) for _, s in found])  # items x HASHES
@@ -158,6 +168,11 @@ class ItemIndex:
     def candidates(self, many: list[np.ndarray]) -> list[set[int]]:
         """Of each text, the items that share a minimum with a window of its shingles (each text has some)."""
         out: list[set[int]] = [set() for _ in many]
+        for text, s in enumerate(many if len(self.tiny) else ()):
+            s = s[self.tiny_table[s >> np.uint32(16)]]
+            lo, hi = np.searchsorted(self.tiny, s, "left"), np.searchsorted(self.tiny, s, "right")
+            for j in np.flatnonzero(hi > lo):
+                out[text].update(self.tiny_items[lo[j] : hi[j]].tolist())
         if not many or not self.classes:
             return out
         m, counts = block_minima(many)

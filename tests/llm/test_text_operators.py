@@ -212,7 +212,14 @@ def test_decontamination(spark, odd, none):
     kept = decontaminate.drop_contaminated(odd, bench)
     assert kept.columns == odd.columns and ids(kept) == ALL[1:]
     assert decontaminate.search(none, bench).count() == 0 and decontaminate.search(df, bench.where("false")).count() == 0
-    assert decontaminate.miss_chance(5, 8, 0.8) < 1e-3
+    assert all(decontaminate.miss_chance(q, c, 0.8) < 4e-5 for c in (8, 16, 32, 64) for q in range(c // 2 + 1, c + 1))
+
+
+def test_tiny_items(spark):
+    items = [(k, prose(300 + k, 5 + k % 4)) for k in range(40)]
+    docs = [(k, prose(900 + k, 400) + " " + t + " " + prose(500 + k, 300)) for k, t in items]
+    got = decontaminate.search(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string"))
+    assert {(r.doc_id, r.item_id) for r in got.collect()} == {(k, k) for k, _ in items}
 
 
 # ---- classifiers
