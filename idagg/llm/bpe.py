@@ -27,7 +27,8 @@ from pyspark.sql import functions as F
 from ._common import keep_memo_of, owns_memo
 
 END = "\x00"  # stands for the end-of-word mark; byte symbols are printable, so it can't clash
-MEMO = 300_000  # chunks a worker remembers
+MEMO = 400_000  # chunks a worker remembers
+NEVER = 1 << 60  # rank of a pair that doesn't merge
 _ODD_SPACE = re.compile("[\x1c-\x1f]")
 
 
@@ -71,7 +72,8 @@ class WordBpe:
         for t, i in self.id_of.items():
             self.auto.add_word(t, (t, i, len(t)))
         self.auto.make_automaton()
-        self.pairs: dict[tuple[int, int], bool] = {}
+        self.inner_of = {i: t for t, i in self.id_of.items()}
+        self.pairs: dict[int, bool] = {}
         self.alone: dict[int, bool] = {}
         self.memo: dict[str, tuple[str, str]] = {}
         self.older: dict[str, tuple[str, str]] = {}
@@ -84,47 +86,57 @@ class WordBpe:
         """The encoding by merging in rank order: what the pair test is defined by."""
         parts = list(s[:-2]) + [s[-2:]] if s.endswith(END) else list(s)
         rank = self.rank
-        while len(parts) > 1:
-            best, at = min(((rank.get(p, 1 << 60), k) for k, p in enumerate(zip(parts, parts[1:], strict=False))), default=(1 << 60, 0))
-            if best == 1 << 60:
+        ranks = [rank.get(p, NEVER) for p in zip(parts, parts[1:], strict=False)]
+        while ranks:
+            best = min(ranks)
+            if best == NEVER:
                 break
+            at = ranks.index(best)
             parts[at : at + 2] = [parts[at] + parts[at + 1]]
+            del ranks[at]
+            if at < len(ranks):
+                ranks[at] = rank.get((parts[at], parts[at + 1]), NEVER)
+            if at:
+                ranks[at - 1] = rank.get((parts[at - 1], parts[at]), NEVER)
         return parts
 
-    def may_follow(self, a: str, ia: int, b: str, ib: int) -> bool:
-        """Whether b may stand after a: the encoding of their joint text is the pair."""
-        if len(self.pairs) > 400_000:
+    def may_follow(self, before: int, tok: str, i: int) -> bool:
+        """Whether a token may stand after another: the encoding of their joint text is the pair."""
+        if len(self.pairs) > 500_000:
             self.pairs.clear()
-        ok = self.pairs[ia, ib] = self.merged(a + b) == [a, b]
+        a = self.inner_of[before]
+        ok = self.pairs[before << 20 | i] = self.merged(a + tok) == [a, tok]
         return ok
 
     def encode_word(self, word: str) -> list[int]:
         """word: byte symbols, not empty."""
         n = len(word)
-        back: list = [None] * (n + 2)  # of a prefix: its last token, that token's id and start
+        last = [-1] * (n + 2)  # of a prefix: its last token's id, and where that token starts
+        begin = [0] * (n + 2)
         alone, pairs = self.alone, self.pairs
         for end, (tok, i, size) in self.auto.iter(word + END):
             p = end + 1
-            if back[p] is not None:
+            if last[p] >= 0:
                 continue
             start = p - size
-            if start == 0:
-                ok = alone.get(i)
+            if start:
+                before = last[start]
+                if before < 0:
+                    continue
+                ok = pairs.get(before << 20 | i)
                 if ok is None:
-                    ok = alone[i] = len(self.merged(tok)) == 1
+                    ok = self.may_follow(before, tok, i)
             else:
-                last = back[start]
-                if last is None:
-                    continue
-                ok = pairs.get((last[1], i))
+                ok = alone.get(i)
                 if ok is None:
-                    ok = self.may_follow(last[0], last[1], tok, i)
+                    ok = alone[i] = len(self.merged(tok)) == 1
             if ok:
-                back[p] = (tok, i, start)
+                last[p] = i
+                begin[p] = start
         out, p = [], n + 1
         while p:
-            _, i, p = back[p]
-            out.append(i)
+            out.append(last[p])
+            p = begin[p]
         return out[::-1]
 
     def encode_plain(self, chunk: str) -> list[int]:
@@ -164,7 +176,7 @@ class WordBpe:
             ids = self.encode_word(self._symbols_of(word))
             got = (" ".join(map(str, ids)), self.decode(ids))
             if len(word) <= 64:
-                if len(self.word_memo) >= MEMO // 2:
+                if len(self.word_memo) >= MEMO // 4:
                     self.word_memo.clear()
                 self.word_memo[word] = got
         return got
