@@ -22,8 +22,8 @@ def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def cut_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without chunks of lines that an earlier document, or place, has too; n_chars follows the text."""
-    got = line_dedup.dedup(docs).drop("__n_lines", "__cut_lines", "__cut_chunks")
+    """Documents without runs of two or more lines that an earlier document, or place, has too; n_chars follows the text."""
+    got = line_dedup.dedup(docs, runs=True).drop("__n_lines", "__cut_lines", "__cut_chunks")
     return got.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else got
 
 

@@ -5,6 +5,11 @@ depend on nearby lines only, and a passage that is shifted by inserted lines fal
 of two lines or more that occur again anywhere, in the same or another document, are removed but for their first occurrence (smallest id,
 then place). Chunks of one line stay.
 
+With ``runs`` a boundary stands after every line instead, and neighbouring lines that repeat together, two or more, make up a chunk: each pair of
+adjacent lines is looked up, and pairs that overlap are one chunk. So every line of every run of two or more lines that occurred before
+goes, wherever the run begins and ends. A line is only cut where the same line, in the same pair, stands at an earlier place, so some copy
+of each line stays.
+
 Two jobs: chunk digests (128 bits) are counted, aggregated before the shuffle, and the occurrences to remove are listed by document;
 then documents are joined with their lists. Every removal is decided by a comparison of bytes: the texts of repeated chunks are
 aggregated to least and greatest by digest, and chunks of a digest where those differ (none, short of a collision of 128 bits) all stay.
@@ -46,6 +51,19 @@ def chunks(text: str, window: int = WINDOW, mask: int = MASK) -> list[list[str]]
     return out
 
 
+def pieces(text: str, runs: bool) -> list[tuple[int, list[str]]]:
+    """First line's number and lines of each piece that is looked up: chunks of two lines or more, or all pairs of adjacent lines."""
+    if runs:
+        lines = text.split("\n")
+        return [(k, lines[k : k + 2]) for k in range(len(lines) - 1)]
+    out, at = [], 0
+    for c in chunks(text):
+        if len(c) > 1:
+            out.append((at, c))
+        at += len(c)
+    return out
+
+
 def _digest(chunk: list[str]) -> bytes:
     return xxhash.xxh3_128_digest("\n".join(chunk).encode("utf-8", "replace"))
 
@@ -54,30 +72,33 @@ def _text_key(text: str | None) -> int:
     return xxhash.xxh3_64_intdigest((text or "").encode("utf-8", "replace")) - (1 << 63)
 
 
-def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Chunks of two lines or more, by digest."""
-    keep_memo_of(None)
-    for b in batches:
-        ids, keys, places, digests = [], [], [], []
-        for d, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-            t = t.as_py()
-            if not t or "\n" not in t:
-                continue
-            key = _text_key(t)
-            for k, c in enumerate(chunks(t)):
-                if len(c) > 1:
+def _scan(runs: bool):
+    """Pieces by digest."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keep_memo_of(None)
+        for b in batches:
+            ids, keys, places, digests = [], [], [], []
+            for d, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
+                t = t.as_py()
+                if not t or "\n" not in t:
+                    continue
+                key = _text_key(t)
+                for k, c in pieces(t, runs):
                     ids.append(d)
                     keys.append(key)
                     places.append(k)
                     digests.append(_digest(c))
-        yield pa.RecordBatch.from_arrays(
-            [pa.array(ids, b.schema.field(0).type), pa.array(keys, pa.int64()), pa.array(places, pa.int32()), pa.array(digests, pa.binary())], ["id", "tk", "place", "h"])
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(ids, b.schema.field(0).type), pa.array(keys, pa.int64()), pa.array(places, pa.int32()), pa.array(digests, pa.binary())], ["id", "tk", "place", "h"])
 
+    return run
 
-def repeated(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(id, tk, hs): of each document, the digests and places of its chunks that repeat, and whether each is the first."""
+
+def repeated(docs: DataFrame, id_col: str, text_col: str, runs: bool = False) -> DataFrame:
+    """(id, tk, hs): of each document, the digests and first lines of its pieces that repeat, and whether each is the first."""
     kind = docs.schema[id_col].dataType.simpleString()
-    found = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(_scan, f"id {kind}, tk long, place int, h binary")
+    found = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(_scan(runs), f"id {kind}, tk long, place int, h binary")
     found = materialize(found, "line-chunks")
     first = found.groupBy("h").agg(F.count("*").alias("n"), F.min(F.struct("id", "tk", "place")).alias("first")).where("n > 1").select("h", "first")
     first = materialize(first, "line-first")  # read back, so that the join below deals both sides anew and can split a hot digest
@@ -85,19 +106,34 @@ def repeated(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return materialize(occ.groupBy("id", "tk").agg(F.collect_set(F.struct("place", "h", "is_first")).alias("hs")), "line-repeats")
 
 
-def _flagged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Text of each listed chunk, once a digest and batch."""
-    for b in batches:
-        seen: dict[tuple, bytes] = {}
-        for t, hs in zip(b.column("text"), b.column("hs").to_pylist(), strict=True):
-            cs = chunks(t.as_py())
-            for x in hs:
-                raw = "\n".join(cs[x["place"]]).encode("utf-8", "replace")
-                seen[x["h"], raw] = raw
-        yield pa.RecordBatch.from_arrays([pa.array([h for h, _ in seen], pa.binary()), pa.array(list(seen.values()), pa.binary())], ["h", "chunk"])
+def _flagged(runs: bool):
+    """Text of each listed piece, once a digest and batch."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            seen: dict[tuple, bytes] = {}
+            for t, hs in zip(b.column("text"), b.column("hs").to_pylist(), strict=True):
+                cs = dict(pieces(t.as_py(), runs))
+                for x in hs:
+                    raw = "\n".join(cs[x["place"]]).encode("utf-8", "replace")
+                    seen[x["h"], raw] = raw
+            yield pa.RecordBatch.from_arrays([pa.array([h for h, _ in seen], pa.binary()), pa.array(list(seen.values()), pa.binary())], ["h", "chunk"])
+
+    return run
+
+
+def _cut(text: str, drop: set[int], runs: bool) -> tuple[str, int, int]:
+    """The text without the pieces that begin at the lines of drop, how many lines went, and how many chunks: pieces that overlap are one."""
+    gone: set[int] = set()
+    n_chunks = 0
+    for k, c in pieces(text, runs):
+        if k in drop:
+            n_chunks += k not in gone
+            gone.update(range(k, k + len(c)))
+    return "\n".join(x for k, x in enumerate(text.split("\n")) if k not in gone), len(gone), n_chunks
 
 
-def _rebuild(text_at: int, hs_at: int, bad: frozenset):
+def _rebuild(text_at: int, hs_at: int, bad: frozenset, runs: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             texts, n_lines, cut_lines, cut_chunks = [], [], [], []
@@ -105,15 +141,13 @@ def _rebuild(text_at: int, hs_at: int, bad: frozenset):
                 t, hs = t.as_py(), hs.as_py()
                 drop = {x["place"] for x in hs or () if not x["is_first"] and x["h"] not in bad}
                 n = 0 if t is None else t.count("\n") + 1
-                gone = 0
+                gone = n_chunks = 0
                 if drop:
-                    cs = chunks(t)
-                    gone = sum(len(cs[k]) for k in drop)
-                    t = "\n".join(line for k, c in enumerate(cs) if k not in drop for line in c)
+                    t, gone, n_chunks = _cut(t, drop, runs)
                 texts.append(t)
                 n_lines.append(n)
                 cut_lines.append(gone)
-                cut_chunks.append(len(drop))
+                cut_chunks.append(n_chunks)
             cols = [pa.array(texts, pa.string()) if k == text_at else b.column(k) for k in range(b.num_columns) if k != hs_at]
             names = [n for k, n in enumerate(b.schema.names) if k != hs_at]
             yield pa.RecordBatch.from_arrays(
@@ -122,9 +156,9 @@ def _rebuild(text_at: int, hs_at: int, bad: frozenset):
     return run
 
 
-def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", runs: bool = False) -> DataFrame:
     """docs with repeated chunks cut from text_col, and columns __n_lines, __cut_lines, __cut_chunks."""
-    lists = repeated(docs, id_col, text_col).select(F.col("id").alias("__id"), F.col("tk").alias("__tk"), F.col("hs").alias("__hs"))
+    lists = repeated(docs, id_col, text_col, runs).select(F.col("id").alias("__id"), F.col("tk").alias("__tk"), F.col("hs").alias("__hs"))
 
     @F.pandas_udf("long")
     def text_key(s):
@@ -133,7 +167,7 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
     keyed = docs.withColumn("__key", text_key(F.col(text_col)))
     cond = F.col(id_col).eqNullSafe(F.col("__id")) & (F.col("__key") == F.col("__tk"))
     listed = keyed.hint("merge").join(lists, cond, "inner").select(F.col(text_col).alias("text"), F.col("__hs").alias("hs"))
-    texts = listed.mapInArrow(_flagged, "h binary, chunk binary")
+    texts = listed.mapInArrow(_flagged(runs), "h binary, chunk binary")
     differ = texts.groupBy("h").agg(F.min("chunk").alias("lo"), F.max("chunk").alias("hi")).where("lo <> hi").select("h")
     bad = frozenset(bytes(r.h) for r in differ.limit(10_000).collect())  # digest collisions: their chunks all stay
     joined = keyed.hint("merge").join(lists, cond, "left").drop("__key", "__id", "__tk")
@@ -141,4 +175,4 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
     schema = docs
     for n in ("__n_lines", "__cut_lines", "__cut_chunks"):
         schema = schema.withColumn(n, F.lit(0).cast("long"))
-    return joined.mapInArrow(_rebuild(names.index(text_col), names.index("__hs"), bad), schema.schema)
+    return joined.mapInArrow(_rebuild(names.index(text_col), names.index("__hs"), bad, runs), schema.schema)

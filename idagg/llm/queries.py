@@ -26,7 +26,7 @@ def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    got = line_dedup.dedup(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    got = line_dedup.dedup(table(spark, sf_dir, "documents").select("doc_id", "text"), runs=True)
     return got.select(
         "doc_id", F.col("__n_lines").alias("n_lines"), F.col("__cut_lines").alias("n_removed_lines"), F.col("__cut_chunks").alias("n_removed_chunks"),
         F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))

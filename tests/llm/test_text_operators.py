@@ -189,6 +189,30 @@ def test_line_dedup(spark, odd, none):
     assert line_dedup.dedup(none).count() == 0
 
 
+@pytest.mark.parametrize("n", range(2, 9))
+def test_line_dedup_cuts_every_repeated_run(spark, n, tmp_path):
+    """Passages of n lines inside otherwise different documents, at any place, through the registered query: brute force over pairs of lines."""
+    texts = [lines(f"own{n}/{k}", 3 + k % 5).split("\n") for k in range(24)]
+    for k in range(0, 24, 2):
+        passage = lines(f"shared{n}/{k}", n).split("\n")
+        texts[k][k % 3 : k % 3] = passage
+        texts[k + 1][2:2] = passage
+    texts += [["x", "x", "x", "y"], ["y", "x", "x"], ["", "", "z"], ["z"], ["p", "q"], ["p", "q", "r"], ["q", "r"]]
+    spark.createDataFrame([(k, "\n".join(t)) for k, t in enumerate(texts)], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r.doc_id: r for r in queries.op3_line_dedup(spark, str(tmp_path)).collect()}
+    seen: set[tuple] = set()
+    for k, t in enumerate(texts):
+        gone: set[int] = set()
+        for i in range(len(t) - 1):
+            gone |= {i, i + 1} if (t[i], t[i + 1]) in seen else set()
+            seen.add((t[i], t[i + 1]))
+        if k < 24:
+            assert len(gone) == n * (k % 2)
+            assert got[k].n_removed_chunks == k % 2
+        assert got[k].n_removed_lines == len(gone)
+        assert got[k].kept_sha256 == hashlib.sha256("\n".join(x for i, x in enumerate(t) if i not in gone).encode()).hexdigest()
+
+
 # ---- decontamination
 
 
