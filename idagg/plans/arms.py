@@ -6,6 +6,7 @@ hash-driven noisy rule, or a hash coin where evidence is withheld. Their scores
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass
 from typing import Protocol
 
@@ -174,15 +175,15 @@ def program_for(task) -> str:
     }[task["operator"]]
 
 
-def code_arm(spark: SparkSession, tasks: DataFrame, records: DataFrame, rounds: int = 3, most: int = 2_000) -> DataFrame:
+def code_arm(spark: SparkSession, tasks: DataFrame, records: DataFrame, rounds: int = 3, most: int = 2_000, at_once: int = 8) -> DataFrame:
     """A program is generated and run for each task, up to ``rounds`` times if it fails: one job a task, which is this arm's cost.
 
-    Tasks are a stated, bounded list (``most``); windows' records are read by each program from the view."""
+    Tasks are a stated, bounded list (``most``); windows' records are read by each program from the view. ``at_once`` jobs run side by side."""
     if (n := tasks.count()) > most:
         raise ValueError(f"{n} programs: give a smaller task list")
     records.createOrReplaceTempView("window_records")
-    rows = []
-    for t in tasks.collect():
+
+    def run(t):
         text, x, used = program_for(t.asDict()), None, 0
         for used in range(1, rounds + 1):
             try:
@@ -190,7 +191,10 @@ def code_arm(spark: SparkSession, tasks: DataFrame, records: DataFrame, rounds:
                 break
             except Exception:  # noqa: BLE001  whatever a generated program raises costs a round
                 continue
-        rows.append((t.task_id, x, used, len(text.split())))
+        return t.task_id, x, used, len(text.split())
+
+    with ThreadPoolExecutor(at_once) as pool:
+        rows = list(pool.map(run, tasks.collect()))
     got = spark.createDataFrame(rows, "task_id string, estimate double, used int, tokens int")
     d = tasks.join(got, "task_id")
     out = terminal(d, "code_exec", F.when(F.col("estimate") > F.col("threshold"), "act").otherwise("watch"), F.col("estimate").isNotNull(), "execution", tokens=F.col("tokens"))

@@ -329,6 +329,17 @@ def arm_code(s, d):
     return rows_of(arms.code_arm(s, tasks.code_subset(tasks.generate(tasks.targets(r)), CODE_N), r))
 
 
+CODE_ALL = CODE.replace(f"LIMIT {CODE_N}", f"LIMIT {tasks.CODE_TASKS}")
+
+
+@query("arm_code_all_tasks", TK + CODE_ALL + " SELECT task_id, gold AS answer, 'ok' AS status, 1::INTEGER AS score FROM cs")
+def arm_code_all(s, d):
+    """One generated program and job a task, over the whole fixed subset. Records are cached by window, so that a program reads its window's only."""
+    r = rec(s, d).repartitionByRange("window_id").sortWithinPartitions("window_id").cache()
+    t = tasks.code_subset(tasks.generate(tasks.targets(r))).cache()
+    return rows_of(arms.code_arm(s, t, r))
+
+
 def arm_rows(s, d):
     """Rows of six arms that need no fit, over all tasks."""
     r = rec(s, d)
