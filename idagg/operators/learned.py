@@ -62,10 +62,12 @@ class SetEncoder:
         return cls(r.normal(0, 1.5, (HEADS, SLOTS, WIDTH)), r.normal(0, WIDTH**-0.5, (WIDTH, WIDTH)), r.normal(0, STATE**-0.5, (STATE, hidden)),
                    np.zeros(hidden), r.normal(0, hidden**-0.5, hidden), 0.0, np.zeros(STATE), np.ones(STATE), seed)
 
-    def partial_state(self, identities: np.ndarray) -> np.ndarray:
-        """Additive over any split of the records, and so not blind to repeats."""
+    def partial_state(self, identities: np.ndarray, times: np.ndarray | None = None) -> np.ndarray:
+        """Additive over any split of the records, and so not blind to repeats; times says how many records each identity stands for."""
         x = trunk_features(identities, seed=self.seed)
         gate = 1 / (1 + np.exp(-np.einsum("nd,hsd->nhs", x, self.keys)))
+        if times is not None:
+            gate = gate * np.asarray(times, float)[:, None, None]
         sums = np.einsum("nhs,nd->sd", gate, np.tanh(x @ self.values)) / HEADS
         return np.concatenate([sums.ravel(), gate.sum(0).T.ravel()])
 
@@ -106,22 +108,23 @@ class SetEncoder:
 class SumPoolEncoder(SetEncoder):
     """Sum pooling without attention: every slot counts every record alike."""
 
-    def partial_state(self, identities: np.ndarray) -> np.ndarray:
+    def partial_state(self, identities: np.ndarray, times: np.ndarray | None = None) -> np.ndarray:
         x = np.tanh(trunk_features(identities, seed=self.seed) @ self.values)
-        return np.concatenate([np.tile(x.sum(0), SLOTS), np.full(SLOTS * HEADS, float(len(x)))])
+        times = np.ones(len(x)) if times is None else np.asarray(times, float)
+        return np.concatenate([np.tile(times @ x, SLOTS), np.full(SLOTS * HEADS, times.sum())])
 
 
-def encode_states(records: DataFrame, key: str, encoder: SetEncoder, identity: str = "identity") -> DataFrame:
-    """(key, state array<double>): partial sums in each task, then added up by key."""
+def encode_states(records: DataFrame, key: str, encoder: SetEncoder, identity: str = "identity", times: str | None = None) -> DataFrame:
+    """(key, state array<double>): partial sums in each task, then added up by key. A row stands for as many records as column times says."""
     shared = records.sparkSession.sparkContext.broadcast(encoder)  # 70 KB of parameters
     kind = records.schema[key].dataType.simpleString()
 
     def partial(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
-            rows = [(k, shared.value.partial_state(g[identity].to_numpy()).tolist()) for k, g in f.groupby(key, sort=False)]
+            rows = [(k, shared.value.partial_state(g[identity].to_numpy(), g[times].to_numpy() if times else None).tolist()) for k, g in f.groupby(key, sort=False)]
             yield pd.DataFrame(rows, columns=[key, "state"])
 
-    parts = records.select(key, identity).where(F.col(identity).isNotNull()).mapInPandas(partial, f"{key} {kind}, state array<double>")
+    parts = records.select(key, identity, *([times] if times else [])).where(F.col(identity).isNotNull()).mapInPandas(partial, f"{key} {kind}, state array<double>")
     summed = parts.select(key, F.posexplode("state").alias("__k", "x")).groupBy(key, "__k").agg(F.sum("x").alias("x"))
     return summed.groupBy(key).agg(F.transform(F.array_sort(F.collect_list(F.struct("__k", "x"))), lambda s: s["x"]).alias("state"))
 

@@ -422,17 +422,26 @@ def hll_length(s, d):
 
 
 @query("hll_length_prefixes", "WITH t AS (SELECT l_partkey, row_number() OVER (ORDER BY l_orderkey, l_linenumber, l_partkey, l_suppkey) AS k FROM lineitem), " + ", ".join(sql.regs(f"g{n}", f"t WHERE k <= {n}", "", "l_partkey") for n in (8000, 50000)) + " " + " UNION ALL ".join(f"SELECT {n}::BIGINT AS length, estimate FROM ({sql.estimate(f'g{n}', '')})" for n in (8000, 50000)))
-def hll_prefixes(s, d):
+def hll_prefixes(s, d, lengths=(8000, 50000)):
     """Prefixes of a table in a stated order: a top-n by that order, which is the workload's own limit."""
     t = T(s, d, LI).select("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
     out = None
-    for n in (8000, 50000):
+    for n in lengths:
         r = t.orderBy("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey").limit(n).select(F.col("l_partkey").alias("identity"))
         one = readouts.read_distinct(registers.build_registers(r, []), []).select(F.lit(n).cast("long").alias("length"), R4("estimate"))
         out = one if out is None else out.unionByName(one)
     return out
 
 
+@query("hll_length_prefixes_all")
+def hll_prefixes_all(s, d):
+    """The prefixes of all three lengths, with the exact count beside."""
+    lengths = (8_000, 50_000, 200_000)
+    t = T(s, d, LI).select("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
+    top = [t.orderBy("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey").limit(n).agg(F.lit(n).cast("long").alias("length"), F.count("*").alias("records"), F.count_distinct("l_partkey").alias("exact")) for n in lengths]
+    return hll_prefixes(s, d, lengths).join(reduce(lambda a, b: a.unionByName(b), top), "length")
+
+
 @query("hll_million", "SELECT 2::BIGINT AS n, TRUE AS low_error")
 def hll_million(s, d):
     from idagg.sources.generated import distinct_streams

@@ -1,9 +1,14 @@
 """Queries that run an experiment at its full numbers."""
 
 import duckdb
+import numpy as np
+import pytest
 
 from idagg import workloads
+from idagg.operators import learned
 from idagg.plans import tasks
+from idagg.queries import evaluation
+from idagg.sources.generated import identity_streams
 
 
 def test_code_subset_is_whole(sf):
@@ -15,3 +20,35 @@ def test_code_subset_is_whole(sf):
     every = con.sql("WITH " + tasks.TASK_SQL.strip() + " SELECT DISTINCT window_id, operator FROM tasks").fetchall()
     assert len(got) == tasks.CODE_TASKS == 1200 and got.task_id.is_unique
     assert {tuple(x.rsplit("/", 2)[:2]) for x in got.task_id} == set(every) and len(every) > 1000
+
+
+@pytest.mark.parametrize("kind", [learned.SetEncoder, learned.SumPoolEncoder])
+def test_length_errors_brute_force(spark, kind):
+    """A small fixture: the encoder fed record by record, and counts from Python sets."""
+    e = kind.create(3)
+    e.mean = np.full(learned.STATE, 0.1)
+    rows = identity_streams(spark, 5, 1_500, 100, 400, 7).toPandas()
+    err = []
+    for _, g in rows.groupby("stream_no"):
+        n = g.identity.nunique()
+        err.append(abs(float(e.decode(e.partial_state(g.identity.to_numpy()))[0]) - n) / n)
+    got = evaluation.length_errors(spark, e, 5, 1_500, 100, 400).collect()
+    assert len(got) == 1 and got[0].n == 5 and got[0].length == 1_500
+    assert got[0].encoder_median == pytest.approx(np.median(err), rel=1e-6) and got[0].hll_median < 4 * 1.04 / 2048**0.5
+
+
+def test_lengths_are_whole(spark, sf):
+    got = {r.length: r for r in workloads.queries()["enc_vs_hll_error"](spark, sf).collect()}
+    assert set(got) == {8_000, 50_000, 200_000}
+    for r in got.values():
+        assert r.n == 100 and 0.005 < r.hll_median < 0.025 and r.encoder_median > r.hll_median
+    print("LENGTHS", sorted(got.items()))
+
+
+def test_prefixes_are_whole(spark, tmp_path):
+    spark.range(210_000).selectExpr("id div 4 as l_orderkey", "cast(id % 4 as int) as l_linenumber", "pmod(xxhash64(id), 30000) as l_partkey", "id % 7 as l_suppkey").write.parquet(f"{tmp_path}/lineitem.parquet")
+    ids = [r.k for r in spark.range(210_000).selectExpr("id", "pmod(xxhash64(id), 30000) as k").orderBy("id").collect()]
+    got = {r.length: r for r in workloads.queries()["hll_length_prefixes_all"](spark, str(tmp_path)).collect()}
+    assert set(got) == {8_000, 50_000, 200_000}
+    for n, r in got.items():
+        assert r.records == n and r.exact == len(set(ids[:n])) and abs(r.estimate - r.exact) < 4 * 1.04 / 2048**0.5 * r.exact
