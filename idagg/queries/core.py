@@ -407,6 +407,30 @@ def hll_error(s, d):
     return got.select("p", "n", (F.col("rms_relerr") < 1.6 * ref).alias("near_reference"))
 
 
+GRID, GRID_STREAMS = (100, 1_000, 10_000, 100_000, 1_000_000), {8: 240, 9: 200, 10: 160, 11: 160, 12: 120, 13: 120}
+
+
+def grid_errors(s, grid, streams):
+    """(p, n, rms_relerr, mean_relerr, reference): each budget over its number of streams, dealt evenly to the sizes of the grid. One scan of the
+    generated sets serves all budgets; the fewer streams of a larger budget are the first ones."""
+    from idagg.sources.generated import distinct_streams
+
+    if any(n % len(grid) for n in streams.values()):
+        raise ValueError("streams must go evenly into the sizes")
+    reps = {p: n // len(grid) for p, n in streams.items()}
+    per = F.element_at(F.create_map(*(F.lit(x) for p in streams for x in (p, reps[p]))), F.col("p"))
+    regs = sweep_registers(distinct_streams(s, list(grid), max(reps.values())), ["cardinality", "rep"], tuple(streams), family="xx").where(F.col("rep") < per)
+    e = read_sweep(regs, ["cardinality", "rep"]).withColumn("exact", F.col("cardinality"))
+    ref = F.element_at(F.create_map(*(F.lit(x) for p in streams for x in (p, reference_error(1 << p)))), F.col("p"))
+    return measures.summary(e, ["p"]).select("p", "n", "rms_relerr", "mean_relerr", ref.alias("reference"))
+
+
+@query("hll_error_grid")
+def hll_error_grid(s, d):
+    """Errors of all budgets over sets of 100 to 1,000,000 identities."""
+    return grid_errors(s, GRID, GRID_STREAMS)
+
+
 @query("hll_length_extrapolation", "SELECT length::BIGINT AS length, 20::BIGINT AS n, TRUE AS low_error FROM (VALUES (8000), (50000)) AS v(length)")
 def hll_length(s, d):
     """Median error of streams of two lengths, with as many identities whatever the length."""
@@ -451,6 +475,25 @@ def hll_million(s, d):
     return got.select("n", (F.col("mean_relerr") < 0.06).alias("low_error"))
 
 
+def seed_errors(s, size, streams, seeds):
+    """(n, mean_relerr, rms_relerr): each stream of ``size`` identities under each hash seed, from one scan."""
+    from idagg.sources.generated import distinct_streams
+
+    parts = []
+    for k in range(seeds):
+        j, r = index_rank(hash64("identity", k, "xx"), 11)
+        parts.append(F.struct(F.lit(k).alias("seed"), j.alias("j"), r.alias("r")))
+    x = distinct_streams(s, [size], streams).select("rep", F.explode(F.array(*parts)).alias("x")).select("rep", "x.*")
+    e = readouts.read_distinct(registers.merge_registers(x, ["rep", "seed"]), ["rep", "seed"])
+    return measures.summary(e.withColumn("exact", F.lit(size)), []).select("n", "mean_relerr", "rms_relerr")
+
+
+@query("hll_million_seeds")
+def hll_million_seeds(s, d):
+    """Two streams of a million identities under ten hash seeds: twenty estimates."""
+    return seed_errors(s, 1_000_000, 2, 10)
+
+
 # ---- windows over states
 
 EV_DAY = "(SELECT CAST(ts AS DATE) AS day, user_id FROM events)"

@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 
 from idagg.functions.hashing import hash64
 
+PIECE = 250_000
+
 
 def stream_sizes(spark: SparkSession, streams: int, low: int, high: int, seed: int) -> DataFrame:
     """(stream_no, n): each stream's number of identities, drawn from low..high by a keyed hash."""
@@ -25,9 +27,12 @@ def identity_streams(spark: SparkSession, streams: int, length: int, low: int =
 
 
 def distinct_streams(spark: SparkSession, sizes: list[int], repeats: int, seed: int = 0) -> DataFrame:
-    """(cardinality, rep, identity): for each size, ``repeats`` sets of exactly that many identities."""
-    plan = spark.createDataFrame([(n, r) for n in sizes for r in range(repeats)], "cardinality long, rep int")
-    return plan.select("cardinality", "rep", F.explode(F.sequence(F.lit(0).cast("long"), F.col("cardinality") - 1)).alias("k")).select(
+    """(cardinality, rep, identity): for each size, ``repeats`` sets of exactly that many identities. Tasks make pieces of a set, so that large
+    sets don't pile up in one."""
+    plan = [(n, r, a, min(n, a + PIECE)) for n in sizes for r in range(repeats) for a in range(0, n, PIECE)]
+    parts = max(1, min(len(plan), sum(b - a for *_, a, b in plan) // PIECE))
+    pieces = spark.createDataFrame(plan, "cardinality long, rep int, a long, b long").repartition(parts)
+    return pieces.select("cardinality", "rep", F.explode(F.sequence("a", F.col("b") - 1)).alias("k")).select(
         "cardinality", "rep", F.concat_ws("-", F.lit(f"u{seed}"), F.col("cardinality").cast("string"), F.col("rep").cast("string"), F.col("k").cast("string")).alias("identity"))
 
 

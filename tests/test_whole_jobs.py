@@ -3,12 +3,13 @@
 import duckdb
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from idagg import workloads
-from idagg.operators import learned
+from idagg.operators import learned, readouts, registers
 from idagg.plans import tasks
-from idagg.queries import evaluation
-from idagg.sources.generated import identity_streams
+from idagg.queries import core, evaluation
+from idagg.sources.generated import distinct_streams, identity_streams
 
 
 def test_code_subset_is_whole(sf):
@@ -52,3 +53,41 @@ def test_prefixes_are_whole(spark, tmp_path):
     assert set(got) == {8_000, 50_000, 200_000}
     for n, r in got.items():
         assert r.records == n and r.exact == len(set(ids[:n])) and abs(r.estimate - r.exact) < 4 * 1.04 / 2048**0.5 * r.exact
+
+
+def test_pieces_make_whole_sets(spark):
+    d = distinct_streams(spark, [3, 600_000], 2)
+    got = {(r.cardinality, r.rep): (r.n, r.u) for r in d.groupBy("cardinality", "rep").agg(F.count("*").alias("n"), F.count_distinct("identity").alias("u")).collect()}
+    assert got == {(n, k): (n, n) for n in (3, 600_000) for k in (0, 1)}
+    assert d.where("cardinality = 3 and rep = 1").select("identity").toPandas().identity.sort_values().tolist() == [f"u0-3-1-{k}" for k in range(3)]
+
+
+def test_grid_errors_brute_force(spark):
+    """A small grid against states built and read one by one."""
+    streams = {8: 6, 11: 4}
+    got = {r.p: r for r in core.grid_errors(spark, (50, 3_000), streams).collect()}
+    for p, n in streams.items():
+        err = []
+        for size in (50, 3_000):
+            one = distinct_streams(spark, [size], n // 2)
+            err += [abs(r.estimate - size) / size for r in readouts.read_distinct(registers.build_registers(one, ["rep"], p, family="xx"), ["rep"], p).collect()]
+        assert got[p].n == n == len(err)
+        assert got[p].rms_relerr == pytest.approx(np.sqrt(np.mean(np.square(err)))) and got[p].mean_relerr == pytest.approx(np.mean(err))
+
+
+def test_seed_errors_brute_force(spark):
+    one = distinct_streams(spark, [5_000], 2)
+    err = [abs(r.estimate - 5_000) / 5_000 for k in range(3) for r in readouts.read_distinct(registers.build_registers(one, ["rep"], seed=k, family="xx"), ["rep"]).collect()]
+    got = core.seed_errors(spark, 5_000, 2, 3).first()
+    assert got.n == 6 and got.mean_relerr == pytest.approx(np.mean(err)) and len({round(x, 9) for x in err}) == 6
+
+
+def test_error_grid_and_million_are_whole(spark, sf):
+    got = {r.p: r for r in workloads.queries()["hll_error_grid"](spark, sf).collect()}
+    print("GRID", sorted(got.items()))
+    assert {p: r.n for p, r in got.items()} == {8: 240, 9: 200, 10: 160, 11: 160, 12: 120, 13: 120}
+    m = workloads.queries()["hll_million_seeds"](spark, sf).first()
+    print("MILLION", m)
+    assert m.n == 20 and m.mean_relerr <= 0.025
+    for r in got.values():
+        assert 0.7 * r.reference < r.rms_relerr < 1.3 * r.reference
