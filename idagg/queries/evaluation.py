@@ -421,14 +421,14 @@ def stat_holm(s, d):
 
 @query("stat_cluster_bootstrap", ARMS + " SELECT round(avg(score), 9) AS estimate, TRUE AS inside FROM ar WHERE arm = 'ctx_cot'")
 def stat_boot(s, d):
-    b = stats.cluster_bootstrap(stats.window_sums(arm_rows(s, d).where("arm = 'ctx_cot'")), 2_000)
+    b = stats.cluster_bootstrap(stats.window_sums(arm_rows(s, d).where("arm = 'ctx_cot'")))
     return b.select(F.round("estimate", 9).alias("estimate"), ((F.col("low") <= F.col("estimate")) & (F.col("estimate") <= F.col("high"))).alias("inside"))
 
 
 @query("stat_bootstrap_streams", "WITH e AS (SELECT strftime(ts, '%Y-%m-%d') AS day, count(DISTINCT user_id) AS n FROM events GROUP BY ALL) SELECT round(avg(n), 9) AS estimate, TRUE AS inside FROM e")
 def stat_boot_streams(s, d):
     e = T(s, d, "events").groupBy(F.date_format("ts", "yyyy-MM-dd").alias("day")).agg(F.count_distinct("user_id").alias("n"))
-    b = stats.bootstrap_ci(e, "day", "n", 2_000)
+    b = stats.bootstrap_ci(e, "day", "n")
     return b.select(F.round("estimate", 9).alias("estimate"), ((F.col("low") <= F.col("estimate")) & (F.col("estimate") <= F.col("high"))).alias("inside"))
 
 
@@ -440,7 +440,7 @@ def stat_cf(s, d):
 @query("stat_sign_flip", ARMS + " SELECT round(avg(a.score - b.score), 9) AS diff, TRUE AS p_in_range FROM ar a JOIN ar b USING (task_id) WHERE a.arm = 'exact' AND b.arm = 'ctx_direct'")
 def stat_sign(s, d):
     p = stats.paired(arm_rows(s, d), "exact", "ctx_direct")
-    t = stats.sign_flip_test(stats.window_sums(p, "diff", ()), 10_000)
+    t = stats.sign_flip_test(stats.window_sums(p, "diff", ()))
     return t.select(F.round("diff", 9).alias("diff"), ((F.col("p") > 0) & (F.col("p") <= 1)).alias("p_in_range"))
 
 
@@ -451,7 +451,7 @@ CONTRASTS = [("exact", "aggregate_only"), ("exact", "policy_only"), ("exact", "c
 def stat_contrasts(s, d):
     """Eight paired contrasts: sign-flip p-values, then Holm's adjustment."""
     r = arm_rows(s, d).cache()
-    parts = [stats.sign_flip_test(stats.window_sums(stats.paired(r, a, b), "diff", ()), 10_000).withColumn("contrast", F.lit(f"{a} - {b}")) for a, b in CONTRASTS]
+    parts = [stats.sign_flip_test(stats.window_sums(stats.paired(r, a, b), "diff", ())).withColumn("contrast", F.lit(f"{a} - {b}")) for a, b in CONTRASTS]
     p = reduce(lambda a, b: a.unionByName(b), parts)
     return p.join(stats.holm(p).drop("p"), "contrast")
 

@@ -1,5 +1,7 @@
 """Queries that run an experiment at its full numbers."""
 
+import inspect
+
 import duckdb
 import numpy as np
 import pytest
@@ -7,7 +9,7 @@ from pyspark.sql import functions as F
 
 from idagg import workloads
 from idagg.operators import learned, readouts, registers
-from idagg.plans import tasks
+from idagg.plans import stats, tasks
 from idagg.queries import core, evaluation
 from idagg.sources.generated import distinct_streams, identity_streams
 
@@ -91,3 +93,23 @@ def test_error_grid_and_million_are_whole(spark, sf):
     assert m.n == 20 and m.mean_relerr <= 0.025
     for r in got.values():
         assert 0.7 * r.reference < r.rms_relerr < 1.3 * r.reference
+
+
+@pytest.mark.parametrize("name, test, draws", [
+    ("stat_cluster_bootstrap", "cluster_bootstrap", 10_000), ("stat_bootstrap_streams", "cluster_bootstrap", 10_000),
+    ("stat_sign_flip", "sign_flip_test", 100_000), ("stat_contrasts", "sign_flip_test", 100_000)])
+def test_draws_are_whole(spark, sf, monkeypatch, name, test, draws):
+    """Registered statistics use the full number of draws."""
+    real, used = getattr(stats, test), []
+
+    def noted(*args, **named):
+        call = inspect.signature(real).bind(*args, **named)
+        call.apply_defaults()
+        used.append(call.arguments["draws"])
+        return real(*args, **named)
+
+    monkeypatch.setattr(stats, test, noted)
+    got = workloads.queries()[name](spark, sf).toPandas()
+    assert len(got) and set(used) == {draws}
+    if name == "stat_contrasts":
+        print("CONTRASTS", got.p.min(), got.to_dict("records"))
