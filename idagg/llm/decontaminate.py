@@ -10,8 +10,9 @@ larger ones. Candidates are verified by exact containment, comparing shingle tex
 Items are a stated query set. They are broadcast in blocks of at most ``block_items``, each block one pass over the documents; documents
 aren't shuffled.
 
-Edge cases: null or empty texts hold nothing; an item or document of one to four words is one shingle of all its words; items without
-words are never found; repeated rows are each reported; several items may be found in one document, each on its own row.
+Edge cases: null or empty texts hold nothing; an item of one to four words is one shingle of all its words: it is looked up
+at every place of a document of five words or more, and is found in a shorter one where that has the same words and no others; items
+without words are never found; repeated rows are each reported; several items may be found in one document, each on its own row.
 """
 
 from __future__ import annotations
@@ -164,6 +165,7 @@ class ItemIndex:
             table = np.zeros((HASHES, 1 << 16), bool)  # which upper halves of minima any item has
             table[np.tile(np.arange(HASHES), len(found)), (keys >> np.uint32(16)).ravel()] = True
             self.classes[c] = (flat, np.repeat(which, HASHES)[order], table)
+        self.short_sizes = sorted({x.count(" ") + 1 for x in self.short})
 
     def candidates(self, many: list[np.ndarray]) -> list[set[int]]:
         """Of each text, the items that share a minimum with a window of its shingles (each text has some)."""
@@ -207,11 +209,15 @@ class ItemIndex:
                     share = len(self.sets[j] & have) / len(self.sets[j])
                     if share >= self.threshold:
                         found.append((self.ids[j], share))
-            elif w and len(w) < SHINGLE:
-                found = [(self.ids[j], 1.0) for j in self.short.get(" ".join(w), [])]
-            out.append(found)
+            out.append(found + [(self.ids[j], 1.0) for j in self._short_in(w)])
         return out
 
+    def _short_in(self, words: list[str]) -> list[int]:
+        """Items of fewer words than a shingle that stand anywhere in the words; in as few words, those that equal them."""
+        sizes = self.short_sizes if len(words) >= SHINGLE else [len(words)]
+        runs = {" ".join(words[i : i + n]) for n in sizes for i in range(len(words) - n + 1)}
+        return sorted(j for x in runs & self.short.keys() for j in self.short[x])
+
     def find_in(self, column: pa.Array, slice_rows: int = 64) -> Iterator[list[tuple]]:
         """find_many over a column of texts, a bounded slice at a time."""
         for lo in range(0, len(column), slice_rows):
