@@ -15,6 +15,8 @@ from pyspark.sql import functions as F
 from idagg.functions.hashing import hash64, index_rank
 from idagg.spec import DEFAULT_P
 
+PARTIAL_KEYS = 4_096  # dense states that a task holds before it sends them on
+
 
 def with_registers(records: DataFrame, p: int = DEFAULT_P, seed: int = 0, family: str = "md5", identity: str = "identity") -> DataFrame:
     """records with columns j and r; those without identity are dropped. The hash is computed once."""
@@ -53,45 +55,66 @@ def pack(regs: DataFrame, keys: list[str], p: int = DEFAULT_P) -> DataFrame:
 
 def unpack(states: DataFrame, keys: list[str], p: int = DEFAULT_P, state: str = "state") -> DataFrame:
     """(keys, j, r) of dense states; empty registers have no row."""
-    h = F.hex(state)
-    at = F.filter(F.transform(F.sequence(F.lit(0), F.lit((1 << p) - 1)), lambda k: F.struct(
-        k.alias("j"), F.conv(F.substring(h, k * 2 + 1, F.lit(2)), 16, 10).cast("int").alias("r"))), lambda x: x["r"] > 0)
+    one = lambda k: F.substring(F.col(state), k + 1, F.lit(1))  # noqa: E731  a byte: cutting binary doesn't count characters from the start
+    full = F.filter(F.sequence(F.lit(0), F.lit((1 << p) - 1)), lambda k: one(k) != F.lit(b"\0"))
+    at = F.transform(full, lambda k: F.struct(k.alias("j"), F.conv(F.hex(one(k)), 16, 10).cast("int").alias("r")))
     return states.select(*keys, F.explode(at).alias("x")).select(*keys, "x.j", "x.r")
 
 
 def merge_dense(states: DataFrame, keys: list[str], state: str = "state") -> DataFrame:
-    """Dense states of each key merged by byte-wise maximum, partials first: tasks merge what they hold before anything is shuffled."""
+    """One dense state a key: the byte-wise maximum of any number of them.
+
+    A task first merges what it holds, a bounded number of keys at a time, so repeats of a hot key shrink before they are shuffled. After
+    the shuffle a key's states stand next to each other (sorted), so each key is emitted once, when the next one begins, however many keys
+    a task has; one state is held at a time. Keys may be null; without keys all states merge to one."""
     import numpy as np
     import pyarrow as pa
 
-    names = [*keys, state]
-
-    def partial(batches):
-        best: dict[tuple, np.ndarray] = {}
-        for b in batches:
-            cols = [c.to_pylist() for c in b.columns]
-            for *k, s in zip(*cols, strict=True):
-                v = np.frombuffer(s, np.uint8)
-                k = tuple(k)
-                best[k] = np.maximum(best[k], v) if k in best else v
-            if len(best) > 20_000:
-                yield emit(best)
-                best = {}
-        if best:
-            yield emit(best)
-
-    d = states.select(*names)
+    d = states.select(*keys, state)
     schema = d.schema
 
-    def emit(best):
+    def emit(rows: list[list]):
         from pyspark.sql.pandas.types import to_arrow_schema
 
-        rows = [[*k, v.tobytes()] for k, v in best.items()]
         arrow = to_arrow_schema(schema)
         return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), arrow, strict=True)], schema=arrow)
 
+    def read(batches):
+        for b in batches:
+            for *k, s in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                yield tuple("nan" if x != x else x for x in k), k, np.frombuffer(s, np.uint8)
+
+    def partial(batches):
+        best: dict[tuple, list] = {}
+        for key, k, v in read(batches):
+            if key in best:
+                best[key][-1] = np.maximum(best[key][-1], v)
+            else:
+                best[key] = [*k, v]
+            if len(best) >= PARTIAL_KEYS:
+                yield emit([[*k, v.tobytes()] for *k, v in best.values()])
+                best = {}
+        if best:
+            yield emit([[*k, v.tobytes()] for *k, v in best.values()])
+
+    def final(batches):
+        now, row, out = None, None, []
+        for key, k, v in read(batches):
+            if row is not None and key == now:
+                row[-1] = np.maximum(row[-1], v)
+                continue
+            if row is not None:
+                out.append([*row[:-1], row[-1].tobytes()])
+            now, row = key, [*k, v]
+            if len(out) >= PARTIAL_KEYS:
+                yield emit(out)
+                out = []
+        if row is not None:
+            yield emit([*out, [*row[:-1], row[-1].tobytes()]])
+
     first = d.mapInArrow(partial, schema)
-    return first.repartition(*keys).mapInArrow(partial, schema) if keys else first.coalesce(1).mapInArrow(partial, schema)
+    dealt = first.repartition(*keys).sortWithinPartitions(*keys) if keys else first.coalesce(1)
+    return dealt.mapInArrow(final, schema)
 
 
 def register_mismatches(a: DataFrame, b: DataFrame, keys: list[str]) -> DataFrame:

@@ -179,6 +179,15 @@ def hll_dense_merge(s, d):
     return registers.unpack(registers.merge_dense(st, ["k"]), ["k"]).select("j", "r")
 
 
+@query("hll_dense_merge_many", "WITH " + sql.regs("g", LI, "l_orderkey, l_linenumber", "l_partkey", 8) + " SELECT * FROM g")
+def hll_dense_merge_many(s, d):
+    """Dense states of very many keys, most of them in two segments: more keys than a task merges at a time."""
+    keys = ["l_orderkey", "l_linenumber"]
+    r = T(s, d, LI).select(*keys, (F.col("l_suppkey") % 2).alias("segment_id"), F.col("l_partkey").alias("identity"))
+    st = registers.pack(registers.build_registers(r, [*keys, "segment_id"], 8), [*keys, "segment_id"], 8)
+    return registers.unpack(registers.merge_dense(st, keys), keys, 8)
+
+
 @query("hll_distinct", "WITH " + sql.regs("g", LI, "", "l_orderkey") + " " + sql.estimate("g", ""))
 def hll_distinct(s, d):
     return readouts.read_distinct(registers.build_registers(order_keys(s, d), []), []).select(R4("estimate"))
@@ -291,7 +300,6 @@ def hll_dup(s, d):
 
 
 def _store(s, d, name):
-    import tempfile
     import uuid
 
     base = s.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints/idagg"

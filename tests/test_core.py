@@ -123,6 +123,22 @@ def test_estimator_branches():
         alpha(64)
 
 
+@pytest.mark.parametrize("held", [1, 7, 4_096])
+def test_dense_merge_of_many_keys(spark, held, monkeypatch):
+    """More keys than a task holds, three states each, null keys too: one row a key, the byte-wise maximum."""
+    monkeypatch.setattr(registers, "PARTIAL_KEYS", held)
+    r = random.Random(3)
+    rows = [(k if k % 50 else None, str(k % 7), bytes(r.randrange(5) for _ in range(4))) for k in range(300) for _ in range(3)]
+    want: dict = {}
+    for a, b, v in rows:
+        want[a, b] = bytes(map(max, want.get((a, b), v), v))
+    r.shuffle(rows)
+    df = spark.createDataFrame(rows, "a long, b string, state binary").repartition(5)
+    got = [(x.a, x.b, bytes(x.state)) for x in registers.merge_dense(df, ["a", "b"]).collect()]
+    assert len(got) == len(want) and {(a, b): v for a, b, v in got} == want
+    assert len(registers.merge_dense(df, []).collect()) == 1
+
+
 def test_pack_unpack_dense_merge(spark):
     g = states(spark, a=range(300), b=range(200, 500))
     d = registers.pack(g, ["stream_id"])
