@@ -5,6 +5,7 @@ from __future__ import annotations
 import atexit
 import uuid
 from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
@@ -14,6 +15,7 @@ from pyspark.sql.types import StructType
 
 _ROOTS: dict[str, str] = {}
 _MEMOS: dict[str, Callable[[], None]] = {}
+_SCRATCH: list[list[str]] = []
 
 
 def owns_memo(name: str, clear: Callable[[], None]) -> None:
@@ -65,7 +67,9 @@ def shared_root(spark: SparkSession) -> str:
     if app not in _ROOTS:
         base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
         if not base:
-            base = "file:///tmp/checkpoints/idagg"
+            if not spark.sparkContext.master.startswith("local["):
+                raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+            base = "file:///tmp/checkpoints/idagg"  # one machine: tests
         _ROOTS[app] = f"{base.rstrip('/')}/idagg-{app}-{uuid.uuid4().hex[:8]}"
         atexit.register(_forget, spark, _ROOTS[app])
     return _ROOTS[app]
@@ -79,10 +83,23 @@ def _forget(spark: SparkSession, root: str) -> None:
         pass
 
 
-def materialize(df: DataFrame, name: str) -> DataFrame:
+@contextmanager
+def scratch(spark: SparkSession) -> Iterator[None]:
+    """Tables that are materialized inside are deleted at the end, but those with keep=True, which must not be read from the others later."""
+    _SCRATCH.append([])
+    try:
+        yield
+    finally:
+        for path in _SCRATCH.pop():
+            _forget(spark, path)
+
+
+def materialize(df: DataFrame, name: str, keep: bool = False) -> DataFrame:
     """Write df as Parquet into the shared folder and read it back: lineage ends there and survives lost executors."""
     spark = df.sparkSession
     path = f"{shared_root(spark)}/{name}-{uuid.uuid4().hex[:8]}"
+    if _SCRATCH and not keep:
+        _SCRATCH[-1].append(path)
     df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 

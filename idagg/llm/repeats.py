@@ -14,9 +14,13 @@
 
 Texts are shuffled twice (packed by Zstandard): to fetch snippets, and to cut. Equal snippets are aggregated before every shuffle.
 
+The same search runs over words in place of bytes: ``passages`` finds places where 51 adjacent words stand in another document too, however
+white space parts them. Short words make such a passage shorter than ``length`` bytes, so it's reported beside the cut, which is by bytes alone.
+
 Edge cases: null text counts as empty; texts shorter than ``length`` keep all bytes; matches stay within a document's bytes, and
 overlapping occurrences in one document count; rows that repeat id and text are documents of their own, copies of each other; null ids are
-allowed; a text of one repeated byte is cut but for nothing; an empty table gives no rows.
+allowed; a text of one repeated byte is cut but for nothing; an empty table gives no rows. For passages, rows that repeat id and text
+are one document, and what repeats within one document only doesn't count.
 """
 
 from __future__ import annotations
@@ -30,10 +34,12 @@ import zstandard as zstd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._common import keep_memo_of, key_change, materialize, n_parts, whole_groups
+from ._common import keep_memo_of, key_change, materialize, n_parts, owns_memo, scratch, whole_groups
 from .suffix_array import suffix_array
 
 LENGTH, ANCHOR, CAP, PHRASE = 400, 64, 512, 64
+PASSAGE, PASSAGE_ANCHOR = 51, 8  # words
+WORD = 8  # bytes that stand for a word
 _BASE = 0x9E3779B97F4A7C15
 _BYTE = np.random.default_rng(11).integers(0, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _MIX = np.uint64(0xD6E8FEB86659FD93)
@@ -50,14 +56,33 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _POWERS[0][:n], _POWERS[1][:n]
 
 
-def anchors(raw: bytes, length: int = LENGTH, k: int = ANCHOR) -> list[tuple[int, int, int, int]]:
-    """(hash, place, first window, last window) of each run of windows with one anchor."""
-    n = len(raw)
+class _Words(dict):
+    """Eight bytes that stand for a word; bounded."""
+
+    def __missing__(self, w: bytes) -> bytes:
+        if len(self) > 250_000:
+            self.clear()
+        h = self[w] = xxhash.xxh3_64_digest(w)
+        return h
+
+
+_WORDS = _Words()
+owns_memo("repeats", lambda: _WORDS.clear())
+
+
+def symbols(raw: bytes, unit: int) -> bytes:
+    """The text as symbols of ``unit`` bytes: its bytes themselves (1) or a hash of each word (8)."""
+    return raw if unit == 1 else b"".join(map(_WORDS.__getitem__, raw.split()))
+
+
+def anchors(raw: bytes, length: int = LENGTH, k: int = ANCHOR, unit: int = 1) -> list[tuple[int, int, int, int]]:
+    """(hash, place, first window, last window) of each run of windows with one anchor, counted in symbols."""
+    n = len(raw) // unit
     if n < length:
         return []
     up, down = _powers(n)
     with np.errstate(over="ignore"):
-        c = np.cumsum(_BYTE[np.frombuffer(raw, np.uint8)] * up, dtype=np.uint64)
+        c = np.cumsum((_BYTE[np.frombuffer(raw, np.uint8)] if unit == 1 else np.frombuffer(raw, np.uint64)) * up, dtype=np.uint64)
         h = c[k - 1 :].copy()
         h[1:] -= c[:-k]
         h *= down[: n - k + 1]
@@ -88,20 +113,19 @@ def _two(d: bytes) -> tuple[int, int]:
     return int.from_bytes(d[:8], "little", signed=True), int.from_bytes(d[8:], "little", signed=True)
 
 
-def _scan(length: int, k: int):
+def _scan(length: int, k: int, unit: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        keep_memo_of(None)
+        keep_memo_of("repeats")
         for b in batches:
             rows: list[tuple] = []
             ids: list = []
             for d, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
                 raw = (t.as_py() or "").encode("utf-8", "replace")
-                if len(raw) < length:
-                    continue
                 tk = text_key(raw)
+                raw = symbols(raw, unit)
                 own: dict[tuple, list] = {}
-                for h, p, i, j in anchors(raw, length, k):
-                    own.setdefault((h, xxhash.xxh3_128_digest(raw[i : j + length]), p - j, p - i), []).append(p)
+                for h, p, i, j in anchors(raw, length, k, unit):
+                    own.setdefault((h, xxhash.xxh3_128_digest(raw[i * unit : (j + length) * unit]), p - j, p - i), []).append(p)
                 for (h, s, lo, hi), places in own.items():
                     ids.append(d)
                     rows.append((tk, h, *_two(s), lo, hi, places))
@@ -126,19 +150,21 @@ def _packed(docs: DataFrame, kind: str) -> DataFrame:
     return docs.mapInArrow(run, f"id {kind}, tk long, z binary")
 
 
-def _snippets(length: int):
-    """Bytes before and after the anchor of each listed snippet."""
+def _snippets(length: int, unit: int):
+    """Symbols before and after the anchor of each listed snippet."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keep_memo_of("repeats")
         un = zstd.ZstdDecompressor()
         for b in batches:
             ids, out = [], []
             for d, tk, z, want in zip(b.column("id").to_pylist(), b.column("tk").to_pylist(), b.column("z"), b.column("want").to_pylist(), strict=True):
-                raw = un.decompress(z.as_py())
+                raw = symbols(un.decompress(z.as_py()), unit)
                 for w in want:
                     p = w["p"]
                     ids.append(d)
-                    out.append((tk, w["h"], p, w["lo"], w["hi"], w["once"], w["hot"], raw[p - w["hi"] : p], raw[p : p - w["lo"] + length]))
+                    out.append((
+                        tk, w["h"], p, w["lo"], w["hi"], w["once"], w["hot"], raw[(p - w["hi"]) * unit : p * unit], raw[p * unit : (p - w["lo"] + length) * unit]))
             cols = list(zip(*out, strict=True)) or [()] * 9
             kinds = [pa.int64(), pa.int64(), pa.int32(), pa.int16(), pa.int16(), pa.bool_(), pa.bool_(), pa.binary(), pa.binary()]
             yield pa.RecordBatch.from_arrays(
@@ -172,8 +198,10 @@ def order_by_suffix(strings: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return o, common
 
 
-def shared_windows(left: list[bytes], right: list[bytes], lo: np.ndarray, hi: np.ndarray, group: np.ndarray, length: int) -> list[np.ndarray]:
-    """For each snippet, the offsets x of its anchor in windows that another snippet of its group has too.
+def shared_windows(left: list[bytes], right: list[bytes], lo: np.ndarray, hi: np.ndarray, group: np.ndarray, length: int, unit: int = 1,
+                   owner: np.ndarray | None = None) -> list[np.ndarray]:
+    """For each snippet, the offsets x of its anchor in windows that another snippet of its group (of another owner, if owners are given) has
+    too.
 
     left ends at the anchor, right begins with it; lo and hi bound x."""
     n = len(left)
@@ -189,16 +217,20 @@ def shared_windows(left: list[bytes], right: list[bytes], lo: np.ndarray, hi: np
         live = np.flatnonzero((lo <= x) & (x <= hi))
         if len(live) < 2:
             continue
-        r = np.cumsum(cr < length - x)[br[live]]  # equal for those that share length - x bytes from the anchor on
-        s = np.cumsum(cl < x)[bl[live]] if x else np.zeros(len(live), np.int64)
+        r = np.cumsum(cr < (length - x) * unit)[br[live]]  # equal for those that share length - x symbols from the anchor on
+        s = np.cumsum(cl < x * unit)[bl[live]] if x else np.zeros(len(live), np.int64)
         key = r * (n + 1) + s
         by = np.lexsort((key, group[live]))
         k, g = key[by], group[live][by]
-        same = (k[1:] == k[:-1]) & (g[1:] == g[:-1])
-        hit = np.zeros(len(by), bool)
-        hit[1:] |= same
-        hit[:-1] |= same
-        for i in live[by[hit]]:
+        new = np.ones(len(by), bool)
+        new[1:] = (k[1:] != k[:-1]) | (g[1:] != g[:-1])
+        first = np.flatnonzero(new)
+        if owner is None:
+            many = np.diff(np.append(first, len(by))) > 1
+        else:
+            o = owner[live][by]
+            many = np.minimum.reduceat(o, first) != np.maximum.reduceat(o, first)
+        for i in live[by[many[np.cumsum(new) - 1]]]:
             found[i].append(x)
     return [np.array(f, np.int64) for f in found]
 
@@ -208,7 +240,7 @@ def _runs(x: np.ndarray) -> list[tuple[int, int]]:
     return [(int(c[0]), int(c[-1])) for c in np.split(x, cut)] if len(x) else []
 
 
-def _solve(length: int):
+def _solve(length: int, unit: int, across: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in whole_groups(batches, ["h"], 8_192):
             once = t.column("once").to_numpy(zero_copy_only=False)
@@ -222,7 +254,8 @@ def _solve(length: int):
             if len(keep):
                 s = t.take(pa.array(keep))
                 lo, hi = s.column("lo").to_numpy().astype(np.int64), s.column("hi").to_numpy().astype(np.int64)
-                got = shared_windows(s.column("l").to_pylist(), s.column("r").to_pylist(), lo, hi, group[keep], length)
+                owner = s.column("owner").to_numpy() if across else None
+                got = shared_windows(s.column("l").to_pylist(), s.column("r").to_pylist(), lo, hi, group[keep], length, unit, owner)
                 tk, p, of = s.column("tk").to_numpy(), s.column("p").to_numpy(), s.column("id").to_pylist()
                 for i in np.flatnonzero(once[keep]):
                     for a, z in _runs(got[i]):
@@ -235,7 +268,14 @@ def _solve(length: int):
     return run
 
 
-def _hot(rows: DataFrame, length: int, step: int = 24) -> DataFrame:
+def _owner(across: bool):
+    """What must differ between two occurrences: the document (id and text), or nothing. A snippet that stands in several documents has an
+    owner of its own, unlike that of the document which represents it."""
+    own = F.xxhash64("id", "tk")
+    return F.when(F.col("once"), own).otherwise(F.bitwise_not(own)) if across else F.lit(0).cast("long")
+
+
+def _hot(rows: DataFrame, length: int, unit: int, across: bool, step: int = 24) -> DataFrame:
     """(id, tk, first, last) for snippets of anchors that are too common for one task."""
     n = -(-(length + 1) // step)
     parts = F.filter(
@@ -243,56 +283,79 @@ def _hot(rows: DataFrame, length: int, step: int = 24) -> DataFrame:
             (r * step).alias("x0"), (r * step + step - 1).alias("x1"),
             F.greatest(F.col("lo").cast("int"), r * step).alias("a"), F.least(F.col("hi").cast("int"), r * step + step - 1).alias("z"))),
         lambda c: c["a"] <= c["z"])
-    d = rows.select("id", "tk", "h", "p", "once", "l", "r", F.explode(parts).alias("c")).select("id", "tk", "h", "p", "once", "l", "r", "c.*")
-    tail = "substring(l, length(l) - {0} + 1, {0})"
+    own = ["id", "tk", "owner", "h", "p", "once", "l", "r"]
+    d = rows.select(*own, F.explode(parts).alias("c")).select(*own, "c.*")
+
+    def before(x):
+        return f"substring(l, length(l) - {x} * {unit} + 1, {x} * {unit})"
+
+    def after(x):
+        return f"substring(r, 1, greatest({length} - {x}, 0) * {unit})"
+
     d = d.select(
-        "id", "tk", "h", "p", "once", "x0", "a", "z", F.expr(tail.format("z")).alias("l"), F.expr(f"substring(r, 1, {length} - a)").alias("r"),
-        F.expr(f"md5(concat({tail.format('x0')}, substring(r, 1, greatest({length} - x1, 0))))").alias("core"))
+        "id", "tk", "owner", "h", "p", "once", "x0", "a", "z", F.expr(before("z")).alias("l"), F.expr(after("a")).alias("r"),
+        F.expr(f"md5(concat({before('x0')}, {after('x1')}))").alias("core"))
     d = d.withColumn("whole", F.expr("md5(concat(cast(cast(a as string) as binary), cast('/' as binary), l, r))"))
     same = d.groupBy("h", "x0", "core", "whole").agg(
-        F.count("*").alias("n"), F.first("id").alias("id"), F.first("tk").alias("tk"), F.first("p").alias("p"), F.max("once").alias("once"),
-        F.first("a").alias("a"), F.first("z").alias("z"), F.first("l").alias("l"), F.first("r").alias("r"))
+        F.count("*").alias("n"), F.min("owner").alias("o1"), F.max("owner").alias("o2"), F.first("id").alias("id"), F.first("tk").alias("tk"), F.first("p").alias("p"),
+        F.max("once").alias("once"), F.first("a").alias("a"), F.first("z").alias("z"), F.first("l").alias("l"), F.first("r").alias("r"))
     same = materialize(same, "repeats-hot")
+    # with owners, two rows of a range settle it where they are of two documents; rows of one document that are alike stay open as one
+    many = F.col("o1") != F.col("o2") if across else F.col("n") > 1
     multi = same.groupBy("h", "x0", "core").agg(F.count("*").alias("m")).where("m > 1")
     settled = d.select("id", "tk", "h", "p", "once", "x0", "core", "whole", "a", "z").join(
-        same.where("n > 1").select("h", "x0", "core", "whole"), ["h", "x0", "core", "whole"], "left_semi").where("once").select(
+        same.where(many).select("h", "x0", "core", "whole"), ["h", "x0", "core", "whole"], "left_semi").where("once").select(
         "id", "tk", (F.col("p") - F.col("z")).cast("int").alias("first"), (F.col("p") - F.col("a")).cast("int").alias("last"))
-    each = same.join(multi, ["h", "x0", "core"]).select("id", "tk", "h", "p", (F.col("once") & (F.col("n") == 1)).alias("once"), "l", "r", "a", "z", F.explode(F.sequence("a", "z")).alias("x"))
-    each = each.select("id", "tk", "p", "once", "h", "x", F.expr(f"md5(concat({tail.format('x')}, substring(r, 1, {length} - x)))").alias("w"))
-    again = each.groupBy("h", "x", "w").count().where("count > 1").select("h", "x", "w")
+    if across:  # all places of a document in an open range, not one that stands for them
+        open_ = d.join(same.where(~many).select("h", "x0", "core", "whole"), ["h", "x0", "core", "whole"], "left_semi")
+        open_ = open_.withColumns({"o1": F.col("owner"), "o2": F.col("owner")}).drop("owner")
+        same = open_.unionByName(same.where(many).drop("n").withColumn("once", F.lit(False)).select(*open_.columns))
+    each = same.join(multi, ["h", "x0", "core"]).select(
+        "id", "tk", "o1", "o2", "h", "p", (F.col("once") & ~many).alias("once"), "l", "r", "a", "z", F.explode(F.sequence("a", "z")).alias("x"))
+    each = each.select("id", "tk", "o1", "o2", "p", "once", "h", "x", F.expr(f"md5(concat({before('x')}, {after('x')}))").alias("w"))
+    seen = each.groupBy("h", "x", "w").agg(F.count("*").alias("n"), F.min("o1").alias("o1"), F.max("o2").alias("o2"))
+    again = seen.where(many).select("h", "x", "w")
     single = each.where("once").join(again, ["h", "x", "w"], "left_semi").select(
         "id", "tk", (F.col("p") - F.col("x")).cast("int").alias("first"), (F.col("p") - F.col("x")).cast("int").alias("last"))
     return settled.union(single)
 
 
-def repeated_starts(docs: DataFrame, length: int = LENGTH, k: int = ANCHOR, cap: int = CAP) -> DataFrame:
-    """(id, tk, first, last): runs of starts of windows that occur more than once. docs: id, text."""
+def repeated_starts(docs: DataFrame, length: int = LENGTH, k: int = ANCHOR, cap: int = CAP, unit: int = 1, across: bool = False) -> DataFrame:
+    """(id, tk, first, last): runs of starts of windows that occur more than once; with ``across``, in another document. docs: id, text."""
     spark = docs.sparkSession
     kind = docs.schema["id"].dataType.simpleString()
-    found = materialize(docs.mapInArrow(_scan(length, k), f"id {kind}, tk long, h long, s1 long, s2 long, lo short, hi short, at array<int>"), "repeats-anchors")
-    n = F.size("at")
+    found = materialize(docs.mapInArrow(_scan(length, k, unit), f"id {kind}, tk long, h long, s1 long, s2 long, lo short, hi short, at array<int>"), "repeats-anchors")
+    n, who = F.size("at"), F.struct("id", "tk")
     often = found.groupBy("h").agg(
-        F.sum(n).alias("n"), F.min("s1").alias("a1"), F.max("s1").alias("z1"), F.min("s2").alias("a2"), F.max("s2").alias("z2")).where("n > 1")
+        F.sum(n).alias("n"), F.min("s1").alias("a1"), F.max("s1").alias("z1"), F.min("s2").alias("a2"), F.max("s2").alias("z2"),
+        *([F.min(who).alias("d1"), F.max(who).alias("d2")] if across else [])).where(F.expr("not (d1 <=> d2)" if across else "n > 1"))
     often = often.select("h", ((F.col("a1") != F.col("z1")) | (F.col("a2") != F.col("z2"))).alias("many"))
     often = materialize(often, "repeats-often")  # read back, so that the join deals both sides anew and can split a hot anchor
     shared = materialize(found.join(often, "h"), "repeats-shared")
     kinds = shared.groupBy("h", "s1", "s2").agg(
-        F.sum(n).alias("n"), F.max("many").alias("many"), F.min(F.struct("id", "tk", F.element_at("at", 1).alias("p"), "lo", "hi")).alias("rep"))
-    kinds = materialize(kinds, "repeats-kinds")
-    whole = shared.join(kinds.where("n > 1").select("h", "s1", "s2"), ["h", "s1", "s2"], "left_semi").select(
+        F.sum(n).alias("n"), F.max("many").alias("many"), F.min(F.struct("id", "tk", "at", "lo", "hi")).alias("rep"), F.min(who).alias("d1"), F.max(who).alias("d2"))
+    kinds = materialize(kinds.withColumn("once", F.expr("d1 <=> d2" if across else "n = 1")).drop("d1", "d2", "n"), "repeats-kinds")
+    whole = shared.join(kinds.where("not once").select("h", "s1", "s2"), ["h", "s1", "s2"], "left_semi").select(
         "id", "tk", F.explode("at").alias("p"), "lo", "hi").select("id", "tk", (F.col("p") - F.col("hi")).cast("int").alias("first"), (F.col("p") - F.col("lo")).cast("int").alias("last"))
-    groups = kinds.where("many").groupBy("h").agg(F.count("*").alias("m"), F.min("n").alias("least")).where("least = 1").select("h", (F.col("m") > cap).alias("hot"))
+    groups = kinds.where("many").groupBy("h").agg(F.count("*").alias("m"), F.max("once").alias("open")).where("open").select("h", (F.col("m") > cap).alias("hot"))
     groups = materialize(groups, "repeats-groups")
-    want = kinds.where("many").join(groups, "h").select(
-        "rep.id", "rep.tk", F.struct("h", F.col("rep.p").alias("p"), F.col("rep.lo").alias("lo"), F.col("rep.hi").alias("hi"), (F.col("n") == 1).alias("once"), "hot").alias("w"))
+    places = F.when(F.col("once"), F.col("rep.at")).otherwise(F.slice("rep.at", 1, 1))  # one place stands for a snippet that is settled
+    want = kinds.where("many").join(groups, "h").withColumn("p", F.explode(places)).select(
+        "rep.id", "rep.tk", F.struct("h", "p", F.col("rep.lo").alias("lo"), F.col("rep.hi").alias("hi"), "once", "hot").alias("w"))
     want = want.groupBy("id", "tk").agg(F.collect_list("w").alias("want"))
     texts = _packed(docs, kind).withColumnsRenamed({"id": "id0", "tk": "tk0"})
     snips = texts.hint("merge").join(want, F.col("id").eqNullSafe(F.col("id0")) & (F.col("tk") == F.col("tk0"))).select("id", "tk", "z", "want")
     snips = materialize(snips.mapInArrow(
-        _snippets(length), f"id {kind}, tk long, h long, p int, lo short, hi short, once boolean, hot boolean, l binary, r binary"), "repeats-snippets")
+        _snippets(length, unit), f"id {kind}, tk long, h long, p int, lo short, hi short, once boolean, hot boolean, l binary, r binary"), "repeats-snippets").withColumn("owner", _owner(across))
     cold = snips.where("not hot").repartition(n_parts(spark), "h").sortWithinPartitions("h", "id", "tk", "p").mapInArrow(
-        _solve(length), f"id {kind}, tk long, first int, last int")
-    return whole.union(cold).union(_hot(snips.where("hot"), length))
+        _solve(length, unit, across), f"id {kind}, tk long, first int, last int")
+    return whole.union(cold).union(_hot(snips.where("hot"), length, unit, across))
+
+
+def passages(docs: DataFrame, words: int = PASSAGE, k: int = PASSAGE_ANCHOR, cap: int = CAP) -> DataFrame:
+    """(id, tk, first, last): runs of places where ``words`` adjacent words begin that stand in another document too. docs: id, text."""
+    with scratch(docs.sparkSession):
+        return materialize(repeated_starts(docs, words, min(k, words), cap, WORD, True), "repeats-passages", keep=True)
 
 
 def cut(raw: bytes, runs: list[tuple[int, int]], length: int = LENGTH) -> tuple[bytes, int, int]:
@@ -312,11 +375,27 @@ def cut(raw: bytes, runs: list[tuple[int, int]], length: int = LENGTH) -> tuple[
     return b"".join(kept), gone, spans
 
 
-def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, k: int = ANCHOR, cap: int = CAP) -> DataFrame:
-    """(id, kept binary, n_bytes, n_removed, n_spans) of every row."""
+def covered(runs: list[tuple[int, int]], length: int) -> int:
+    """Symbols that lie in windows which begin in the runs."""
+    n = end = 0
+    for a, z in sorted(runs):
+        n += max(0, z + length - max(a, end))
+        end = max(end, z + length)
+    return n
+
+
+def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, k: int = ANCHOR, cap: int = CAP, words: int = 0) -> DataFrame:
+    """(id, kept binary, n_bytes, n_removed, n_spans, n_passage_words) of every row.
+
+    n_passage_words: words of the whole text that lie in passages of at least ``words`` words which stand in another document too; 0 where
+    ``words`` is 0. They aren't cut."""
     d = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     kind = d.schema["id"].dataType.simpleString()
-    runs = repeated_starts(d, length, k, cap).groupBy("id", "tk").agg(F.collect_set(F.struct("first", "last")).alias("runs"))
+    by_words = passages(d, words, cap=cap) if words else None
+    runs = repeated_starts(d, length, k, cap).withColumn("words", F.lit(False))
+    if words:
+        runs = runs.union(by_words.withColumn("words", F.lit(True)))
+    runs = runs.groupBy("id", "tk").agg(F.collect_set(F.struct("words", "first", "last")).alias("runs"))
     texts = _packed(d, kind).withColumnsRenamed({"id": "id0", "tk": "tk0"})
     both = texts.hint("merge").join(runs, F.col("id").eqNullSafe(F.col("id0")) & (F.col("tk") == F.col("tk0")), "left").select("id0", "z", "runs")
 
@@ -326,9 +405,13 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lengt
             rows = []
             for z, r in zip(b.column("z"), b.column("runs"), strict=True):
                 raw = un.decompress(z.as_py())
-                rows.append((*cut(raw, [(x["first"], x["last"]) for x in r.as_py() or ()], length), len(raw)))
-            kept, gone, spans, size = zip(*rows, strict=True) if rows else ((), (), (), ())
+                own: tuple[list, list] = ([], [])
+                for x in r.as_py() or ():
+                    own[x["words"]].append((x["first"], x["last"]))
+                rows.append((*cut(raw, own[0], length), len(raw), covered(own[1], words)))
+            kept, gone, spans, size, passage = zip(*rows, strict=True) if rows else ((),) * 5
             yield pa.RecordBatch.from_arrays(
-                [b.column("id0"), pa.array(kept, pa.binary()), *(pa.array(c, pa.int64()) for c in (size, gone, spans))], ["id", "kept", "n_bytes", "n_removed", "n_spans"])
+                [b.column("id0"), pa.array(kept, pa.binary()), *(pa.array(c, pa.int64()) for c in (size, gone, spans, passage))],
+                ["id", "kept", "n_bytes", "n_removed", "n_spans", "n_passage_words"])
 
-    return both.mapInArrow(run, f"id {kind}, kept binary, n_bytes long, n_removed long, n_spans long").withColumnRenamed("id", id_col)
+    return both.mapInArrow(run, f"id {kind}, kept binary, n_bytes long, n_removed long, n_spans long, n_passage_words long").withColumnRenamed("id", id_col)

@@ -89,12 +89,46 @@ def test_repeats_brute_force(spark, cap):
     assert [got[k] for k in range(len(texts))] == brute_repeats(texts, 80)
 
 
+def brute_passages(texts, n):
+    """Words of each text in runs of n words that another text has too."""
+    words = [(t or "").split() for t in texts]
+    where: dict[tuple, set] = {}
+    for k, w in enumerate(words):
+        for i in range(len(w) - n + 1):
+            where.setdefault(tuple(w[i : i + n]), set()).add(k)
+    out = []
+    for w in words:
+        cov = np.zeros(len(w), bool)
+        for i in range(len(w) - n + 1):
+            if len(where[tuple(w[i : i + n])]) > 1:
+                cov[i : i + n] = True
+        out.append(int(cov.sum()))
+    return out
+
+
+@pytest.mark.parametrize("cap", [1, 3, 512])
+def test_passages_brute_force(spark, cap):
+    """Passages across documents, whatever white space is between the words; a document's own repeats don't count."""
+    r = random.Random(11)
+    shared = [prose(f"p{k}", r.randrange(10, 40)).split() for k in range(4)]
+    texts = [prose(f"a{k}", 20) + " " + r.choice([" ", "\n", "\t"]).join(r.choice(shared)[r.randrange(12) :]) + "  " + prose(f"b{k}", 15) for k in range(50)]
+    own = prose("own", 16)
+    texts += [None, "", "one", own + " x " + own + " y " + own, prose("c"), prose("c"), "tie " * 90, "tie " * 40, "the " * 200]
+    texts += [own + " z " + prose("q", 4), (" ".join(shared[0][:14]) + " v ") * 3]
+    df = spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "doc_id long, text string").repartition(3)
+    got = {x.doc_id: x.n_passage_words for x in repeats.dedup(df, length=80, k=16, cap=cap, words=12).collect()}
+    assert [got[k] for k in range(len(texts))] == brute_passages(texts, 12)
+
+
 def test_repeats_odd(odd, none):
     got = repeats.dedup(odd)
     assert ids(got) == ALL
     by = {r.doc_id: r for r in got.collect()}
     assert by[3].n_removed == by[3].n_bytes == by[11].n_removed and by[1].n_bytes == 0 and by[4].n_removed == by[4].n_bytes
     assert repeats.dedup(none).count() == 0
+    got = repeats.dedup(odd, words=5)
+    assert ids(got) == ALL and {r.n_passage_words for r in got.where("doc_id in (3, 11)").collect()} == {30_000} and {r.n_passage_words for r in got.where("doc_id = 4").collect()} == {0}
+    assert repeats.dedup(none, words=5).count() == 0
 
 
 # ---- simhash
