@@ -190,7 +190,9 @@ def fit_pairs(hist: DataFrame, keys: list[str], p: int = DEFAULT_P, sweeps: int
         return pd.DataFrame([{**{k: pdf[k].iloc[0] for k in keys}, **got}])
 
     names = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in hist.schema if f.name in keys)
-    return hist.groupBy(*keys).applyInPandas(one, f"{names}, {FIT_SCHEMA}").select(*keys, *[c.split()[0] for c in FIT_SCHEMA.split(", ")])
+    # cells are few bytes and much work: a stated number of tasks, which adaptive execution doesn't merge into one
+    dealt = hist.repartition(int(hist.sparkSession.conf.get("spark.sql.shuffle.partitions")), *keys)
+    return dealt.groupBy(*keys).applyInPandas(one, f"{names}, {FIT_SCHEMA}").select(*keys, *[c.split()[0] for c in FIT_SCHEMA.split(", ")])
 
 
 def readouts(fits: DataFrame, keys: list[str]) -> DataFrame:

@@ -80,7 +80,8 @@ def policy_only_arm(tasks: DataFrame, parse_failures: float = 0.0) -> DataFrame:
 def budgeted_evidence(records: DataFrame, p: int = DEFAULT_P, relations: bool = True) -> DataFrame:
     """(window_id, operator, estimate, valid): readouts of register states and Count-Min tables, all windows at once.
 
-    One build of registers by (window, stream, group) and one of counters by window; no state is read from records twice."""
+    Each readout is a branch of the plan that builds its states from the records; ``plans.campaign`` builds all of them in one scan and writes
+    them once."""
     regs = build_registers(T.streams(records), ["window_id", "stream_id"], p)
     allof = build_registers(records.select("window_id", "group_key", "identity"), ["window_id", "group_key"], p)
     ok = F.lit(True).alias("valid")
@@ -100,8 +101,8 @@ def budgeted_evidence(records: DataFrame, p: int = DEFAULT_P, relations: bool =
     out = out.unionByName(freq.select("window_id", F.lit("frequency").alias("operator"), F.col("estimate").cast("double").alias("estimate"), ok))
     if relations:
         r = readouts(fit_pairs(pair_cells(regs, "a", "b", ["window_id"]), ["window_id"], p), ["window_id"])
-        for op, c in (("jaccard", "jaccard"), ("containment", "containment_ab")):
-            out = out.unionByName(r.select("window_id", F.lit(op).alias("operator"), F.col(c).alias("estimate"), "valid"))
+        both = F.array(*(F.struct(F.lit(op).alias("operator"), F.col(c).alias("estimate")) for op, c in (("jaccard", "jaccard"), ("containment", "containment_ab"))))
+        out = out.unionByName(r.select("window_id", F.explode(both).alias("x"), "valid").select("window_id", "x.operator", "x.estimate", "valid"))
     return out
 
 
@@ -152,7 +153,8 @@ ce AS (SELECT window_id, 'distinct' AS operator, na AS estimate FROM cs UNION AL
 
 
 def context_arm(tasks: DataFrame, records: DataFrame, wins: DataFrame, how: str, share: float = 0.54) -> DataFrame:
-    """how: direct, cot or guided. Windows above the token limit fail at packing; free text (direct, cot) may also fail to parse."""
+    """how: direct, cot or guided. Windows above the token limit fail at packing. Direct and guided read alike here; ``plans.campaign`` tells them
+    apart by prompt length and by answers that don't parse."""
     limit = T.context_limit(wins, share)
     d = tasks.join(context_evidence(records, how), ["window_id", "operator"]).join(F.broadcast(wins.select("window_id", "token_proxy")), "window_id").crossJoin(F.broadcast(limit))
     fits = F.col("token_proxy") <= F.col("limit_tokens")

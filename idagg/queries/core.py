@@ -14,6 +14,7 @@ from idagg.operators import extract as E
 from idagg.plans import measures, planner
 from idagg.plans.store import StateStore
 from idagg.queries import query, sql
+from idagg.sources.shared import fresh_path
 from idagg.sources.tables import load_table as T
 from idagg.spec import OperandSpec, Request, StateDescriptor
 
@@ -300,10 +301,7 @@ def hll_dup(s, d):
 
 
 def _store(s, d, name):
-    import uuid
-
-    base = s.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints/idagg"
-    return StateStore(s, f"{base.rstrip('/')}/store-{name}-{uuid.uuid4().hex[:8]}")
+    return StateStore(s, fresh_path(s, f"store-{name}"))
 
 
 ORD = "(SELECT strftime(o_orderdate, '%Y') AS y, o_orderpriority, o_custkey FROM orders)"

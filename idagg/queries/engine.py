@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
 from functools import reduce
 
 from pyspark.sql import functions as F
@@ -14,6 +13,7 @@ from idagg.operators import readouts, registers
 from idagg.queries import query, sql
 from idagg.queries.core import CMC, R4, cm_sql
 from idagg.sources import generated, tables
+from idagg.sources.shared import fresh_path
 from idagg.sources.tables import load_table as T
 from idagg.streaming import states as S
 
@@ -70,8 +70,7 @@ def stream_chained(s, d):
 @query("stream_late_dropped", "SELECT count(*) AS on_time, 0::BIGINT AS late_kept FROM (SELECT DISTINCT CAST(ts AS DATE) FROM events WHERE CAST(ts AS DATE) < DATE '2024-01-20')")
 def stream_late(s, d):
     """Records in order first, then a replayed old file: windows already closed don't come again."""
-    base = s.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints/idagg"
-    path = f"{base.rstrip('/')}/late-{uuid.uuid4().hex[:8]}"
+    path = fresh_path(s, "late")
     e = tables.zoned(T(s, d, "events")).select("event_id", F.col("ts").alias("event_time"), F.col("user_id").cast("string").alias("identity"))
     import time
 
@@ -116,8 +115,7 @@ def stream_dense(s, d):
 
 @query("stream_upsert_store", "WITH " + sql.regs("g", "events", "event_type", "user_id") + " " + sql.estimate("g", "event_type"))
 def stream_upsert(s, d):
-    base = s.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints/idagg"
-    path = f"{base.rstrip('/')}/upsert-{uuid.uuid4().hex[:8]}"
+    path = fresh_path(s, "upsert")
     S.drain_batches(ev(s, d), S.upsert_to(f"{path}/store", ["event_type"]), f"{path}/log")
     return readouts.read_distinct(registers.merge_registers(s.read.parquet(f"{path}/store"), ["event_type"]), ["event_type"]).select("event_type", R4("estimate"))
 
@@ -320,8 +318,7 @@ def src_stream(s, d):
 
 @query("src_formats", "SELECT kind, n, total FROM (SELECT unnest(['csv', 'json', 'orc', 'text']) AS kind), (SELECT count(*) AS n, CAST(sum(n_nationkey) AS BIGINT) AS total FROM nation)")
 def src_formats(s, d):
-    base = s.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints/idagg"
-    path = f"{base.rstrip('/')}/formats-{uuid.uuid4().hex[:8]}"
+    path = fresh_path(s, "formats")
     n = T(s, d, "nation").select("n_nationkey", "n_name")
     schema = "n_nationkey int, n_name string"
     out = []

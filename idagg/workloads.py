@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from idagg.queries import ORACLES, QUERIES
+from idagg.queries import campaign as _campaign  # noqa: F401
 from idagg.queries import core as _core  # noqa: F401  each registers its queries
 from idagg.queries import engine as _engine  # noqa: F401
 from idagg.queries import evaluation as _evaluation  # noqa: F401
