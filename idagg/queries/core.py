@@ -351,6 +351,35 @@ def hll_shared(s, d):
     return st.answer(Request("distinct", ("R",))).select(F.lit("distinct").alias("op"), R4("estimate")).unionByName(st.answer(Request("union", ("R", "A"))).select(F.lit("union").alias("op"), R4("estimate")))
 
 
+REQUESTS = [Request("distinct", ("R",)), Request("union", ("R", "A")), Request("grouped_distinct", ("R",)), Request("frequency", ("A",), probe="1"), Request("frequency", ("R",), probe="7"), Request("jaccard", ("R", "A")), Request("containment", ("R", "A"))]
+SIDE = "lineitem WHERE l_returnflag = '{}'"
+
+
+@query("hll_shared_all_operators", "WITH " + sql.regs("r", SIDE.format("R"), "", "l_orderkey") + ", " + sql.regs("u", "lineitem WHERE l_returnflag IN ('R', 'A')", "", "l_orderkey") + ", " + sql.regs("gr", SIDE.format("R"), "l_linestatus", "l_orderkey")
+       + ", e AS (" + sql.estimate("r", "") + "), f AS (" + sql.estimate("u", "") + "), gg AS (" + sql.estimate("gr", "l_linestatus") + """), cmr AS (""" + " UNION ALL ".join(f"SELECT {k} AS row, CAST({sql_hash(repr(f'{k}:') + ' || CAST(l_orderkey AS VARCHAR)', 1)} & 63::UBIGINT AS INTEGER) AS col, count(*) AS c FROM lineitem WHERE l_returnflag = 'R' GROUP BY ALL" for k in range(4)) + "), q7 AS ("
+       + " UNION ALL ".join(f"SELECT {k} AS row, CAST({sql_hash(repr(f'{k}:') + ' || ' + repr('7'), 1)} & 63::UBIGINT AS INTEGER) AS col" for k in range(4)) + f"""), px AS (SELECT l_orderkey, bool_or(l_returnflag = 'R') AS a, bool_or(l_returnflag = 'A') AS b FROM lineitem GROUP BY l_orderkey)
+SELECT 'distinct' AS op, NULL AS name, estimate, TRUE AS near FROM e UNION ALL SELECT 'union', NULL, estimate, TRUE FROM f UNION ALL SELECT 'grouped_distinct', l_linestatus, estimate, TRUE FROM gg
+UNION ALL SELECT 'frequency', '1', count(*)::DOUBLE, TRUE FROM lineitem WHERE l_returnflag = 'A' AND l_orderkey = 1
+UNION ALL SELECT 'frequency', '7', min(coalesce(c, 0))::DOUBLE, TRUE FROM q7 LEFT JOIN cmr USING (row, col)
+UNION ALL SELECT 'jaccard', NULL, round(count(*) FILTER (a AND b) / count(*) FILTER (a OR b), 4), TRUE FROM px UNION ALL SELECT 'containment', NULL, round(count(*) FILTER (a AND b) / count(*) FILTER (a), 4), TRUE FROM px""")
+def hll_shared_all(s, d):
+    """All six operators from one build: counts as the sketch reads them; relations as exact values beside whether the readout is near."""
+    specs = [OperandSpec(f, "l_orderkey", f"l_returnflag = '{f}'", "l_linestatus") for f in "RA"]
+    li = T(s, d, LI)
+    st = planner.build(li, specs, probes=("1",))
+    x = exact.ratios(exact.exact_regions(E.extract(li, specs), "R", "A")).select(F.col("jaccard").alias("j0"), F.col("containment_ab").alias("c0"))
+    out, none = [], F.lit(None).cast("string")
+    for q in REQUESTS:
+        a, op = st.answer(q), F.lit(q.op).alias("op")
+        if q.op in ("jaccard", "containment"):
+            e = F.col("j0" if q.op == "jaccard" else "c0")
+            out.append(x.crossJoin(F.broadcast(a)).select(op, none.alias("name"), F.round(e, 4).alias("estimate"), (F.abs(F.col("estimate") - e) <= 0.06).alias("near")))  # one row each
+        else:
+            name = F.col("group_key") if q.op == "grouped_distinct" else F.lit(q.probe).cast("string")
+            out.append(a.select(op, name.alias("name"), F.round(F.col("estimate").cast("double"), 4).alias("estimate"), F.lit(True).alias("near")))
+    return reduce(lambda a, b: a.unionByName(b), out)
+
+
 # ---- error measures
 
 

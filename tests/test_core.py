@@ -15,6 +15,7 @@ from idagg.functions.hashing import hash64, index_rank
 from idagg.operators import attention, exact, extract, frequency, learned, readouts, registers, relation
 from idagg.plans import measures, planner, stats
 from idagg.plans.store import StateStore
+from idagg.queries import core
 from idagg.sources import generated, tables
 from idagg.spec import IncompatibleStates, OperandSpec, Request, StateDescriptor, assert_compatible
 
@@ -205,6 +206,22 @@ def test_planner_scans_once(spark, sf):
         s.answer(Request("other", ("R",)))
 
 
+def test_six_operators_from_one_scan(spark, sf):
+    """Records are read once, when states are built; no answer reads them again, and answers merge with any probe."""
+    li = tables.load_table(spark, sf, "lineitem")
+    specs = [OperandSpec(f, "l_orderkey", f"l_returnflag = '{f}'", "l_linestatus") for f in "RA"]
+    s = planner.build(li, specs, probes=("1",))
+    asked = core.REQUESTS
+    assert {q.op for q in asked} == {"distinct", "union", "grouped_distinct", "frequency", "jaccard", "containment"}
+    for q in asked:
+        plan = s.answer(q)._jdf.queryExecution().optimizedPlan().toString()
+        assert "l_orderkey" not in plan and "l_returnflag" not in plan
+    exact_n = li.where("l_returnflag = 'A' and l_orderkey = 1").count()
+    assert s.answer(Request("frequency", ("A",), probe="1")).first().estimate == exact_n
+    for probe in ("7", "33", "none"):
+        assert s.answer(Request("frequency", ("R",), probe=probe)).first().estimate >= li.where(f"l_returnflag = 'R' and cast(l_orderkey as string) = '{probe}'").count()
+
+
 # ---- relations
 
 
