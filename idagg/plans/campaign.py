@@ -126,18 +126,21 @@ def states(records: DataFrame, p: int = DEFAULT_P) -> DataFrame:
     return d.groupBy("window_id", "state", "slot").agg(F.max("r").alias("r"), F.sum("c").alias("c"))
 
 
-def budgeted(made: DataFrame, tasks: DataFrame, p: int = DEFAULT_P) -> DataFrame:
-    """(task_id, estimate, valid) for each task, from states alone. An empty state reads 0; an unsound fit has no estimate."""
+def budgeted(made: DataFrame, tasks: DataFrame, p: int = DEFAULT_P, relations: bool = True) -> DataFrame:
+    """(task_id, estimate, valid) for each task, from states alone. An empty state reads 0; an unsound fit has no estimate. Without ``relations``
+    nothing is fitted and tasks about relations are left out."""
     regs = made.where("state <> '#'").select("window_id", "state", F.col("slot").alias("j"), "r")
     ab = regs.where("state in ('a', 'b')")
     of = read_distinct(regs.where("state <> 'b'"), ["window_id", "state"], p)  # a, and each group
     union = read_distinct(merge_registers(ab, ["window_id"]), ["window_id"], p).withColumn("state", F.lit("union"))
+    known = of.unionByName(union.select(*of.columns)).withColumn("valid", F.lit(True))
     fit = readouts(fit_pairs(pair_cells(ab, "a", "b", ["window_id"], "state"), ["window_id"], p), ["window_id"])
     both = F.array(*(F.struct(F.lit(o).alias("state"), F.col(c).alias("estimate")) for o, c in (("jaccard", "jaccard"), ("containment", "containment_ab"))))
     rel = fit.select("window_id", F.explode(both).alias("x"), "valid").select("window_id", "x.state", "x.estimate", "valid")  # a fit is read twice, made once
-    known = of.unionByName(union.select(*of.columns)).withColumn("valid", F.lit(True)).unionByName(rel)
+    known = known.unionByName(rel) if relations else known
     state = F.when(F.col("operator") == "distinct", "a").when(F.col("operator") == "grouped_distinct", F.concat(F.lit("g:"), "group_key")).otherwise(F.col("operator"))
     t = tasks.select("task_id", "window_id", "operator", "probe", state.alias("state"))
+    t = t if relations else t.where("operator not in ('jaccard', 'containment')")
     sets = t.where("operator <> 'frequency'").join(known, ["window_id", "state"], "left").select(
         "task_id", F.when(F.coalesce("valid", F.lit(True)), F.coalesce("estimate", F.lit(0.0))).alias("estimate"), F.coalesce("valid", F.lit(True)).alias("valid"))
     at = F.array(*((column_of(F.col("probe"), k, WIDTH, 1, "md5") + k * WIDTH) for k in range(DEPTH)))
@@ -163,12 +166,13 @@ def run_programs(records: DataFrame, tasks: DataFrame) -> DataFrame:
     return reduce(lambda a, b: a.unionByName(b), out)
 
 
-def evidence(records: DataFrame, p: int = DEFAULT_P, code: bool = True) -> DataFrame:
-    """One row a test task with all evidence and the subsets it belongs to, as a written table."""
+def evidence(records: DataFrame, p: int = DEFAULT_P, code: bool = True, relations: bool = True) -> DataFrame:
+    """One row a test task with all evidence and the subsets it belongs to, as a written table. What a statistic doesn't read, programs or fits, may be
+    left out."""
     fine = written(profile(records), "profile")
     tasks = written(generate(cohort(fine)).where("split = 'test'"), "tasks")
     made = written(states(records, p), "states")
-    got = tasks.join(budgeted(made, tasks, p), "task_id", "left")
+    got = tasks.join(budgeted(made, tasks, p, relations), "task_id", "left")
     first = F.row_number().over(W.partitionBy("window_id").orderBy(_order("match:", "task_id"), "task_id"))
     wins = tasks.groupBy("window_id").agg(F.first("token_proxy").alias("token_proxy"))
     got = got.withColumn("matched", first == 1).crossJoin(F.broadcast(T.context_limit(wins, LIMIT_SHARE)))  # one row

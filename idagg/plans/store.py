@@ -48,6 +48,12 @@ class StateStore:
                     raise IncompatibleStates(f"{s} is stored for another definition")
         return merge_registers(self.rows(stream_ids, segments), list(keys))
 
+    def compact(self, stream_id: str, descriptor: StateDescriptor, into: StateStore, segment: str = "all") -> None:
+        """Write the stream's states, merged over all their segments and versions, as one segment of another store; readers move to it when they
+        choose, so no file that is being read is replaced."""
+        merged = self.get([stream_id], descriptor, keys=("group_key",))
+        into.put(merged, descriptor, stream_id, segment)
+
     def covered(self, stream_id: str) -> set[str]:
         """Segments that need no scan."""
         return {r.segment for r in self.rows([stream_id]).select("segment").distinct().collect()}

@@ -111,8 +111,8 @@ COUNTED = f"(arm <> 'budgeted' OR operator NOT IN {RELATIONS})"
 TALLY = "count(*) AS n, count(*) FILTER (status = 'failed') AS failed, round(avg(score), 9) AS accuracy"
 
 
-def arm_rows(s, d):
-    return C.rows(C.evidence(rec(s, d)))
+def arm_rows(s, d, code=False, relations=False):
+    return C.rows(C.evidence(rec(s, d), code=code, relations=relations))
 
 
 def tally(r, *keys):
@@ -155,18 +155,18 @@ CODED = ("code_exec", "exact", "budgeted", "aggregate_only", "policy_only")
 @query("stat_code", ROWS + f" SELECT reasoner, arm, {TALLY} FROM ar WHERE in_code AND arm IN {CODED} GROUP BY ALL")
 def code(s, d):
     """The code subset: generated programs, run in bulk by operator, against the other conditions on the same tasks."""
-    return tally(arm_rows(s, d).where(F.col("in_code") & F.col("arm").isin(*CODED)))
+    return tally(arm_rows(s, d, code=True).where(F.col("in_code") & F.col("arm").isin(*CODED)))
 
 
 @query("stat_failure_stages", ROWS + f" SELECT reasoner, arm, failure_stage, count(*) AS n FROM ar WHERE status = 'failed' AND {COUNTED} GROUP BY ALL")
 def failure_stages(s, d):
-    return arm_rows(s, d).where(COUNTED).where("status = 'failed'").groupBy("reasoner", "arm", "failure_stage").agg(F.count("*").alias("n"))
+    return arm_rows(s, d, code=True).where(COUNTED).where("status = 'failed'").groupBy("reasoner", "arm", "failure_stage").agg(F.count("*").alias("n"))
 
 
 @query("stat_guards_on_rows", GENERATED + f" SELECT {len(C.REASONERS) * len(C.SCALE_ARMS)}::BIGINT AS arms, count(*) AS tasks, count(DISTINCT window_id) AS windows, 64::INTEGER AS digest_length FROM every WHERE split = 'test'")
 def guards_on_rows(s, d):
     """The real arm rows pass the integrity checks; the digest of what was checked goes with the result."""
-    r = arm_rows(s, d).where(F.col("arm").isin(*C.SCALE_ARMS)).withColumn("arm", F.concat_ws("/", "reasoner", "arm"))
+    r = arm_rows(s, d, relations=True).where(F.col("arm").isin(*C.SCALE_ARMS)).withColumn("arm", F.concat_ws("/", "reasoner", "arm"))
     stats.validate(r)
     return r.agg(F.count_distinct("arm").alias("arms"), F.count_distinct("task_id").alias("tasks"), F.count_distinct("window_id").alias("windows")).withColumn("digest_length", F.lit(len(stats.digest(r))))
 
@@ -182,7 +182,7 @@ def relation_flips(s, d):
 @query("stat_campaign")
 def campaign(s, d):
     """Accuracy of every arm with relations, and the window bootstrap's interval: all tasks, the matched ones, the jointly eligible and the code subset."""
-    r = C.written(arm_rows(s, d), "arm-rows")
+    r = C.written(arm_rows(s, d, True, True), "arm-rows")
     scale, ctx = F.col("arm").isin(*C.SCALE_ARMS), F.col("arm").isin(*MATCHED)
     parts = {"all": r.where(scale), "matched": r.where(F.col("matched") & ctx), "joint": r.where(F.col("matched") & ctx).where(JOINT), "code": r.where(F.col("in_code") & F.col("arm").isin(*CODED))}
     return reduce(lambda a, b: a.unionByName(b), (C.intervals(x).withColumn("tasks", F.lit(n)) for n, x in parts.items()))
@@ -191,4 +191,4 @@ def campaign(s, d):
 @query("stat_campaign_contrasts")
 def campaign_contrasts(s, d):
     """The eight contrasts of budgeted states, at 100,000 sign flips and 10,000 resamples."""
-    return C.contrasts(arm_rows(s, d))
+    return C.contrasts(arm_rows(s, d, True, True))

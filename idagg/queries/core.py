@@ -445,7 +445,7 @@ def hll_error(s, d):
 GRID, GRID_STREAMS = (100, 1_000, 10_000, 100_000, 1_000_000), {8: 240, 9: 200, 10: 160, 11: 160, 12: 120, 13: 120}
 
 
-def grid_errors(s, grid, streams):
+def grid_errors(s, grid, streams, family="xx"):
     """(p, n, rms_relerr, mean_relerr, reference): each budget over its number of streams, dealt evenly to the sizes of the grid. One scan of the
     generated sets serves all budgets; the fewer streams of a larger budget are the first ones."""
     from idagg.sources.generated import distinct_streams
@@ -454,7 +454,7 @@ def grid_errors(s, grid, streams):
         raise ValueError("streams must go evenly into the sizes")
     reps = {p: n // len(grid) for p, n in streams.items()}
     per = F.element_at(F.create_map(*(F.lit(x) for p in streams for x in (p, reps[p]))), F.col("p"))
-    regs = sweep_registers(distinct_streams(s, list(grid), max(reps.values())), ["cardinality", "rep"], tuple(streams), family="xx").where(F.col("rep") < per)
+    regs = sweep_registers(distinct_streams(s, list(grid), max(reps.values())), ["cardinality", "rep"], tuple(streams), family=family).where(F.col("rep") < per)
     e = read_sweep(regs, ["cardinality", "rep"]).withColumn("exact", F.col("cardinality"))
     ref = F.element_at(F.create_map(*(F.lit(x) for p in streams for x in (p, reference_error(1 << p)))), F.col("p"))
     return measures.summary(e, ["p"]).select("p", "n", "rms_relerr", "mean_relerr", ref.alias("reference"))
@@ -466,6 +466,53 @@ def hll_error_grid(s, d):
     return grid_errors(s, GRID, GRID_STREAMS)
 
 
+EXACT_GRID = (100, 1_000, 10_000, 100_000)
+
+
+def _grid_sql():
+    """The same sets, hashed and read by DuckDB."""
+    out = []
+    sets = " UNION ALL ".join(f"SELECT {n} AS cardinality, rep, {sql_hash(f"'u0-{n}-' || rep || '-' || k")} AS h FROM range({max(GRID_STREAMS.values()) // len(EXACT_GRID)}) AS a(rep), range({n}) AS b(k)" for n in EXACT_GRID)
+    for p, n in GRID_STREAMS.items():
+        reg = f"(SELECT cardinality, rep, {sql_index('h', p)} AS j, max({sql_rank('h', p)}) AS r FROM hs WHERE rep < {n // len(EXACT_GRID)} GROUP BY ALL)"
+        out.append(f"SELECT {p}::INTEGER AS p, count(*) AS n, round(sqrt(avg(pow(e, 2))), 7) AS rms_relerr, round(avg(e), 7) AS mean_relerr FROM (SELECT abs(estimate - cardinality) / cardinality AS e FROM ({sql.estimate(reg, 'cardinality, rep', p, digits=9)}))")
+    return f"WITH hs AS (SELECT * FROM ({sets})) " + " UNION ALL ".join(out)
+
+
+@query("hll_error_grid_exact", _grid_sql())
+def hll_error_grid_exact(s, d):
+    """Errors of all budgets at their numbers of streams, under the hash that SQL can repeat: equal register by register, not within a bound."""
+    e = grid_errors(s, EXACT_GRID, GRID_STREAMS, "md5")
+    return e.select("p", "n", F.round("rms_relerr", 7).alias("rms_relerr"), F.round("mean_relerr", 7).alias("mean_relerr"))
+
+
+def _lengths_sql(lengths=(8_000, 50_000, 200_000), streams=100, low=1_000, high=4_000, seed=7):
+    """A state depends on a stream's identities alone, so SQL hashes each once."""
+    size = lambda k: f"((('0x' || substr(md5('{k}:size:' || i), 1, 16))::UBIGINT)::HUGEINT - CASE WHEN ('0x' || substr(md5('{k}:size:' || i), 1, 16))::UBIGINT > 9223372036854775807::UBIGINT THEN 18446744073709551616::HUGEINT ELSE 0 END)"
+    out = []
+    for x, length in enumerate(lengths):
+        k = seed + x
+        m = high - low + 1
+        n = f"CAST((({size(k)} % {m}) + {m}) % {m} + {low} AS BIGINT)"
+        ids = f"(SELECT i AS stream_no, n, unnest(range(n)) AS z FROM (SELECT i, {n} AS n FROM range({streams}) AS t(i)))"
+        reg = f"(SELECT stream_no, n, {sql_index('h', 11)} AS j, max({sql_rank('h', 11)}) AS r FROM (SELECT stream_no, n, {sql_hash(f"'s{k}-' || stream_no || '-' || z")} AS h FROM {ids}) GROUP BY ALL)"
+        out.append(f"SELECT {length}::BIGINT AS length, count(*) AS n, round(median(abs(estimate - n) / n), 7) AS median_relerr FROM ({sql.estimate(reg, 'stream_no, n', digits=9)})")
+    return " UNION ALL ".join(out)
+
+
+@query("hll_length_all", _lengths_sql())
+def hll_length_all(s, d, lengths=(8_000, 50_000, 200_000), streams=100):
+    """Median error over 100 streams of each length with 1,000 to 4,000 identities: every record is read, and the medians equal SQL's."""
+    from idagg.sources.generated import identity_streams
+
+    out = []
+    for k, n in enumerate(lengths):
+        r = identity_streams(s, streams, n, 1_000, 4_000, 7 + k)
+        x = readouts.read_distinct(registers.build_registers(r, ["stream_no"]), ["stream_no"]).join(exact.exact_distinct(r, ["stream_no"]), "stream_no")
+        out.append(x.agg(F.lit(n).cast("long").alias("length"), F.count("*").alias("n"), F.round(F.median(measures.relerr(F.col("estimate"), F.col("exact"))), 7).alias("median_relerr")))
+    return reduce(lambda a, b: a.unionByName(b), out)
+
+
 @query("hll_length_extrapolation", "SELECT length::BIGINT AS length, 20::BIGINT AS n, TRUE AS low_error FROM (VALUES (8000), (50000)) AS v(length)")
 def hll_length(s, d):
     """Median error of streams of two lengths, with as many identities whatever the length."""
@@ -510,13 +557,13 @@ def hll_million(s, d):
     return got.select("n", (F.col("mean_relerr") < 0.06).alias("low_error"))
 
 
-def seed_errors(s, size, streams, seeds):
+def seed_errors(s, size, streams, seeds, family="xx"):
     """(n, mean_relerr, rms_relerr): each stream of ``size`` identities under each hash seed, from one scan."""
     from idagg.sources.generated import distinct_streams
 
     parts = []
     for k in range(seeds):
-        j, r = index_rank(hash64("identity", k, "xx"), 11)
+        j, r = index_rank(hash64("identity", k, family), 11)
         parts.append(F.struct(F.lit(k).alias("seed"), j.alias("j"), r.alias("r")))
     x = distinct_streams(s, [size], streams).select("rep", F.explode(F.array(*parts)).alias("x")).select("rep", "x.*")
     e = readouts.read_distinct(registers.merge_registers(x, ["rep", "seed"]), ["rep", "seed"])
@@ -529,6 +576,21 @@ def hll_million_seeds(s, d):
     return seed_errors(s, 1_000_000, 2, 10)
 
 
+def _million_sql(size=1_000_000, streams=2, seeds=10):
+    one = []
+    for k in range(seeds):
+        reg = f"(SELECT rep, {sql_index('h', 11)} AS j, max({sql_rank('h', 11)}) AS r FROM (SELECT rep, {sql_hash('z', k)} AS h FROM ids) GROUP BY ALL)"
+        one.append(f"SELECT abs(estimate - {size}) / {size} AS e FROM ({sql.estimate(reg, 'rep', digits=9)})")
+    return f"WITH ids AS (SELECT rep, 'u0-{size}-' || rep || '-' || k AS z FROM range({streams}) AS a(rep), range({size}) AS b(k)) SELECT count(*) AS n, round(avg(e), 7) AS mean_relerr, round(sqrt(avg(pow(e, 2))), 7) AS rms_relerr FROM (" + " UNION ALL ".join(one) + ")"
+
+
+@query("hll_million_seeds_exact", _million_sql())
+def hll_million_seeds_exact(s, d):
+    """The twenty estimates under the hash that SQL can repeat."""
+    e = seed_errors(s, 1_000_000, 2, 10, "md5")
+    return e.select("n", F.round("mean_relerr", 7).alias("mean_relerr"), F.round("rms_relerr", 7).alias("rms_relerr"))
+
+
 # ---- windows over states
 
 EV_DAY = "(SELECT CAST(ts AS DATE) AS day, user_id FROM events)"
@@ -615,7 +677,12 @@ def exact_payload(s, d):
     return exact.utf8_payload(T(s, d, LI).select(F.col("l_orderkey").cast("string").alias("identity")))
 
 
-@query("resource_bytes")
+SLOTS_, WIDTH_, HEADS_, HIDDEN_ = 16, 28, 4, 16
+CARRIED_ = SLOTS_ * WIDTH_ + SLOTS_ * HEADS_  # sums and normalisers
+
+
+@query("resource_bytes", f"""SELECT * FROM (VALUES ('registers', 'carried', 2048::BIGINT), ('registers', 'static', 0), ('set_encoder', 'carried', 4 * {CARRIED_}),
+('set_encoder', 'static', 4 * ({HEADS_} * {SLOTS_} * {WIDTH_} + {WIDTH_} * {WIDTH_} + {CARRIED_} * {HIDDEN_} + 2 * {HIDDEN_} + 1 + 2 * {CARRIED_})), ('set_encoder', 'shared_trunk', 0), ('count_min', 'carried', 4 * 64 * 8)) AS v(method, kind, bytes)""")
 def resource_bytes(s, d):
     return measures.resource_table(s)
 

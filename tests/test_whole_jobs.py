@@ -8,7 +8,6 @@ import pytest
 from pyspark.sql import functions as F
 
 from idagg import workloads
-from idagg.llm import decontaminate
 from idagg.operators import learned, readouts, registers
 from idagg.plans import stats, tasks
 from idagg.queries import core, evaluation
@@ -114,20 +113,3 @@ def test_draws_are_whole(spark, sf, monkeypatch, name, test, draws):
     assert len(got) and set(used) == {draws}
     if name == "stat_contrasts":
         print("CONTRASTS", got.p.min(), got.to_dict("records"))
-
-
-def test_short_items_are_found_inside_documents(spark):
-    items = [(1, "Solve"), (2, "two plus two"), (3, "a b c d"), (4, "two"), (5, "one two three four five six")]
-    docs = [(1, "please solve this: what is two plus two, she said"), (2, "a b c d"), (3, "x a b c d y z w"), (4, "a b c"), (5, None), (6, "Two Plus Two"),
-            (7, "zero one two three four five six seven"), (8, "nothing of the kind stands in here")]
-    want = set()
-    for d, text in docs:
-        w = decontaminate.words_of(text)
-        for k, item in items:
-            v = decontaminate.words_of(item)
-            if len(w) > 4 and any(w[i : i + len(v)] == v for i in range(len(w) - len(v) + 1)) or w == v:
-                want.add((d, k, 1.0))
-    df, bench = spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
-    got = [tuple(r) for r in decontaminate.search(df, bench).collect()]
-    assert sorted(got) == sorted(want) and (3, 3, 1.0) in want and (1, 1, 1.0) in want
-    assert {r.doc_id for r in decontaminate.drop_contaminated(df, bench).collect()} == {4, 5, 8}
