@@ -8,7 +8,7 @@ towards its class. Buckets above ``BUCKET`` rows are cut into blocks whose pairs
 
 Edge cases: vectors that are null, empty, zero or hold null, NaN or infinite components link with nothing and stand alone; vectors of
 different lengths don't link; ties and repeated vectors link (cosine 1); rows that repeat an id are vectors of their own, with the
-same component; an empty table gives no rows.
+same component; an empty table gives no rows; components may have any finite size, as vectors are scaled first. Extra columns don't matter.
 """
 
 from __future__ import annotations
@@ -24,45 +24,59 @@ from pyspark.sql import functions as F
 from ._common import components, key_change, materialize, n_parts, split_hot, whole_groups
 
 BUCKET = 1_024
+FILL = 512  # vectors a bucket holds on average: more of them need fewer tables, and each table ships every vector once
 MISS = 1e-5
 
 
-def tables_for(n: int, threshold: float, miss: float = MISS, fill: int = 128) -> tuple[int, int]:
+def tables_for(n: int, threshold: float, miss: float = MISS, fill: int = FILL) -> tuple[int, int]:
     """Bits a word and number of tables for n vectors."""
     bits = max(4, min(30, round(log2(max(2, n / fill)))))
     agree = 1 - acos(threshold) / pi
     return bits, ceil(log(miss) / log(1 - agree**bits))
 
 
+def _word(bits: int) -> str:
+    """The smallest type that holds a word; a vector's words travel packed in it."""
+    return "<u1" if bits <= 8 else "<u2" if bits <= 16 else "<u4"
+
+
+def scaled(x: np.ndarray) -> np.ndarray:
+    """Vectors (rows) by a power of two that brings their largest component near 1: no product over- or underflows, and no bit is lost."""
+    return np.ldexp(x, -np.frexp(np.abs(x).max(-1, keepdims=True))[1])
+
+
 def _hash(bits: int, tables: int, seed: int, kind: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         planes: dict[int, np.ndarray] = {}
         power = 1 << np.arange(bits, dtype=np.int64)
         for b in batches:
-            vec = [np.frombuffer(v.as_py(), kind).astype(np.float64) for v in b.column("raw")]
-            words = []
+            vec = [scaled(np.frombuffer(v.as_py(), kind).astype(np.float64)) for v in b.column("raw")]
+            words, packed = [], []
             for v in vec:
                 if len(v) not in planes:
                     planes[len(v)] = np.random.default_rng([seed, len(v)]).normal(size=(tables * bits, len(v)))
                 words.append((((planes[len(v)] @ v) > 0).reshape(tables, bits) @ power).astype(np.int32))
-            yield pa.RecordBatch.from_arrays([b.column("raw"), b.column("node"), b.column("w"), pa.array([x.tolist() for x in words], pa.list_(pa.int32()))], ["raw", "node", "w", "words"])
+                packed.append(words[-1].astype(_word(bits)).tobytes())
+            yield pa.RecordBatch.from_arrays(
+                [b.column("raw"), b.column("node"), b.column("w"), pa.array([x.tolist() for x in words], pa.list_(pa.int32())), pa.array(packed, pa.binary())], ["raw", "node", "w", "words", "packed"])
 
     return run
 
 
-def _verify(threshold: float, kind: str):
+def _verify(threshold: float, kind: str, bits: int, tables: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in whole_groups(batches, ["tab", "word", "dim", "blk"], 5_000):
             key = [t.column(c).to_numpy() for c in ("tab", "word", "dim", "blk")]
             cuts = key_change(*key)
             node, w, own = (t.column(c).to_numpy() for c in ("node", "w", "own"))
             raw = t.column("raw").combine_chunks()
-            words = np.array(t.column("words").to_pylist(), np.int32)
+            words = np.frombuffer(b"".join(t.column("packed").to_pylist()), _word(bits)).reshape(-1, tables)
             out: list[tuple] = []
             for a, z in zip(cuts[:-1], cuts[1:], strict=True):
                 if z - a < 2:
                     continue
                 x = np.stack([np.frombuffer(raw[k].as_py(), kind) for k in range(a, z)]).astype(np.float64)
+                x = scaled(x)
                 x = x / np.sqrt((x * x).sum(1))[:, None]
                 wd, tab, of, blk = words[a:z], int(key[0][a]), own[a:z], int(key[3][a])
                 links, low = np.zeros(z - a, np.int64), np.arange(z - a)
@@ -118,12 +132,12 @@ def clusters(vectors: DataFrame, threshold: float = 0.95, id_col: str = "vec_id"
     own = materialize(own.withColumn("node", F.monotonically_increasing_id()), "vectors-distinct")
     n = own.count()
     bits, tables = tables_for(n, threshold, miss)
-    words = own.select("raw", "node", "w").mapInArrow(_hash(bits, tables, seed, kind), "raw binary, node long, w long, words array<int>")
-    spread = words.select("raw", "node", "w", "words", F.length("raw").alias("dim"), F.posexplode("words").alias("tab", "word"))
+    words = own.select("raw", "node", "w").mapInArrow(_hash(bits, tables, seed, kind), "raw binary, node long, w long, words array<int>, packed binary")
+    spread = words.select("raw", "node", "w", "packed", F.length("raw").alias("dim"), F.posexplode("words").alias("tab", "word"))
     keys = ["tab", "word", "dim"]
     spread = split_hot(spread, keys, "node", BUCKET)
     found = materialize(
-        spread.repartition(n_parts(spark), *keys, "blk").sortWithinPartitions(*keys, "blk", "node").mapInArrow(_verify(threshold, kind), "node long, links long, root long"),
+        spread.repartition(n_parts(spark), *keys, "blk").sortWithinPartitions(*keys, "blk", "node").mapInArrow(_verify(threshold, kind, bits, tables), "node long, links long, root long"),
         "vectors-links")
     counts = found.groupBy("node").agg(F.sum("links").alias("links"))
     cc = components(found.select(F.col("node").alias("a"), F.col("root").alias("b")), spark)
