@@ -34,7 +34,7 @@ import zstandard as zstd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._common import keep_memo_of, key_change, materialize, n_parts, owns_memo, scratch, whole_groups
+from ._common import keep_memo_of, key_change, materialize, n_parts, scratch, whole_groups
 from .suffix_array import suffix_array
 
 LENGTH, ANCHOR, CAP, PHRASE = 400, 64, 512, 64
@@ -45,6 +45,9 @@ _BYTE = np.random.default_rng(11).integers(0, 1 << 63, 256, dtype=np.uint64) * n
 _MIX = np.uint64(0xD6E8FEB86659FD93)
 _LOW = np.uint64(0xFFFFFFFF)
 _POWERS: list[np.ndarray] = []
+_INK = np.ones(256, bool)
+_INK[[9, 10, 11, 12, 13, 32]] = False
+_ZERO = np.zeros(1, np.uint64)
 
 
 def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
@@ -56,39 +59,52 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _POWERS[0][:n], _POWERS[1][:n]
 
 
-class _Words(dict):
-    """Eight bytes that stand for a word; bounded."""
-
-    def __missing__(self, w: bytes) -> bytes:
-        if len(self) > 250_000:
-            self.clear()
-        h = self[w] = xxhash.xxh3_64_digest(w)
-        return h
-
+def _prefix_hash(values: np.ndarray, up: np.ndarray) -> np.ndarray:
+    """Sums of values times rising powers of the base: a run's hash is the difference of two, brought to its start by an inverse power."""
+    with np.errstate(over="ignore"):
+        return np.cumsum(values * up, dtype=np.uint64)
 
-_WORDS = _Words()
-owns_memo("repeats", lambda: _WORDS.clear())
 
+def _mixed(h: np.ndarray) -> np.ndarray:
+    with np.errstate(over="ignore"):
+        h ^= h >> np.uint64(31)
+        h *= _MIX
+        h ^= h >> np.uint64(32)
+    return h
+
+
+def symbols(raws: list[bytes], unit: int) -> list[bytes]:
+    """Texts as symbols of ``unit`` bytes: their bytes themselves (1) or a hash of each word (8), words being what ASCII white space parts."""
+    if unit == 1 or not raws:
+        return raws
+    x = np.frombuffer(b" ".join(raws) + b" ", np.uint8)
+    edge = np.flatnonzero(np.diff(_INK[x].view(np.int8), prepend=np.int8(0)))
+    start, end = edge[::2], edge[1::2]
+    up, down = _powers(len(x))
+    c = np.concatenate([_ZERO, _prefix_hash(_BYTE[x], up)])
+    with np.errstate(over="ignore"):
+        h = _mixed((c[end] - c[start]) * down[start] + (end - start).astype(np.uint64))
+    cuts = np.searchsorted(start, np.cumsum([len(r) + 1 for r in raws])).tolist()  # words are in order; none crosses the blank between texts
+    return [h[i:j].tobytes() for i, j in zip([0, *cuts[:-1]], cuts, strict=True)]
 
-def symbols(raw: bytes, unit: int) -> bytes:
-    """The text as symbols of ``unit`` bytes: its bytes themselves (1) or a hash of each word (8)."""
-    return raw if unit == 1 else b"".join(map(_WORDS.__getitem__, raw.split()))
 
+def anchors(raws: list[bytes], length: int = LENGTH, k: int = ANCHOR, unit: int = 1) -> list[list[tuple[int, int, int, int]]]:
+    """For each sequence of symbols, (hash, place, first window, last window) of each run of windows with one anchor, counted in symbols.
 
-def anchors(raw: bytes, length: int = LENGTH, k: int = ANCHOR, unit: int = 1) -> list[tuple[int, int, int, int]]:
-    """(hash, place, first window, last window) of each run of windows with one anchor, counted in symbols."""
-    n = len(raw) // unit
-    if n < length:
-        return []
+    Sequences go through the arithmetic together; windows that reach from one into the next are left out."""
+    sizes = np.array([len(r) // unit for r in raws], np.int64)
+    n = int(sizes.sum())
+    out: list[list] = [[] for _ in raws]
+    if not len(raws) or sizes.max() < length:
+        return out
+    x = b"".join(raws)
     up, down = _powers(n)
+    c = _prefix_hash(_BYTE[np.frombuffer(x, np.uint8)] if unit == 1 else np.frombuffer(x, np.uint64), up)
     with np.errstate(over="ignore"):
-        c = np.cumsum((_BYTE[np.frombuffer(raw, np.uint8)] if unit == 1 else np.frombuffer(raw, np.uint64)) * up, dtype=np.uint64)
         h = c[k - 1 :].copy()
         h[1:] -= c[:-k]
         h *= down[: n - k + 1]
-        h ^= h >> np.uint64(31)
-        h *= _MIX
-        h ^= h >> np.uint64(32)
+    h = _mixed(h)
     m = len(h)
     v = (h & ~_LOW) | (_LOW - np.arange(m, dtype=np.uint64))  # ties go to the rightmost
     w, span = length - k + 1, 1
@@ -98,11 +114,36 @@ def anchors(raw: bytes, length: int = LENGTH, k: int = ANCHOR, unit: int = 1) ->
     if span < w:
         v = np.minimum(v[: len(v) - (w - span)], v[w - span :])
     at = (_LOW - (v & _LOW)).astype(np.int64)
-    cuts = np.flatnonzero(np.diff(at)) + 1
-    first = np.concatenate([[0], cuts])
-    last = np.concatenate([cuts, [len(at)]]) - 1
-    p = at[first]
-    return list(zip(h[p].view(np.int64).tolist(), p.tolist(), first.tolist(), last.tolist(), strict=True))
+    begin = np.cumsum(sizes) - sizes
+    count = np.maximum(0, sizes - length + 1)  # windows of each sequence
+    of = np.repeat(np.arange(len(raws)), count)
+    i = np.arange(len(of)) - np.repeat(np.cumsum(count) - count, count)
+    p = at[np.repeat(begin, count) + i]
+    new = np.ones(len(of), bool)
+    new[1:] = (p[1:] != p[:-1]) | (of[1:] != of[:-1])
+    first = np.flatnonzero(new)
+    last = np.append(first[1:], len(of)) - 1
+    of, p = of[first], p[first]
+    for d, *row in zip(of.tolist(), h[p].view(np.int64).tolist(), (p - begin[of]).tolist(), i[first].tolist(), i[last].tolist(), strict=True):
+        out[d].append(tuple(row))
+    return out
+
+
+TOGETHER = {1: 1 << 14, WORD: 1 << 16}  # bytes of text that go through the arithmetic at once, so that it stays in a core's cache
+
+
+def _together(column: pa.Array, most: int) -> Iterator[tuple[int, list[bytes]]]:
+    """(place of the first, texts as bytes): neighbours of ``most`` bytes or little more, a longer text alone."""
+    held, size, lo = [], 0, 0
+    for k, t in enumerate(column):
+        raw = (t.as_py() or "").encode("utf-8", "replace")
+        if held and size + len(raw) > most:
+            yield lo, held
+            held, size, lo = [], 0, k
+        held.append(raw)
+        size += len(raw)
+    if held:
+        yield lo, held
 
 
 def text_key(raw: bytes) -> int:
@@ -115,20 +156,23 @@ def _two(d: bytes) -> tuple[int, int]:
 
 def _scan(length: int, k: int, unit: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        keep_memo_of("repeats")
+        keep_memo_of(None)
         for b in batches:
             rows: list[tuple] = []
             ids: list = []
-            for d, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                raw = (t.as_py() or "").encode("utf-8", "replace")
-                tk = text_key(raw)
-                raw = symbols(raw, unit)
-                own: dict[tuple, list] = {}
-                for h, p, i, j in anchors(raw, length, k, unit):
-                    own.setdefault((h, xxhash.xxh3_128_digest(raw[i * unit : (j + length) * unit]), p - j, p - i), []).append(p)
-                for (h, s, lo, hi), places in own.items():
-                    ids.append(d)
-                    rows.append((tk, h, *_two(s), lo, hi, places))
+            names = b.column(0).to_pylist()
+            for lo_, raws in _together(b.column(1), TOGETHER[unit]):
+                encoded = symbols(raws, unit)
+                for d, raw, x, found in zip(names[lo_ : lo_ + len(raws)], raws, encoded, anchors(encoded, length, k, unit), strict=True):
+                    if not found:
+                        continue
+                    tk = text_key(raw)
+                    own: dict[tuple, list] = {}
+                    for h, p, i, j in found:
+                        own.setdefault((h, xxhash.xxh3_128_digest(x[i * unit : (j + length) * unit]), p - j, p - i), []).append(p)
+                    for (h, s, lo, hi), places in own.items():
+                        ids.append(d)
+                        rows.append((tk, h, *_two(s), lo, hi, places))
             cols = list(zip(*rows, strict=True)) or [()] * 7
             kinds = [pa.int64()] * 4 + [pa.int16()] * 2 + [pa.list_(pa.int32())]
             yield pa.RecordBatch.from_arrays(
@@ -154,12 +198,12 @@ def _snippets(length: int, unit: int):
     """Symbols before and after the anchor of each listed snippet."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        keep_memo_of("repeats")
+        keep_memo_of(None)
         un = zstd.ZstdDecompressor()
         for b in batches:
             ids, out = [], []
             for d, tk, z, want in zip(b.column("id").to_pylist(), b.column("tk").to_pylist(), b.column("z"), b.column("want").to_pylist(), strict=True):
-                raw = symbols(un.decompress(z.as_py()), unit)
+                raw = symbols([un.decompress(z.as_py())], unit)[0]
                 for w in want:
                     p = w["p"]
                     ids.append(d)
