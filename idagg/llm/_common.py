@@ -40,6 +40,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def fresh(df: DataFrame, name: str) -> str:
+    """A column name that df doesn't have yet: name, or name with underscores."""
+    have = {c.lower() for c in df.columns}
+    while name.lower() in have:
+        name += "_"
+    return name
+
+
 def with_field(df: DataFrame, name: str, kind: str) -> StructType:
     """The schema of df and one more field; df's own schema object is left alone."""
     return StructType([*df.schema.fields, StructType.fromDDL(f"{name} {kind}").fields[0]])
@@ -198,8 +206,13 @@ def components(edges: DataFrame, spark: SparkSession) -> DataFrame:
     """
     e = edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct()
     e = materialize(e, "cc")
-    mark = None
     while True:
+        # done when each node points to one other that points to none; that is exact, whatever the numbers
+        ends = e.select(F.col("u").alias("x"), F.lit(1).alias("up"), F.lit(0).alias("root")).union(e.select("v", F.lit(0), F.lit(1)))
+        open_ = ends.groupBy("x").agg(F.sum("up").alias("up"), F.max("root").alias("root")).where("up > 1 or up = 1 and root = 1")
+        if not open_.limit(1).count():
+            return e.select(F.col("u").alias("node"), F.col("v").alias("root")).union(
+                e.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
         both = e.select("u", "v").union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
         large = (
@@ -208,10 +221,3 @@ def components(edges: DataFrame, spark: SparkSession) -> DataFrame:
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).union(low.select("u", F.col("m").alias("v")))
         e = materialize(small.where("u <> v").distinct(), "cc")
-        now = e.agg(
-            F.count("*").alias("n"), F.sum(F.pmod(F.xxhash64("u", "v"), F.lit(1 << 31)).cast("long")).alias("s"),
-        ).first()
-        if mark == tuple(now):
-            return e.select(F.col("u").alias("node"), F.col("v").alias("root")).union(
-                e.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
-        mark = tuple(now)

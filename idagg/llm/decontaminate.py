@@ -7,17 +7,19 @@ document is. In a class the containment threshold gives a least Jaccard similari
 with ``hashes`` minima (at most 4e-5); any equal minimum makes a candidate. Items of up to TINY shingles are looked up by their shingles. Block minima are computed once for the smallest class and merged in pairs for
 larger ones. Candidates are verified by exact containment, comparing shingle texts over the whole document.
 
-Items are a stated query set. They are broadcast in blocks of at most ``block_items``, each block one pass over the documents; documents
-aren't shuffled.
+Items are a stated query set. They are broadcast in blocks of at most ``block_items`` and about BLOCK_BYTES, each block one pass over the documents;
+documents aren't shuffled. A worker makes a block's index once.
 
 Edge cases: null or empty texts hold nothing; an item of one to four words is one shingle of all its words: it is looked up
 at every place of a document of five words or more, and is found in a shorter one where that has the same words and no others; items
-without words are never found; repeated rows are each reported; several items may be found in one document, each on its own row.
+without words are never found; repeated rows are each reported; several items may be found in one document, each on its own row. Extra columns of
+any name don't matter to ``search`` and are carried along by ``drop_contaminated``.
 """
 
 from __future__ import annotations
 
 import re
+import uuid
 from collections.abc import Iterator
 from itertools import chain
 
@@ -29,7 +31,7 @@ from pyspark.sql import functions as F
 
 from ._common import keep_memo_of, owns_memo
 
-SHINGLE, HASHES, BASE, BLOCK_ITEMS = 5, 48, 8, 50_000
+SHINGLE, HASHES, BASE, BLOCK_ITEMS, BLOCK_BYTES = 5, 48, 8, 50_000, 32 << 20
 TINY = 4  # items of so few shingles are looked up by each of them: a window would dwarf them
 _WORDS = re.compile(r"\w+").findall
 _A = np.uint64(0x9E3779B97F4A7C15)
@@ -47,7 +49,15 @@ class _Words(dict):
 
 
 _HASH = _Words()
-owns_memo("decontaminate", lambda: _HASH.clear())
+_INDEX: dict[str, ItemIndex] = {}  # the last block's index that a worker made
+
+
+def _forget() -> None:
+    _HASH.clear()
+    _INDEX.clear()
+
+
+owns_memo("decontaminate", _forget)
 
 
 def words_of(text: str | None) -> list[str]:
@@ -224,10 +234,19 @@ class ItemIndex:
             yield from self.find_many(column.slice(lo, slice_rows).to_pylist())
 
 
-def _blocks(benchmark: DataFrame, item_col: str, item_text: str, block_items: int) -> Iterator[list[tuple]]:
-    """The items, a bounded block at a time."""
+def _index(name: str, items: list[tuple], threshold: float) -> ItemIndex:
+    """The index of a block, made once a worker and not once a task."""
+    if name not in _INDEX:
+        _INDEX.clear()
+        _INDEX[name] = ItemIndex(items, threshold)
+    return _INDEX[name]
+
+
+def _blocks(benchmark: DataFrame, item_col: str, item_text: str, block_items: int, block_bytes: int = BLOCK_BYTES) -> Iterator[list[tuple]]:
+    """The items, a block at a time that is bounded in rows and bytes (about: items are dealt by hash; no item is cut)."""
     items = benchmark.select(F.col(item_col).cast("long").alias("item"), F.col(item_text).alias("text")).where("text is not null")
-    n = max(1, -(-items.count() // block_items))
+    size = items.agg(F.count("*").alias("n"), F.coalesce(F.sum(F.octet_length("text")), F.lit(0)).alias("b")).first()
+    n = max(1, -(-size.n // block_items), -(-size.b // block_bytes))
     for k in range(n):
         part = items if n == 1 else items.where(F.pmod(F.xxhash64("item", "text"), F.lit(n)) == k)
         yield [tuple(r) for r in part.collect()]
@@ -239,10 +258,10 @@ def search(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8, id_col
     d = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     kind = docs.schema[id_col].dataType.simpleString()
 
-    def searched(shared):
+    def searched(shared, name):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             keep_memo_of("decontaminate")
-            index = ItemIndex(shared.value, threshold)
+            index = _index(name, shared.value, threshold)
             for b in batches:
                 ids, items, shares = [], [], []
                 for d, found in zip(b.column(0).to_pylist(), index.find_in(b.column(1)), strict=True):
@@ -256,7 +275,7 @@ def search(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.8, id_col
 
     out = None
     for block in _blocks(benchmark, item_col, item_text, block_items):
-        got = searched(docs.sparkSession.sparkContext.broadcast(block))
+        got = searched(docs.sparkSession.sparkContext.broadcast(block), uuid.uuid4().hex)
         out = got if out is None else out.union(got)
     return out.select(F.col("id").alias(id_col), F.col("item").alias(item_col), "containment")
 
@@ -265,15 +284,30 @@ def drop_contaminated(docs: DataFrame, benchmark: DataFrame, threshold: float =
                       item_col: str = "item_id", item_text: str = "text", block_items: int = BLOCK_ITEMS) -> DataFrame:
     """The rows of docs that hold no item, with all columns; no shuffle."""
 
-    def kept(df: DataFrame, shared):
+    def kept(df: DataFrame, shared, name):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             keep_memo_of("decontaminate")
-            index = ItemIndex(shared.value, threshold)
+            index = _index(name, shared.value, threshold)
             for b in batches:
                 yield b.filter(pa.array([not found for found in index.find_in(b.column(text_col))], pa.bool_()))
 
         return df.mapInArrow(run, df.schema)
 
     for block in _blocks(benchmark, item_col, item_text, block_items):
-        docs = kept(docs, docs.sparkSession.sparkContext.broadcast(block))
+        docs = kept(docs, docs.sparkSession.sparkContext.broadcast(block), uuid.uuid4().hex)
     return docs
+
+
+def oracle(threshold: float = 0.8) -> str:
+    """The items of five words or more in documents as DuckDB SQL: every item's shingles against every document's."""
+    words = "regexp_extract_all(lower({}), '[\\p{{L}}\\p{{N}}_]+')"
+    pieces = f"unnest([array_to_string(w[i : i + {SHINGLE - 1}], ' ') for i in range(1, len(w) - {SHINGLE - 2})]) AS s"
+    return f"""
+WITH iw AS (SELECT item_id, {words.format('text')} AS w FROM benchmark WHERE text IS NOT NULL),
+i AS (SELECT DISTINCT item_id, {pieces} FROM iw WHERE len(w) >= {SHINGLE}),
+n AS (SELECT item_id, count(*) AS n FROM i GROUP BY item_id),
+dw AS (SELECT doc_id, {words.format('text')} AS w FROM documents WHERE text IS NOT NULL),
+d AS (SELECT DISTINCT doc_id, {pieces} FROM dw WHERE len(w) >= {SHINGLE}),
+x AS (SELECT doc_id, item_id, count(*) AS c FROM d JOIN i USING (s) GROUP BY ALL)
+SELECT doc_id, item_id, c::DOUBLE / n AS containment FROM x JOIN n USING (item_id) WHERE c::DOUBLE / n >= {threshold}
+"""

@@ -16,7 +16,7 @@ aggregated to least and greatest by digest, and chunks of a digest where those d
 
 Edge cases: null text stays null, empty text stays empty; line ends are "\\n" and every other character belongs to its line; null ids come
 first and rows that repeat an id are told apart by their text's digest, exact repeats of a row all keeping what the first keeps; an empty
-table gives no rows.
+table gives no rows. Extra columns are carried along whatever their names; only with ``counts`` do columns named like the counts give way to them.
 """
 
 from __future__ import annotations
@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._common import keep_memo_of, materialize
+from ._common import fresh, keep_memo_of, materialize
 
 WINDOW, MASK = 2, 3  # a chunk ends after one line in four on average
 _MULT = 0x9E3779B97F4A7C15
@@ -72,7 +72,7 @@ def _text_key(text: str | None) -> int:
     return xxhash.xxh3_64_intdigest((text or "").encode("utf-8", "replace")) - (1 << 63)
 
 
-def _scan(runs: bool):
+def _scan(runs: bool, digest):
     """Pieces by digest."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -88,17 +88,17 @@ def _scan(runs: bool):
                     ids.append(d)
                     keys.append(key)
                     places.append(k)
-                    digests.append(_digest(c))
+                    digests.append(digest(c))
             yield pa.RecordBatch.from_arrays(
                 [pa.array(ids, b.schema.field(0).type), pa.array(keys, pa.int64()), pa.array(places, pa.int32()), pa.array(digests, pa.binary())], ["id", "tk", "place", "h"])
 
     return run
 
 
-def repeated(docs: DataFrame, id_col: str, text_col: str, runs: bool = False) -> DataFrame:
+def repeated(docs: DataFrame, id_col: str, text_col: str, runs: bool = False, digest=_digest) -> DataFrame:
     """(id, tk, hs): of each document, the digests and first lines of its pieces that repeat, and whether each is the first."""
     kind = docs.schema[id_col].dataType.simpleString()
-    found = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(_scan(runs), f"id {kind}, tk long, place int, h binary")
+    found = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(_scan(runs, digest), f"id {kind}, tk long, place int, h binary")
     found = materialize(found, "line-chunks")
     first = found.groupBy("h").agg(F.count("*").alias("n"), F.min(F.struct("id", "tk", "place")).alias("first")).where("n > 1").select("h", "first")
     first = materialize(first, "line-first")  # read back, so that the join below deals both sides anew and can split a hot digest
@@ -133,13 +133,16 @@ def _cut(text: str, drop: set[int], runs: bool) -> tuple[str, int, int]:
     return "\n".join(x for k, x in enumerate(text.split("\n")) if k not in gone), len(gone), n_chunks
 
 
-def _rebuild(text_at: int, hs_at: int, bad: frozenset, runs: bool):
+COUNTS = ("__n_lines", "__cut_lines", "__cut_chunks")
+
+
+def _rebuild(text_at: int, hs_at: int, runs: bool, counts: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             texts, n_lines, cut_lines, cut_chunks = [], [], [], []
             for t, hs in zip(b.column(text_at), b.column(hs_at), strict=True):
                 t, hs = t.as_py(), hs.as_py()
-                drop = {x["place"] for x in hs or () if not x["is_first"] and x["h"] not in bad}
+                drop = {x["place"] for x in hs or () if not x["is_first"]}
                 n = 0 if t is None else t.count("\n") + 1
                 gone = n_chunks = 0
                 if drop:
@@ -150,29 +153,54 @@ def _rebuild(text_at: int, hs_at: int, bad: frozenset, runs: bool):
                 cut_chunks.append(n_chunks)
             cols = [pa.array(texts, pa.string()) if k == text_at else b.column(k) for k in range(b.num_columns) if k != hs_at]
             names = [n for k, n in enumerate(b.schema.names) if k != hs_at]
-            yield pa.RecordBatch.from_arrays(
-                [*cols, pa.array(n_lines, pa.int64()), pa.array(cut_lines, pa.int64()), pa.array(cut_chunks, pa.int64())], [*names, "__n_lines", "__cut_lines", "__cut_chunks"])
+            if counts:
+                cols += [pa.array(n_lines, pa.int64()), pa.array(cut_lines, pa.int64()), pa.array(cut_chunks, pa.int64())]
+                names += COUNTS
+            yield pa.RecordBatch.from_arrays(cols, names)
 
     return run
 
 
-def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", runs: bool = False) -> DataFrame:
-    """docs with repeated chunks cut from text_col, and columns __n_lines, __cut_lines, __cut_chunks."""
-    lists = repeated(docs, id_col, text_col, runs).select(F.col("id").alias("__id"), F.col("tk").alias("__tk"), F.col("hs").alias("__hs"))
+def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", runs: bool = False, counts: bool = True, digest=_digest) -> DataFrame:
+    """docs with repeated chunks cut from text_col, and (with ``counts``) columns __n_lines, __cut_lines, __cut_chunks."""
+    if counts:
+        docs = docs.drop(*COUNTS)
+    lists = repeated(docs, id_col, text_col, runs, digest)
 
     @F.pandas_udf("long")
     def text_key(s):
         return s.map(_text_key, na_action=None).astype("int64")
 
-    keyed = docs.withColumn("__key", text_key(F.col(text_col)))
-    cond = F.col(id_col).eqNullSafe(F.col("__id")) & (F.col("__key") == F.col("__tk"))
-    listed = keyed.hint("merge").join(lists, cond, "inner").select(F.col(text_col).alias("text"), F.col("__hs").alias("hs"))
-    texts = listed.mapInArrow(_flagged(runs), "h binary, chunk binary")
-    differ = texts.groupBy("h").agg(F.min("chunk").alias("lo"), F.max("chunk").alias("hi")).where("lo <> hi").select("h")
-    bad = frozenset(bytes(r.h) for r in differ.limit(10_000).collect())  # digest collisions: their chunks all stay
-    joined = keyed.hint("merge").join(lists, cond, "left").drop("__key", "__id", "__tk")
+    key, lid, ltk, lhs = (fresh(docs, n) for n in ("__key", "__id", "__tk", "__hs"))
+    keyed = docs.withColumn(key, text_key(F.col(text_col)))
+
+    def with_lists(how):
+        named = lists.select(F.col("id").alias(lid), F.col("tk").alias(ltk), F.col("hs").alias(lhs))
+        return keyed.hint("merge").join(named, F.col(id_col).eqNullSafe(F.col(lid)) & (F.col(key) == F.col(ltk)), how)
+
+    texts = with_lists("inner").select(F.col(text_col).alias("text"), F.col(lhs).alias("hs")).mapInArrow(_flagged(runs), "h binary, chunk binary")
+    differ = materialize(texts.groupBy("h").agg(F.min("chunk").alias("lo"), F.max("chunk").alias("hi")).where("lo <> hi").select("h"), "line-differ")
+    if differ.limit(1).count():  # digests that stand for several texts, however many: their chunks all stay
+        each = lists.select("id", "tk", F.explode("hs").alias("x")).withColumn("h", F.col("x.h")).join(differ, "h", "left_anti")
+        lists = materialize(each.groupBy("id", "tk").agg(F.collect_set("x").alias("hs")), "line-repeats")
+    joined = with_lists("left").drop(key, lid, ltk)
     names = joined.columns
     schema = docs
-    for n in ("__n_lines", "__cut_lines", "__cut_chunks"):
+    for n in COUNTS if counts else ():
         schema = schema.withColumn(n, F.lit(0).cast("long"))
-    return joined.mapInArrow(_rebuild(names.index(text_col), names.index("__hs"), bad, runs), schema.schema)
+    return joined.mapInArrow(_rebuild(names.index(text_col), names.index(lhs), runs, counts), schema.schema)
+
+
+def oracle() -> str:
+    """Runs of repeated lines in documents as DuckDB SQL, comparing lines themselves: every pair of adjacent lines but its first place is cut."""
+    return """
+WITH d AS (SELECT doc_id, text, string_split(text, chr(10)) AS ls FROM documents),
+l AS (SELECT doc_id, unnest(range(1, len(ls) + 1)) AS k, unnest(ls) AS line FROM d WHERE text IS NOT NULL),
+p AS (SELECT doc_id, k, line, lead(line) OVER (PARTITION BY doc_id ORDER BY k) AS nxt FROM l),
+c AS (SELECT doc_id, k, row_number() OVER (PARTITION BY line, nxt ORDER BY doc_id, k) > 1 AS drop_ FROM p WHERE nxt IS NOT NULL),
+g AS (SELECT l.doc_id, l.k, line, coalesce(c.drop_, FALSE) AS begins, coalesce(c.drop_, FALSE) OR coalesce(b.drop_, FALSE) AS gone, coalesce(c.drop_, FALSE) AND NOT coalesce(b.drop_, FALSE) AS first_
+  FROM l LEFT JOIN c ON c.doc_id = l.doc_id AND c.k = l.k LEFT JOIN c b ON b.doc_id = l.doc_id AND b.k = l.k - 1)
+SELECT d.doc_id, coalesce(any_value(len(ls)), 0)::BIGINT AS n_lines, count(*) FILTER (gone) AS n_removed_lines, count(*) FILTER (first_) AS n_removed_chunks,
+       sha256(coalesce(string_agg(line, chr(10) ORDER BY k) FILTER (NOT gone), '')) AS kept_sha256
+FROM d LEFT JOIN g ON g.doc_id = d.doc_id GROUP BY d.doc_id
+"""

@@ -9,7 +9,8 @@ fitted in one task on bounded samples (max_positive, max_unlabelled rows, those
 whole texts with a model of a few kilobytes, no shuffle.
 
 Edge cases: null counts as empty text, whose features are all zero and whose score is the network's for them; rows are scored one
-by one, so repeated rows and ties give equal scores; without positives the score is 0.5 for all.
+by one, so repeated rows and ties give equal scores; without positives the score is 0.5 for all. Extra columns are carried along; one that
+has the score's name gives way to it.
 """
 
 from __future__ import annotations
@@ -161,6 +162,7 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", may_learn: C
 
 
 def score(docs: DataFrame, net: Network | None, text_col: str = "text", out: str = "score") -> DataFrame:
+    docs = docs.drop(out)
     shared = docs.sparkSession.sparkContext.broadcast(net)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

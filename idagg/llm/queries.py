@@ -72,4 +72,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op10_licenses": licenses.oracle()}
+    return {"op2_decontaminate": decontaminate.oracle(), "op3_line_dedup": line_dedup.oracle(), "op8_warc": warc.oracle(), "op10_licenses": licenses.oracle()}

@@ -14,7 +14,7 @@ in a bucket's size. Components then come from distributed star contraction.
 
 Edge cases: null text counts as empty; texts without words have fingerprint zero, linked like any other; a text of one or two words
 is one shingle; a null id never names a component unless all its members' ids are null; repeated rows are each returned; an empty
-table gives no rows.
+table gives no rows. Extra columns don't matter to ``clusters``; ``keep_one`` carries them along whatever their names.
 """
 
 from __future__ import annotations
@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._common import bounded_sample, components, keep_memo_of, key_change, materialize, n_parts, split_hot, whole_groups, with_field
+from ._common import bounded_sample, components, fresh, keep_memo_of, key_change, materialize, n_parts, split_hot, whole_groups, with_field
 
 SAMPLE, BUCKET = 4_096, 1_024
 _LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
@@ -223,10 +223,11 @@ def clusters(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ra
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = 3) -> DataFrame:
     """The rows of docs that stand for their component: its smallest id, and of rows that repeat it one. Rows with a null id stay."""
     c = clusters(docs, id_col, text_col, radius)
-    kept = c.where(F.col(id_col).isNull() | (F.col(id_col) == F.col("component_id"))).groupBy(F.col(id_col).alias("__kept")).agg(F.count("*").alias("__n"))
+    own, many = fresh(docs, "__kept"), fresh(docs, "__n")
+    kept = c.where(F.col(id_col).isNull() | (F.col(id_col) == F.col("component_id"))).groupBy(F.col(id_col).alias(own)).agg(F.count("*").alias(many))
     kept = materialize(kept, "simhash-kept")
-    out = docs.hint("merge").join(kept, docs[id_col].eqNullSafe(kept["__kept"]))
-    if kept.where("__n > 1 and __kept is not null").limit(1).count():
-        one = out.where("__n > 1 and __kept is not null").dropDuplicates([id_col])
-        out = out.where("__n = 1 or __kept is null").unionByName(one)
-    return out.drop("__kept", "__n")
+    out = docs.hint("merge").join(kept, docs[id_col].eqNullSafe(kept[own]))
+    repeats = (F.col(many) > 1) & F.col(own).isNotNull()
+    if kept.where(repeats).limit(1).count():
+        out = out.where(~repeats).unionByName(out.where(repeats).dropDuplicates([id_col]))
+    return out.drop(own, many)

@@ -9,7 +9,8 @@ Fit: at most ``max_rows`` labelled rows (those whose id hashes lowest), read by
 bounded, broadcast list, so texts are filtered in the scan. Score: one map over the whole texts, no shuffle.
 
 Edge cases: null and empty texts get the score of the bias alone; rows are scored one by one, so repeated rows and ties give
-equal scores; with no labelled rows, or labels of one kind only, the bias is the smoothed log odds and no weight is set.
+equal scores; with no labelled rows, or labels of one kind only, the bias is the smoothed log odds and no weight is set. Extra columns are
+carried along; one that has the score's name gives way to it.
 """
 
 from __future__ import annotations
@@ -156,6 +157,7 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", may_learn: Col
 
 def score(docs: DataFrame, model: tuple[np.ndarray, np.ndarray], text_col: str = "text", out: str = "score") -> DataFrame:
     """docs with a score column: the probability that a text is toxic."""
+    docs = docs.drop(out)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

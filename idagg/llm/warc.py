@@ -195,3 +195,15 @@ def write_files(archives: DataFrame, folder: str) -> None:
         out = fs.create(jvm.org.apache.hadoop.fs.Path(base, r.name), True)
         out.write(bytearray(r.content))
         out.close()
+
+
+def oracle() -> str:
+    """What is read back from archives of pages, as DuckDB SQL over the pages themselves; the digest's base 32 comes from its hex, five digits giving
+    four characters."""
+    letters = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
+    return f"""
+WITH p AS (SELECT page_id, coalesce(html, '') AS h FROM pages), q AS (SELECT page_id, h, sha1(h) AS x, max(page_id) OVER (PARTITION BY h) AS best FROM p)
+SELECT page_id, strlen(h) AS payload_bytes,
+       array_to_string([substr('{letters}', 1 + CAST(('0x' || substr(x, 1 + 5 * (k // 4), 5))::BIGINT >> (15 - 5 * (k % 4)) & 31 AS BIGINT), 1) for k in range(32)], '') AS payload_digest,
+       CASE WHEN page_id = best THEN 'response' ELSE 'revisit' END AS record_type, CASE WHEN page_id <> best THEN best END AS refers_to FROM q
+"""

@@ -390,3 +390,112 @@ def test_licenses(spark, odd, none):
 def test_queries_registered():
     q = queries.queries()
     assert sorted(int(n[2:].split("_")[0]) for n in q) == list(range(1, 11))
+
+
+def test_short_items_are_found_inside_documents(spark):
+    items = [(1, "Solve"), (2, "two plus two"), (3, "a b c d"), (4, "two"), (5, "one two three four five six")]
+    docs = [(1, "please solve this: what is two plus two, she said"), (2, "a b c d"), (3, "x a b c d y z w"), (4, "a b c"), (5, None), (6, "Two Plus Two"),
+            (7, "zero one two three four five six seven"), (8, "nothing of the kind stands in here")]
+    want = set()
+    for d, text in docs:
+        w = decontaminate.words_of(text)
+        for k, item in items:
+            v = decontaminate.words_of(item)
+            if len(w) > 4 and any(w[i : i + len(v)] == v for i in range(len(w) - len(v) + 1)) or w == v:
+                want.add((d, k, 1.0))
+    df, bench = spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
+    got = [tuple(r) for r in decontaminate.search(df, bench).collect()]
+    assert sorted(got) == sorted(want) and (3, 3, 1.0) in want and (1, 1, 1.0) in want
+    assert {r.doc_id for r in decontaminate.drop_contaminated(df, bench).collect()} == {4, 5, 8}
+
+
+def test_ftrl_against_the_plain_recurrence():
+    """Per-coordinate steps against the update written out with scalars."""
+    from math import exp, sqrt
+
+    r = random.Random(4)
+    m = toxicity.Ftrl(12, alpha=0.3, beta=1.0, l1=0.2, l2=1.0)
+    z, n = [0.0] * 12, [0.0] * 12
+
+    def weight(i):
+        if abs(z[i]) <= 0.2:
+            return 0.0
+        return -(z[i] - (0.2 if z[i] > 0 else -0.2)) / ((1.0 + sqrt(n[i])) / 0.3 + 1.0)
+
+    for _ in range(200):
+        x, y, bias = sorted(r.sample(range(12), r.randrange(1, 6))), float(r.random() < 0.4), r.uniform(-1, 1)
+        g = 1 / (1 + exp(-(sum(map(weight, x)) + bias))) - y
+        old = {i: weight(i) for i in x}
+        for i in x:
+            step = (sqrt(n[i] + g * g) - sqrt(n[i])) / 0.3
+            z[i] += g - step * old[i]
+            n[i] += g * g
+        assert m.learn(np.array(x), y, bias) == pytest.approx(g)
+    assert m.weights(slice(None)) == pytest.approx([weight(i) for i in range(12)]) and 0 < (m.weights(slice(None)) == 0).sum() < 12
+
+
+def test_risk_gradient_by_finite_differences():
+    """The network's gradient of a mean logistic loss, by each parameter."""
+    r = np.random.default_rng(3)
+    x = r.normal(size=(9, 5))
+    net = quality.Network(x.mean(0), x.std(0), 1, hidden=4)
+    net.p[1] += 0.1
+    z = net.scaled(x)
+
+    def loss():
+        return np.logaddexp(0, net.forward(z)[0]).mean()
+
+    f, h = net.forward(z)
+    grads = net.backward(z, h, 1 / (1 + np.exp(-f)) / len(f))
+    for p, g in zip(net.p, grads, strict=True):
+        for at in np.ndindex(p.shape):
+            keep = p[at]
+            p[at] = keep + 1e-6
+            up = loss()
+            p[at] = keep - 1e-6
+            down = loss()
+            p[at] = keep
+            assert np.asarray(g)[at] == pytest.approx((up - down) / 2e-6, rel=1e-4, abs=1e-8)
+
+
+def test_risk_never_rewards_what_it_cannot_see():
+    """Separable classes: from positives and unlabelled texts alone, both kinds of the unlabelled are told apart; the risk's clamp keeps positives that
+    are few from driving all scores up."""
+    r = np.random.default_rng(6)
+    pos, neg = r.normal(2, 1, (60, 6)), r.normal(-2, 1, (400, 6))
+    unl = np.vstack([r.normal(2, 1, (200, 6)), neg])
+    net = quality.fit_network(pos, unl, 1 / 3, epochs=30)
+    s = net.score(unl)
+    assert (s[:200] >= 0.5).mean() > 0.95 and (s[200:] < 0.5).mean() > 0.95
+
+
+def test_many_colliding_digests_all_stay(spark):
+    """Pieces whose digest stands for several texts stay, however many such digests there are; others are cut as ever."""
+    rows = [(2 * k + j, f"{k:02d}a{j}\nz{j}") for k in range(40) for j in range(2)] + [(100, "xxsame\nb"), (101, "xxsame\nb")]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = {r.doc_id: r.text for r in line_dedup.dedup(df, runs=True, digest=lambda c: c[0][:2].encode()).collect()}
+    assert all(got[d] == t for d, t in rows[:-1]) and got[101] == ""
+
+
+def test_scores_replace_a_column_of_their_name(odd):
+    got = toxicity.score(odd, (np.array([-1]), np.array([0.5])))
+    assert got.columns == [*[c for c in odd.columns if c != "score"], "score"] and got.where("score is null").count() == 0
+    got = quality.score(odd, None)
+    assert got.columns.count("score") == 1 and {r.score for r in got.collect()} == {0.5}
+
+
+def test_line_dedup_and_keep_one_keep_clashing_columns(odd):
+    named = odd.withColumns({n: F.lit(n) for n in ("__hs", "__key", "__id", "__tk", "__n", "__kept", "__n_lines")})
+    for got in (line_dedup.dedup(named, runs=True, counts=False), simhash.keep_one(named)):
+        assert got.columns == named.columns and all(r[n] == n for r in got.collect() for n in ("__hs", "__key", "__n", "__kept", "__n_lines"))
+    got = line_dedup.dedup(named, runs=True)
+    assert got.columns == [*[c for c in named.columns if c != "__n_lines"], *line_dedup.COUNTS] and got.where("__n_lines < 0").count() == 0
+
+
+def test_index_blocks_are_bounded_by_bytes(spark):
+    items = spark.createDataFrame([(k, prose(f"i{k}", 40)) for k in range(30)], "item_id long, text string")
+    blocks = list(decontaminate._blocks(items, "item_id", "text", 50_000, 2_000))
+    assert len(blocks) > 3 and sorted(x[0] for b in blocks for x in b) == list(range(30))
+    docs = spark.createDataFrame([(k, "x " + prose(f"i{k}", 40) + " y") for k in range(30)], "doc_id long, text string")
+    got = decontaminate.search(docs, items, block_items=4)
+    assert sorted((r.doc_id, r.item_id) for r in got.collect()) == [(k, k) for k in range(30)]
