@@ -12,18 +12,19 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from idagg.llm import bpe, decontaminate, line_dedup, quality, simhash
-from idagg.llm._common import materialize, table
+from idagg.llm._common import fresh, materialize, scratch, table
 
 
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality classifier scores 0.5 or more."""
     net = quality.fit(docs, table(spark, sf_dir, "labels"), may_learn=F.crc32(F.col("id").cast("string")) % 3 != 1)
-    return quality.score(docs, net, out="__quality").where("__quality >= 0.5").drop("__quality")
+    good = fresh(docs, "__quality")
+    return quality.score(docs, net, out=good).where(F.col(good) >= 0.5).drop(good)
 
 
 def cut_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without runs of two or more lines that an earlier document, or place, has too; n_chars follows the text."""
-    got = line_dedup.dedup(docs, runs=True).drop("__n_lines", "__cut_lines", "__cut_chunks")
+    got = line_dedup.dedup(docs, runs=True, counts=False)
     return got.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else got
 
 
@@ -57,7 +58,8 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     for k, (name, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
-        if k < len(STAGES) - 1:
-            docs = materialize(docs, name)
+        if k == len(STAGES) - 1:
+            return stage(spark, docs, sf_dir)
+        with scratch(spark):  # what a stage wrote on its way goes when its result is written
+            docs = materialize(stage(spark, docs, sf_dir), name, keep=True)
     return docs
