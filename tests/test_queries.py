@@ -7,7 +7,7 @@ import __spark_entry__ as entry
 from idagg import workloads
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SLOW = {"hll_million", "stat_contrasts", "arm_code_generated_sql", "hll_error_vs_reference"}
+SLOW = {"hll_million", "stat_contrasts", "arm_code_generated_sql", "hll_error_vs_reference", "hll_million_seeds_exact", "stat_campaign", "stat_campaign_contrasts"}  # test_campaign.py runs the latter's parts
 
 
 @pytest.fixture(scope="module")
@@ -43,6 +43,16 @@ def test_query(spark, sf, duck, name):
         assert rows(got) == rows(duck.sql(workloads.oracle_sql()[name]).df())
 
 
+@pytest.mark.parametrize("name", sorted(LARGE_ONLY))
+def test_query_on_more_rows(spark, name):
+    sf = "/root/testdata/sf0.01"
+    con = duckdb.connect()
+    con.sql("SET TimeZone = 'UTC'")
+    for t in TABLES:
+        con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
+    assert rows(workloads.queries()[name](spark, sf).toPandas()) == rows(con.sql(workloads.oracle_sql()[name]).df())
+
+
 def test_entry(spark):
     assert entry.entry(spark).count() > 0
     assert set(workloads.queries()) <= set(entry.queries())
