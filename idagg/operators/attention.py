@@ -11,7 +11,7 @@ def attention_state(df: DataFrame, a: str, v: str, keys: list[str] | None = None
     after a common shift."""
     keys = keys or []
     top = df.groupBy(*keys).agg(F.max(a).alias("top"))
-    d = df.join(F.broadcast(top), keys) if keys else df.crossJoin(F.broadcast(top))  # one row of state a key
+    d = df.join(top, keys) if keys else df.crossJoin(F.broadcast(top))
     w = F.exp(F.col(a) - F.col("top"))
     return d.groupBy(*keys).agg(F.first("top").alias("top"), F.sum(w * F.col(v)).alias("num"), F.sum(w).alias("den"))
 
@@ -24,7 +24,7 @@ def merge_nd(states: DataFrame, keys: list[str] | None = None) -> DataFrame:
     """States merged: unlike the readouts these are mergeable, but a repeated record still counts twice."""
     keys = keys or []
     top = states.groupBy(*keys).agg(F.max("top").alias("__t"))
-    d = states.join(F.broadcast(top), keys) if keys else states.crossJoin(F.broadcast(top))
+    d = states.join(top, keys) if keys else states.crossJoin(F.broadcast(top))
     s = F.exp(F.col("top") - F.col("__t"))
     return d.groupBy(*keys).agg(F.first("__t").alias("top"), F.sum(F.col("num") * s).alias("num"), F.sum(F.col("den") * s).alias("den"))
 

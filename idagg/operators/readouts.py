@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from idagg.functions.estimate import corrected_estimate
@@ -35,10 +36,16 @@ def read_grouped(regs: DataFrame, group: str, groups: DataFrame | None = None, p
 def running_distinct(regs: DataFrame, order: str, p: int = DEFAULT_P) -> DataFrame:
     """(order, estimate) of all states up to each point of a short order column (days, segments): a state's registers last until raised.
 
-    Each register row says from when on a register has at least its rank; per point, the maximum over earlier ones is a join on order."""
-    points = regs.select(F.col(order).alias("__at")).distinct()
-    d = merge_registers(regs, [order])
-    return read_distinct(merge_registers(d.join(F.broadcast(points), F.col(order) <= F.col("__at")).select(F.col("__at").alias(order), "j", "r"), [order]), [order], p)
+    Each register is followed along the order by itself; where its rank rises, the harmonic sum changes by a difference of powers of two (exact in
+    a double). A point adds up its changes, and only those sums, a row a point, are accumulated in order. Rows without order are left out."""
+    m = 1 << p
+    d = merge_registers(regs.where(F.col(order).isNotNull()), [order])
+    so_far = F.coalesce(F.max("r").over(W.partitionBy("j").orderBy(order).rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    d = d.withColumn("__b", so_far)
+    fall = F.when(F.col("r") > F.col("__b"), F.pow(F.lit(2.0), -F.col("r")) - F.pow(F.lit(2.0), -F.col("__b"))).otherwise(0.0)
+    per = d.groupBy(order).agg(F.sum(fall).alias("__s"), F.count_if(F.col("__b") == 0).alias("__c"))
+    up_to = W.orderBy(order).rowsBetween(W.unboundedPreceding, W.currentRow)
+    return per.select(order, corrected_estimate(F.lit(m) + F.sum("__s").over(up_to), F.lit(m) - F.sum("__c").over(up_to), m).alias("estimate"))
 
 
 def sliding_distinct(regs: DataFrame, day: str, width: int, p: int = DEFAULT_P) -> DataFrame:

@@ -48,9 +48,14 @@ def rollup_states(regs: DataFrame, keys: list[str], sets: str = "rollup") -> Dat
 def pack(regs: DataFrame, keys: list[str], p: int = DEFAULT_P) -> DataFrame:
     """(keys, state): m bytes, one a register, from the sparse rows of each key."""
     m = 1 << p
-    got = regs.groupBy(*keys).agg(F.map_from_entries(F.collect_list(F.struct("j", "r"))).alias("__m"))
-    digits = F.transform(F.sequence(F.lit(0), F.lit(m - 1)), lambda k: F.lpad(F.hex(F.coalesce(F.element_at("__m", k), F.lit(0)).cast("long")), 2, "0"))
-    return got.select(*keys, F.unhex(F.array_join(digits, "")).alias("state"))
+    got = regs.groupBy(*keys).agg(F.array_sort(F.collect_list(F.struct("j", "r"))).alias("__a"))
+
+    def digits(x, i):
+        """Two for this register, after a zero byte for each empty one since the register before."""
+        gap = x["j"] - F.coalesce(F.get("__a", i - 1)["j"], F.lit(-1)) - 1
+        return F.concat(F.repeat(F.lit("00"), gap.cast("int")), F.lpad(F.hex(x["r"].cast("long")), 2, "0"))
+
+    return got.select(*keys, F.unhex(F.rpad(F.array_join(F.transform("__a", digits), ""), 2 * m, "0")).alias("state"))
 
 
 def unpack(states: DataFrame, keys: list[str], p: int = DEFAULT_P, state: str = "state") -> DataFrame:

@@ -14,8 +14,12 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from idagg.operators.registers import merge_registers, pack
+from idagg.sources.shared import written
 from idagg.spec import DEFAULT_P
 
+MATRIX_STREAMS = 2_000  # streams that are all paired with each other; of more, the pairs wanted are given
+
 FIT_SCHEMA = "n10 double, n01 double, n11 double, reason string, iterations int, boundary string, residual double, valid boolean"
 
 
@@ -215,13 +219,35 @@ def relate(regs: DataFrame, a: str, b: str, keys: list[str] | None = None, p: in
     return readouts(fit_pairs(cells, named, p, **fit), named)
 
 
-def relation_matrix(regs: DataFrame, stream: str = "stream_id", p: int = DEFAULT_P, **fit) -> DataFrame:
-    """Readouts of each pair of streams (a < b) from their states; the join is on register rows of states, never on records."""
-    s = regs.select(F.col(stream).alias("a")).distinct()
-    pairs = s.join(s.withColumnRenamed("a", "b"), F.col("a") < F.col("b"))
-    x = pairs.join(regs.select(F.col(stream).alias("a"), "j", "r"), "a")
-    y = pairs.join(regs.select(F.col(stream).alias("b"), "j", "r"), "b")
-    return readouts(fit_pairs(pair_histogram(x, y, ["a", "b"], p, complete=False), ["a", "b"], p, **fit), ["a", "b"])
+def relation_matrix(regs: DataFrame, stream: str = "stream_id", p: int = DEFAULT_P, pairs: DataFrame | None = None, **fit) -> DataFrame:
+    """Readouts of pairs of streams from their states, which are written once as m bytes each; a pair is a row with two of them and is fitted there.
+
+    pairs (a, b), of any number, lists those wanted; a stream in it that was never seen has an empty state. Without it each pair a < b of
+    at most MATRIX_STREAMS streams is read, and more streams than that are an error, as their pairs grow with the square."""
+    m = 1 << p
+    s = written(pack(merge_registers(regs.select(F.col(stream).alias("a"), "j", "r"), ["a"]), ["a"], p), "matrix")
+    if pairs is None:
+        n = s.count()
+        if n > MATRIX_STREAMS:
+            raise ValueError(f"{n} streams have too many pairs: give the pairs wanted")
+        seen = s.select("a")
+        pairs = seen.join(seen.withColumnRenamed("a", "b"), F.col("a") < F.col("b"))
+    x = pairs.select("a", "b").join(s.withColumnRenamed("state", "__x"), "a", "left").join(s.withColumnsRenamed({"a": "b", "state": "__y"}), "b", "left")
+    names = [c.split()[0] for c in FIT_SCHEMA.split(", ")]
+
+    def fitted(batches):
+        for pdf in batches:
+            out = []
+            for both in zip(pdf["__x"], pdf["__y"], strict=True):
+                u, v = (np.zeros(m, np.int64) if t is None else np.frombuffer(t, np.uint8).astype(np.int64) for t in both)
+                cells, h = np.unique(u << 8 | v, return_counts=True)
+                out.append(fit_regions(cells >> 8, cells & 255, h, m, **fit))
+            yield pd.concat([pdf[["a", "b"]].reset_index(drop=True), pd.DataFrame(out, columns=names)], axis=1)
+
+    keys = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in x.select("a", "b").schema)
+    # rows are few and their work is much, as in fit_pairs
+    dealt = x.repartition(int(regs.sparkSession.conf.get("spark.sql.shuffle.partitions")), "a", "b")
+    return readouts(dealt.mapInPandas(fitted, f"{keys}, {FIT_SCHEMA}"), ["a", "b"])
 
 
 def inclusion_exclusion(na: float, nb: float, nu: float) -> float:

@@ -94,7 +94,7 @@ def budgeted_evidence(records: DataFrame, p: int = DEFAULT_P, relations: bool =
     out = of("distinct", read_distinct(regs.where("stream_id = 'a'"), ["window_id"], p))
     out = out.unionByName(of("union", read_distinct(merge_registers(regs, ["window_id"]), ["window_id"], p)))
     first = records.groupBy("window_id").agg(F.min("group_key").alias("group_key"), F.max("identity").alias("identity"))
-    grouped = read_distinct(allof, ["window_id", "group_key"], p).join(F.broadcast(first.select("window_id", "group_key")), ["window_id", "group_key"])
+    grouped = read_distinct(allof, ["window_id", "group_key"], p).join(first.select("window_id", "group_key"), ["window_id", "group_key"])
     out = out.unionByName(grouped.select("window_id", F.lit("grouped_distinct").alias("operator"), "estimate", ok))
     cells = build_countmin(records.select("window_id", "identity"), ["window_id"], seed=1)
     freq = read_frequency(cells, first.select("window_id", "identity"), ["window_id"], seed=1)
@@ -117,7 +117,7 @@ def context_evidence(records: DataFrame, how: str) -> DataFrame:
     identities chunk by chunk and adds the chunks, so what spans chunks counts again."""
     a, b = F.col("in_a"), F.col("in_b")
     picks = records.groupBy("window_id").agg(F.min("group_key").alias("g"), F.max("identity").alias("z"))
-    d = records.join(F.broadcast(picks), "window_id")
+    d = records.join(picks, "window_id")
     if how == "cot":
         per = d.groupBy("window_id", "chunk", "identity").agg(
             F.max(a.cast("int")).alias("a"), F.max(b.cast("int")).alias("b"), F.max((F.col("group_key") == F.col("g")).cast("int")).alias("g"), F.count_if(F.col("identity") == F.col("z")).alias("z"))
@@ -156,7 +156,7 @@ def context_arm(tasks: DataFrame, records: DataFrame, wins: DataFrame, how: str,
     """how: direct, cot or guided. Windows above the token limit fail at packing. Direct and guided read alike here; ``plans.campaign`` tells them
     apart by prompt length and by answers that don't parse."""
     limit = T.context_limit(wins, share)
-    d = tasks.join(context_evidence(records, how), ["window_id", "operator"]).join(F.broadcast(wins.select("window_id", "token_proxy")), "window_id").crossJoin(F.broadcast(limit))
+    d = tasks.join(context_evidence(records, how), ["window_id", "operator"]).join(wins.select("window_id", "token_proxy"), "window_id").crossJoin(F.broadcast(limit))
     fits = F.col("token_proxy") <= F.col("limit_tokens")
     return terminal(d, f"ctx_{how}", F.when(F.col("estimate") > F.col("threshold"), "act").otherwise("watch"), fits, "context_packing", tokens=F.lit(60 if how == "cot" else 1))
 

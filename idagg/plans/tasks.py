@@ -66,7 +66,7 @@ def candidates(records: DataFrame) -> DataFrame:
     o = hash64(F.concat("window_id", F.lit("/"), "identity"), GENERATOR_SEED, "md5")
     ranked = items.select("window_id", "identity", F.row_number().over(W.partitionBy("window_id").orderBy(o, "identity")).alias("rank"))
     enough = items.groupBy("window_id").agg(F.count("*").alias("n")).where(F.col("n") >= MIN_ITEMS)
-    return ranked.where(F.col("rank") <= MAX_CANDIDATES).join(F.broadcast(enough.select("window_id")), "window_id", "left_semi")
+    return ranked.where(F.col("rank") <= MAX_CANDIDATES).join(enough.select("window_id"), "window_id", "left_semi")
 
 
 def streams(records: DataFrame) -> DataFrame:
@@ -85,7 +85,7 @@ def targets(records: DataFrame) -> DataFrame:
     none = F.lit(None).cast("string")
     r = r.select("window_id", "x.operator", none.alias("group_key"), none.alias("probe"), "x.exact")
     picks = records.groupBy("window_id").agg(F.min("group_key").alias("g"), F.max("identity").alias("z"))
-    d = records.select("window_id", "group_key", "identity").join(F.broadcast(picks), "window_id")
+    d = records.select("window_id", "group_key", "identity").join(picks, "window_id")
     g = d.groupBy("window_id", "g", "z").agg(F.count_distinct(F.when(F.col("group_key") == F.col("g"), F.col("identity"))).alias("gd"), F.count_if(F.col("identity") == F.col("z")).alias("f"))
     return r.unionByName(g.select("window_id", F.lit("grouped_distinct").alias("operator"), F.col("g").alias("group_key"), none.alias("probe"), F.col("gd").cast("double").alias("exact"))).unionByName(
         g.select("window_id", F.lit("frequency").alias("operator"), none.alias("group_key"), F.col("z").alias("probe"), F.col("f").cast("double").alias("exact")))

@@ -14,6 +14,7 @@ from idagg.operators.readouts import read_distinct
 from idagg.plans import arms, measures, stats, tasks
 from idagg.queries import query, sql
 from idagg.queries.core import DAY, DAY_SQL, FLAG_REG, FLAGS, FULFIL, R4, read_sweep, sweep_registers  # noqa: F401
+from idagg.sources.shared import written
 from idagg.sources.tables import load_table as T
 from idagg.spec import OperandSpec
 
@@ -138,8 +139,8 @@ def rel_diagnostics(s, d):
     g = registers.build_registers(o, ["stream_id"])
     a = g.withColumnRenamed("stream_id", "a")
     p = g.select(F.col("stream_id").alias("b")).distinct()
-    x = a.join(F.broadcast(p), F.col("a") < F.col("b"))
-    y = a.withColumnsRenamed({"a": "b"}).join(F.broadcast(p.withColumnRenamed("b", "a")), F.col("a") < F.col("b"))
+    x = a.join(p, F.col("a") < F.col("b"))
+    y = a.withColumnsRenamed({"a": "b"}).join(p.withColumnRenamed("b", "a"), F.col("a") < F.col("b"))
     f = relation.fit_pairs(relation.pair_histogram(x, y, ["a", "b"]), ["a", "b"])
     return f.agg(F.count("*").alias("pairs"), F.count_if("valid").alias("valid_fits"), (F.max("iterations") <= 24).alias("few_sweeps"), (F.max("residual") <= 5e-4).alias("small_residual"))
 
@@ -230,7 +231,7 @@ def task_joint(s, d):
     """Matched tasks that fit the plain prompt's limit and the longer one of chain of thought (a tenth more text, a fifth more room)."""
     r = rec(s, d)
     w = tasks.windows(r)
-    m = tasks.matched(tasks.generate(tasks.targets(r))).join(F.broadcast(w.select("window_id", "token_proxy")), "window_id").crossJoin(F.broadcast(tasks.context_limit(w)))
+    m = tasks.matched(tasks.generate(tasks.targets(r))).join(w.select("window_id", "token_proxy"), "window_id").crossJoin(F.broadcast(tasks.context_limit(w)))
     return m.where((F.col("token_proxy") <= F.col("limit_tokens")) & (F.ceil(F.col("token_proxy") * 1.1) <= F.col("limit_tokens") * 1.2)).select("task_id", "window_id")
 
 
@@ -325,7 +326,7 @@ CODE = f", cs AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY windo
 @query("arm_code_generated_sql", TK + CODE + " SELECT task_id, gold AS answer, 'ok' AS status, 1::INTEGER AS score FROM cs")
 def arm_code(s, d):
     """One generated program and job a task, over the first few of the fixed subset."""
-    r = rec(s, d).cache()
+    r = written(rec(s, d), "records")
     return rows_of(arms.code_arm(s, tasks.code_subset(tasks.generate(tasks.targets(r)), CODE_N), r))
 
 
@@ -334,9 +335,9 @@ CODE_ALL = CODE.replace(f"LIMIT {CODE_N}", f"LIMIT {tasks.CODE_TASKS}")
 
 @query("arm_code_all_tasks", TK + CODE_ALL + " SELECT task_id, gold AS answer, 'ok' AS status, 1::INTEGER AS score FROM cs")
 def arm_code_all(s, d):
-    """One generated program and job a task, over the whole fixed subset. Records are cached by window, so that a program reads its window's only."""
-    r = rec(s, d).repartitionByRange("window_id").sortWithinPartitions("window_id").cache()
-    t = tasks.code_subset(tasks.generate(tasks.targets(r))).cache()
+    """One generated program and job a task, over the whole fixed subset. Records are written by window, so that a program reads its window's only."""
+    r = written(rec(s, d).repartitionByRange("window_id").sortWithinPartitions("window_id"), "records")
+    t = written(tasks.code_subset(tasks.generate(tasks.targets(r))), "code-tasks")
     return rows_of(arms.code_arm(s, t, r))
 
 
@@ -450,7 +451,7 @@ CONTRASTS = [("exact", "aggregate_only"), ("exact", "policy_only"), ("exact", "c
 @query("stat_contrasts")
 def stat_contrasts(s, d):
     """Eight paired contrasts: sign-flip p-values, then Holm's adjustment."""
-    r = arm_rows(s, d).cache()
+    r = written(arm_rows(s, d), "arm-rows")
     parts = [stats.sign_flip_test(stats.window_sums(stats.paired(r, a, b), "diff", ())).withColumn("contrast", F.lit(f"{a} - {b}")) for a, b in CONTRASTS]
     p = reduce(lambda a, b: a.unionByName(b), parts)
     return p.join(stats.holm(p).drop("p"), "contrast")
@@ -526,7 +527,7 @@ def length_errors(s, e, streams, length, low, high, seed=7):
     from idagg.sources.generated import identity_streams
 
     r = identity_streams(s, streams, length, low, high, seed)
-    per = r.groupBy("stream_no", "identity").agg(F.count("*").alias("times")).cache()
+    per = written(r.groupBy("stream_no", "identity").agg(F.count("*").alias("times")), "identities")
     truth = per.groupBy("stream_no").agg(F.count("*").alias("exact"))
     enc = learned.decode_states(learned.encode_states(per, "stream_no", e, times="times"), "stream_no", e).join(truth, "stream_no")
     hll = read_distinct(registers.build_registers(r, ["stream_no"], family="xx"), ["stream_no"]).join(truth, "stream_no")

@@ -149,6 +149,37 @@ def test_pack_unpack_dense_merge(spark):
     assert as_set(registers.unpack(m, ["k"]).select("j", "r")) == as_set(registers.merge_registers(g, []).select("j", "r"))
 
 
+def test_pack_in_bytes(spark):
+    g = spark.createDataFrame([("a", 0, 1), ("a", 3, 54), ("a", 255, 2), ("b", 254, 9), ("c", 1, 16)], "k string, j int, r int")
+    want = {"a": {0: 1, 3: 54, 255: 2}, "b": {254: 9}, "c": {1: 16}}
+    got = {r.k: bytes(r.state) for r in registers.pack(g, ["k"], 8).collect()}
+    assert got == {k: bytes(v.get(j, 0) for j in range(256)) for k, v in want.items()}
+
+
+def test_running_equals_each_prefix(spark):
+    rows = [(d, str(x)) for d in range(6) for x in range(d * 40, d * 40 + 100)] + [(None, "late")]
+    rec = spark.createDataFrame(rows, "day int, identity string")
+    got = {r.day: r.estimate for r in readouts.running_distinct(registers.build_registers(rec, ["day"]), "day").collect()}
+    for d in range(6):
+        whole = registers.build_registers(rec.where(F.col("day") <= d).select("identity"), [])
+        assert got[d] == readouts.read_distinct(whole, []).first().estimate
+    assert len(got) == 6
+
+
+def test_matrix_of_given_pairs(spark, monkeypatch):
+    g = states(spark, a=range(400), b=range(200, 600), c=range(1000, 1100))
+    every = {(r.a, r.b): r for r in relation.relation_matrix(g).collect()}
+    assert set(every) == {("a", "b"), ("a", "c"), ("b", "c")}
+    for (a, b), r in every.items():
+        assert relation.relate(g, a, b).first().jaccard == pytest.approx(r.jaccard, rel=1e-3, abs=1e-6)
+    wanted = spark.createDataFrame([("a", "b"), ("a", "unseen")], "a string, b string")
+    monkeypatch.setattr(relation, "MATRIX_STREAMS", 2)
+    some = {r.b: r for r in relation.relation_matrix(g, pairs=wanted).collect()}
+    assert some["b"] == every["a", "b"] and some["unseen"].overlap == 0 and len(some) == 2
+    with pytest.raises(ValueError, match="pairs"):
+        relation.relation_matrix(g)
+
+
 def test_rollup_of_states(spark):
     df = spark.createDataFrame([(x % 2, x % 3, str(x)) for x in range(400)], "a int, b int, identity string")
     g = registers.build_registers(df, ["a", "b"])
