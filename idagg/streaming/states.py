@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 from idagg.functions.estimate import corrected_estimate
 from idagg.operators.frequency import DEPTH, WIDTH, column_of
 from idagg.operators.registers import merge_registers, with_registers
+from idagg.sources.shared import fresh_path
 from idagg.spec import DEFAULT_P
 
 
@@ -93,6 +94,15 @@ def drain(stream: DataFrame, mode: str, spark: SparkSession) -> DataFrame:
     return spark.table(name)
 
 
+def drain_files(stream: DataFrame, spark: SparkSession, name: str) -> DataFrame:
+    """Run an append stream over what is there into files of the shared folder and return them: for results that grow with the records, which the
+    memory sink would gather on the driver."""
+    path = fresh_path(spark, name)
+    q = stream.writeStream.format("parquet").option("checkpointLocation", fresh_path(spark, f"{name}-progress")).outputMode("append").trigger(availableNow=True).start(path)
+    q.awaitTermination()
+    return spark.read.schema(stream.schema).parquet(path)
+
+
 def drain_batches(stream: DataFrame, put: Callable[[DataFrame, int], None], checkpoint: str) -> None:
     q = stream.writeStream.foreachBatch(put).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     q.awaitTermination()
