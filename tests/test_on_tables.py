@@ -1,5 +1,7 @@
 """Results that grow with the records stay off the driver, and experiments read given tables."""
 
+from collections import Counter
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -18,3 +20,14 @@ def test_sessions_stay_off_the_driver(spark, tmp_path):
     got = workloads.queries()["stream_session"](spark, str(tmp_path))
     assert "MemoryPlan" not in plan_of(got) and "LocalRelation" not in plan_of(got)
     assert {r.identity: (r.sessions, r.events) for r in got.collect()} == {"0": (30, 31), "1": (31, 31), "2": (30, 30)}
+
+
+def test_merge_tree_of_a_table(spark, tmp_path):
+    """One segment is empty and one is large; the root has every record."""
+    keys = [k for k in range(512) if k % 256 != 7] + [5] * 40 + [-1, None]
+    spark.createDataFrame([(k,) for k in keys], "l_orderkey long").write.parquet(f"{tmp_path}/lineitem.parquet")
+    got = {r.k: (r.parts, r.largest, r.records) for r in workloads.queries()["op_recursive_cte"](spark, str(tmp_path)).collect()}
+    for k in range(9):
+        per = Counter(x % 256 >> (8 - k) for x in keys if x is not None)
+        assert got[k] == (len(per), max(per.values()), 551)
+    assert len(got) == 9
