@@ -31,3 +31,11 @@ def test_merge_tree_of_a_table(spark, tmp_path):
         per = Counter(x % 256 >> (8 - k) for x in keys if x is not None)
         assert got[k] == (len(per), max(per.values()), 551)
     assert len(got) == 9
+
+
+def test_guard_on_stored_states(spark, tmp_path):
+    """States of a table: only those of the same descriptor are read, and they hold the table's identities."""
+    spark.range(3_000).selectExpr("id as o_orderkey", "id % 700 as o_custkey").write.parquet(f"{tmp_path}/orders.parquet")
+    got = {r.differs: (r.refused, r.estimate) for r in workloads.queries()["hll_incompatible_guard"](spark, str(tmp_path)).collect()}
+    assert got.pop("same") == (False, pytest.approx(700, rel=0.06))
+    assert got == dict.fromkeys(("hash", "identity", "registers", "seed"), (True, None))
