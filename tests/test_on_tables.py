@@ -2,6 +2,7 @@
 
 from collections import Counter
 
+import math
 import pytest
 from pyspark.sql import functions as F
 
@@ -39,3 +40,16 @@ def test_guard_on_stored_states(spark, tmp_path):
     got = {r.differs: (r.refused, r.estimate) for r in workloads.queries()["hll_incompatible_guard"](spark, str(tmp_path)).collect()}
     assert got.pop("same") == (False, pytest.approx(700, rel=0.06))
     assert got == dict.fromkeys(("hash", "identity", "registers", "seed"), (True, None))
+
+
+def test_counterexample_in_a_table(spark, tmp_path):
+    rows = [(k % 3, float(k * k % 37)) for k in range(200)] + [(9, 4.0)]
+    spark.createDataFrame([(f"t{t}", v) for t, v in rows] + [("t0", None)], "event_type string, value double").write.parquet(f"{tmp_path}/events.parquet")
+    got = {(r.event_type, r.context): (r.alone, r.followed) for r in workloads.queries()["att_counterexample"](spark, str(tmp_path)).collect()}
+    assert len(got) == 8
+    for t in (0, 1, 2, 9):
+        v = [x for k, x in rows if k == t]
+        w = [math.exp((x - max(v)) / 100) for x in v]
+        num, den = sum(a * b for a, b in zip(w, v, strict=True)), sum(w)
+        assert got[f"t{t}", "x"] == pytest.approx((num / den, num / (den + 1)), abs=1e-6)
+        assert got[f"t{t}", "y"] == pytest.approx((num / den, num / den / 2), abs=1e-6)
