@@ -7,6 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from idagg import workloads
+from idagg.operators import learned
 
 
 def plan_of(df):
@@ -53,3 +54,14 @@ def test_counterexample_in_a_table(spark, tmp_path):
         num, den = sum(a * b for a, b in zip(w, v, strict=True)), sum(w)
         assert got[f"t{t}", "x"] == pytest.approx((num / den, num / (den + 1)), abs=1e-6)
         assert got[f"t{t}", "y"] == pytest.approx((num / den, num / den / 2), abs=1e-6)
+
+
+def test_encoder_states_of_a_table_add_up(spark, tmp_path, monkeypatch):
+    """Names with the separator, repeats, a null; and segments that lose records are noticed."""
+    rows = [(k, k * k % 50, f"a:{k % 3}") for k in range(400)] + [(400, None, "b"), (401, 1, None)]
+    spark.createDataFrame(rows, "event_id long, user_id long, event_type string").write.parquet(f"{tmp_path}/events.parquet")
+    run = lambda: tuple(workloads.queries()["enc_partial_merge_consistency"](spark, str(tmp_path)).first())
+    assert run() == (3, True)
+    real = learned.encode_states
+    monkeypatch.setattr(learned, "encode_states", lambda r, key, e: real(r.where("identity <> '4'") if key == "part" else r, key, e))
+    assert run() == (3, False)
