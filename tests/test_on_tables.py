@@ -3,11 +3,15 @@
 from collections import Counter
 
 import math
+import hashlib
 import pytest
 from pyspark.sql import functions as F
 
 from idagg import workloads
-from idagg.operators import learned
+from idagg.functions.hashing import index_rank
+from idagg.operators import learned, readouts, registers
+from idagg.queries import core
+from idagg.sources.dealt import dealt_streams
 
 
 def plan_of(df):
@@ -65,3 +69,35 @@ def test_encoder_states_of_a_table_add_up(spark, tmp_path, monkeypatch):
     real = learned.encode_states
     monkeypatch.setattr(learned, "encode_states", lambda r, key, e: real(r.where("identity <> '4'") if key == "part" else r, key, e))
     assert run() == (3, False)
+
+
+def test_budgets_from_the_largest(spark):
+    """Registers of a smaller budget, from those of the largest, equal those built from the identities; every rank is tried."""
+    hs = [(1 << 63 | 1 << k) - (1 << 64) for k in range(63)] + [1 << k for k in range(63)] + [0, -1]
+    df = spark.createDataFrame([(h,) for h in hs], "h long")
+    for p in (8, 12):
+        one = df.select("h", *(c.alias(n) for c, n in zip(index_rank(F.col("h"), 13), "jr", strict=True)))
+        two = df.select("h", *index_rank(F.col("h"), p))
+        assert {tuple(r) for r in one.select("h", *registers.coarser(13 - p)).collect()} == {tuple(r) for r in two.collect()}
+
+
+def test_every_identity_is_dealt_once(spark):
+    r = spark.createDataFrame([(str(k % 5_000),) for k in range(9_000)] + [(None,)], "identity string")
+    got = dealt_streams(r, [1, 10, 100], 4).collect()
+    assert sorted(x.identity for x in got) == sorted(map(str, range(5_000)))
+    for x in got[::50]:
+        u = int(hashlib.md5(f"77:{x.identity}".encode()).hexdigest()[:16], 16) & (1 << 62) - 1
+        assert (x.size, x.rep) == (sum(u % 111 >= b for b in (1, 11)), u // 111 % 4)
+
+
+def test_stream_errors_brute_force(spark, tmp_path):
+    """A small grid of given streams against states built and read one by one."""
+    sets = spark.createDataFrame([(k, rep, f"{k}-{rep}-{z}") for k, n in enumerate((50, 3_000)) for rep in range(3) for z in range(n + rep)], "size int, rep long, identity string")
+    streams = {8: 6, 11: 4}
+    got = {r.p: r for r in core.stream_errors(sets, 2, streams).collect()}
+    for p, n in streams.items():
+        one = sets.where(F.col("rep") < n // 2)
+        est = readouts.read_distinct(registers.build_registers(one, ["size", "rep"], p, family="xx"), ["size", "rep"], p).collect()
+        err = [abs(r.estimate - size) / size for r in est for size in [(50, 3_000)[r["size"]] + r.rep]]
+        assert got[p].n == n == len(err) and got[p].mean_relerr == pytest.approx(sum(err) / n)
+        assert got[p].rms_relerr == pytest.approx(math.sqrt(sum(x * x for x in err) / n))
