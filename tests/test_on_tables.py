@@ -104,7 +104,7 @@ def test_stream_errors_brute_force(spark, tmp_path):
         assert got[p].rms_relerr == pytest.approx(math.sqrt(sum(x * x for x in err) / n))
 
 
-@pytest.mark.parametrize("name", ["hll_error_grid_exact"])
+@pytest.mark.parametrize("name", ["hll_error_grid_exact", "hll_error_vs_reference"])
 def test_errors_follow_the_table(spark, tmp_path, name):
     """Another table, other numbers: repeats, nulls and all; equal to the SQL."""
     rows = [(k // 4, k % 4) for k in range(3_000)] * 2 + [(None, 1), (1, None)]
