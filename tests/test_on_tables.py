@@ -113,3 +113,23 @@ def test_errors_follow_the_table(spark, tmp_path, name):
     con.sql(f"CREATE VIEW lineitem AS SELECT * FROM '{tmp_path}/lineitem.parquet/*.parquet'")
     got = workloads.queries()[name](spark, str(tmp_path)).collect()
     assert sorted(map(tuple, got)) == sorted(con.sql(workloads.oracle_sql()[name]).fetchall()) and 0 < got[0].n < 241
+
+
+def test_half_errors_brute_force(spark):
+    sets = spark.createDataFrame([(h, f"{h}{z}") for h, n in (("F", 5_000), ("O", 700)) for z in range(n)], "rep string, identity string")
+    err = [abs(r.estimate - n) / n for k in range(3) for r in readouts.read_distinct(registers.build_registers(sets, ["rep"], seed=k, family="xx"), ["rep"]).collect() for n in [{"F": 5_000, "O": 700}[r.rep]]]
+    got = core.half_errors(sets, 3).first()
+    assert got.n == 6 and got.mean_relerr == pytest.approx(sum(err) / 6) and got.rms_relerr == pytest.approx(math.sqrt(sum(x * x for x in err) / 6))
+
+
+def halves_table(spark, path):
+    rows = [(k // 4, k % 4, "FO"[k % 3 == 0]) for k in range(3_000)] * 2 + [(None, 1, "F"), (1, None, "O"), (1, 1, None), (2, 2, "P")]
+    spark.createDataFrame(rows, "l_orderkey long, l_linenumber int, l_linestatus string").coalesce(1).write.parquet(f"{path}/lineitem.parquet")
+    return str(path)
+
+
+def test_streams_follow_the_table(spark, tmp_path):
+    """A table of three streams has three estimates a seed."""
+    d = halves_table(spark, tmp_path)
+    assert {(r.rep, r.n) for r in core.halves(spark, d).groupBy("rep").agg(F.count("*").alias("n")).collect()} == {("F", 2_000), ("O", 1_000), ("P", 1)}
+    assert workloads.queries()["hll_million_seeds"](spark, d).first().n == 30
