@@ -133,3 +133,17 @@ def test_streams_follow_the_table(spark, tmp_path):
     d = halves_table(spark, tmp_path)
     assert {(r.rep, r.n) for r in core.halves(spark, d).groupBy("rep").agg(F.count("*").alias("n")).collect()} == {("F", 2_000), ("O", 1_000), ("P", 1)}
     assert workloads.queries()["hll_million_seeds"](spark, d).first().n == 30
+
+
+@pytest.mark.parametrize("name, shares, streams", [("hll_length_all", (4, 25, 100), 100)])
+def test_lengths_follow_the_table(spark, tmp_path, name, shares, streams):
+    """Every record with keys is in one stream, below zero too; equal to the SQL."""
+    keys = [(k // 3 - 20, k % 3, k * 7 % 900 - 10) for k in range(6_000)] + [(None, 1, 1), (1, None, 1), (1, 1, None)]
+    spark.createDataFrame(keys, "l_orderkey long, l_linenumber int, l_partkey long").coalesce(1).write.parquet(f"{tmp_path}/lineitem.parquet")
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW lineitem AS SELECT * FROM '{tmp_path}/lineitem.parquet/*.parquet'")
+    got = workloads.queries()[name](spark, str(tmp_path)).collect()
+    assert sorted(map(tuple, got)) == sorted(con.sql(workloads.oracle_sql()[name]).fetchall())
+    r = core.length_streams(spark, str(tmp_path), shares, streams).toPandas()
+    assert len(r) == 6_000 and {x.share: x.n for x in got} == r.groupby("share").stream_no.nunique().to_dict() == dict.fromkeys(shares, streams)
+    assert (r.stream_no == r.identity % streams).all()
