@@ -135,7 +135,7 @@ def test_streams_follow_the_table(spark, tmp_path):
     assert workloads.queries()["hll_million_seeds"](spark, d).first().n == 30
 
 
-@pytest.mark.parametrize("name, shares, streams", [("hll_length_all", (4, 25, 100), 100)])
+@pytest.mark.parametrize("name, shares, streams", [("hll_length_all", (4, 25, 100), 100), ("hll_length_extrapolation", (4, 25), 20)])
 def test_lengths_follow_the_table(spark, tmp_path, name, shares, streams):
     """Every record with keys is in one stream, below zero too; equal to the SQL."""
     keys = [(k // 3 - 20, k % 3, k * 7 % 900 - 10) for k in range(6_000)] + [(None, 1, 1), (1, None, 1), (1, 1, None)]
