@@ -147,3 +147,12 @@ def test_lengths_follow_the_table(spark, tmp_path, name, shares, streams):
     r = core.length_streams(spark, str(tmp_path), shares, streams).toPandas()
     assert len(r) == 6_000 and {x.share: x.n for x in got} == r.groupby("share").stream_no.nunique().to_dict() == dict.fromkeys(shares, streams)
     assert (r.stream_no == r.identity % streams).all()
+
+
+@pytest.mark.parametrize("name", ["hll_million_seeds_exact"])
+def test_halves_equal_sql(spark, tmp_path, name):
+    d = halves_table(spark, tmp_path)
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW lineitem AS SELECT * FROM '{d}/lineitem.parquet/*.parquet'")
+    got = workloads.queries()[name](spark, d).collect()
+    assert list(map(tuple, got)) == con.sql(workloads.oracle_sql()[name]).fetchall() and got[0].n % 3 == 0
