@@ -149,7 +149,7 @@ def test_lengths_follow_the_table(spark, tmp_path, name, shares, streams):
     assert (r.stream_no == r.identity % streams).all()
 
 
-@pytest.mark.parametrize("name", ["hll_million_seeds_exact"])
+@pytest.mark.parametrize("name", ["hll_million_seeds_exact", "hll_million"])
 def test_halves_equal_sql(spark, tmp_path, name):
     d = halves_table(spark, tmp_path)
     con = duckdb.connect()
