@@ -1,9 +1,9 @@
 """Results that grow with the records stay off the driver, and experiments read given tables."""
 
+import hashlib
+import math
 from collections import Counter
 
-import math
-import hashlib
 import duckdb
 import pytest
 from pyspark.sql import functions as F
